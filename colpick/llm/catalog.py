@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import decontamination, sharding, simhash
+from . import decontamination, sharding, simhash, substring_dedup
 from .common import load
 
 QUERIES = {
     "op2_simhash": lambda s, d: simhash.near_duplicates(load(s, d, "documents", "doc_id", "text")),
     "op3_decontamination": lambda s, d: decontamination.contamination(load(s, d, "documents", "doc_id", "text"), load(s, d, "benchmark", "item_id", "text")),
+    "op5_substring_dedup": lambda s, d: substring_dedup.remove_repeats(load(s, d, "documents", "doc_id", "text")),
     "op4_sharding": lambda s, d: sharding.shard_documents(load(s, d, "documents", "doc_id", "text")),
 }
 

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch_of, chunks
+from .common import Rolling, batch_of, chunks
 
 # The white space of Unicode, and the contractions that are pieces of their own.
 WHITE_SPACE = [9, 10, 11, 12, 13, 32, 133, 160, 5760, *range(8192, 8203), 8232, 8233, 8239, 8287, 12288]
@@ -60,6 +60,9 @@ def _automaton() -> tuple[np.ndarray, np.ndarray]:
 
 
 STEP, BEGINS = _automaton()
+#: No id: beyond a piece's end, and for a pair that doesn't merge; an empty place of the table of pairs.
+PAD, NO_PAIR = np.uint32((1 << 31) - 1), np.uint32((1 << 32) - 1)
+EMPTY = np.uint64((1 << 64) - 1)
 
 
 @lru_cache(1)
@@ -138,7 +141,10 @@ class Codec:
     """Encoder and decoder for a table of byte strings and their ranks."""
 
     def __init__(self, ranks: dict[bytes, int], cached: int = 200_000):
-        self.ranks, self.cached, self.cache = ranks, cached, {}
+        self.ranks, self.cached, self.cache, self.older = ranks, cached, {}, {}
+        self.rolling = Rolling(0xA24BAED4963EE407)
+        self.single = np.array([ranks.get(bytes([b]), PAD) for b in range(256)], dtype=np.uint32)
+        self.table, self.shift = None, 0
         self.vocabulary = {i: b for b, i in ranks.items()}
 
     @classmethod
@@ -173,14 +179,96 @@ class Codec:
             i = after[i]
         return out
 
-    def _pieces(self, piece: bytes) -> tuple[int, ...]:
-        found = self.cache.get(piece)
-        if found is None:
-            found = tuple(self.merge(piece))
-            if len(piece) <= 64:
+    def _pairs(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """The id that two neighbouring ids merge to, or NO_PAIR."""
+        if self.table is None:
+            self._fill()
+        key = left.astype(np.uint64) << np.uint64(32) | right.astype(np.uint64)
+        out = np.full(key.shape, NO_PAIR, dtype=np.uint32)
+        slot = (key * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(self.shift)).astype(np.int64)
+        keys, ids = self.table
+        open_ = np.arange(key.size)
+        key, slot, flat = key.ravel(), slot.ravel(), out.ravel()
+        while len(open_):
+            there = keys[slot]
+            hit = there == key
+            flat[open_[hit]] = ids[slot[hit]]
+            go = ~hit & (there != EMPTY)
+            open_, key, slot = open_[go], key[go], slot[go] + 1
+        return flat.reshape(out.shape)
+
+    def _fill(self) -> None:
+        """An open-addressed table of all pairs of ids whose bytes together have a rank."""
+        ranks, pairs = self.ranks, []
+        for piece, i in ranks.items():
+            for k in range(1, len(piece)):
+                if (a := ranks.get(piece[:k])) is not None and (b := ranks.get(piece[k:])) is not None:
+                    pairs.append((a << 32 | b, i))
+        key = np.array([p for p, _ in pairs], dtype=np.uint64)
+        value = np.array([i for _, i in pairs], dtype=np.uint32)
+        bits = max(4, int(4 * len(pairs) + 1).bit_length())
+        self.shift = 64 - bits
+        keys, ids = np.full((1 << bits) + len(pairs) + 1, EMPTY), np.zeros((1 << bits) + len(pairs) + 1, dtype=np.uint32)
+        slot = (key * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(self.shift)).astype(np.int64)
+        while len(key):
+            free = keys[slot] == EMPTY
+            _, one = np.unique(slot[free], return_index=True)
+            now = np.flatnonzero(free)[one]
+            keys[slot[now]], ids[slot[now]] = key[now], value[now]
+            rest = np.ones(len(key), dtype=bool)
+            rest[now] = False
+            key, value, slot = key[rest], value[rest], slot[rest]
+            slot = slot + (keys[slot] != EMPTY)
+        self.table = keys, ids
+
+    def merge_many(self, pieces: list[bytes]) -> list[tuple[int, ...]]:
+        """Ids of many pieces; short ones are merged together, one pair of each at a time."""
+        out: list = [None] * len(pieces)
+        size = np.array([len(p) for p in pieces])
+        for low, high in ((0, 8), (8, 16), (16, 32)):
+            of = np.flatnonzero((size > low) & (size <= high))
+            if not len(of):
+                continue
+            grid = np.frombuffer(b"".join([pieces[i].ljust(high, b"\0") for i in of.tolist()]), dtype=np.uint8).reshape(-1, high)
+            column = np.arange(high)
+            ids = np.where(column < size[of][:, None], self.single[grid], PAD)
+            pair = self._pairs(ids[:, :-1], ids[:, 1:])
+            while len(of):
+                at = pair.argmin(axis=1)
+                rows = np.arange(len(of))
+                best = pair[rows, at]
+                done = best == NO_PAIR
+                if done.any():
+                    for i, row in zip(of[done].tolist(), ids[done].tolist()):
+                        out[i] = tuple(x for x in row if x != PAD)
+                    of, ids, pair, at, best = of[~done], ids[~done], pair[~done], at[~done], best[~done]
+                    rows = np.arange(len(of))
+                    if not len(of):
+                        break
+                moved = np.append(ids, np.full((len(of), 1), PAD, dtype=ids.dtype), axis=1)
+                ids = np.where(column <= at[:, None], moved[:, :-1], moved[:, 1:])
+                ids[rows, at] = best
+                moved = np.append(pair, np.full((len(of), 1), NO_PAIR, dtype=pair.dtype), axis=1)
+                pair = np.where(column[:-1] < at[:, None], moved[:, :-1], moved[:, 1:])
+                wide = np.append(ids, np.full((len(of), 1), PAD, dtype=ids.dtype), axis=1)
+                inside = at < high - 1
+                pair[rows[inside], at[inside]] = self._pairs(wide[rows, at], wide[rows, at + 1])[inside]
+                back = at > 0
+                pair[rows[back], at[back] - 1] = self._pairs(wide[rows[back], at[back] - 1], wide[rows[back], at[back]])
+        for i in np.flatnonzero(size > 32).tolist():
+            out[i] = tuple(self.merge(pieces[i]))
+        return out
+
+    def _ids(self, pieces: list[bytes]) -> list[tuple[int, ...]]:
+        """Ids of pieces, from the cache of recent ones where they are there."""
+        found = [self.cache.get(p) or self.older.get(p) for p in pieces]
+        new = [i for i, x in enumerate(found) if x is None]
+        for i, ids in zip(new, self.merge_many([pieces[i] for i in new])):
+            found[i] = ids
+            if len(pieces[i]) <= 64:
                 if len(self.cache) >= self.cached:
-                    self.cache.clear()
-                self.cache[piece] = found
+                    self.cache, self.older = {}, self.cache
+                self.cache[pieces[i]] = ids
         return found
 
     def encode_batch(self, texts: list[str | None]) -> Iterator[np.ndarray]:
@@ -195,17 +283,32 @@ class Codec:
             width = 1 + (points > 0x7F) + (points > 0x7FF) + (points > 0xFFFF)
             offset = np.concatenate(([0], np.cumsum(width)))
             # a piece ends where the next one starts, or at its text's end
-            first = np.searchsorted(starts, np.concatenate(([0], ends[:-1] + 1)))
-            begin, text_end = offset[starts], offset[ends]
-            bounds = np.append(first, len(starts)).tolist()
-            for k, end in enumerate(text_end.tolist()):
-                a, b = bounds[k], bounds[k + 1]
-                at = [*begin[a:b].tolist(), end]
-                get, ids = self.cache.get, []
-                for x, y in zip(at, at[1:]):
-                    piece = raw[x:y]
-                    ids.extend(get(piece) or self._pieces(piece))
-                yield np.array(ids, dtype="<u4")
+            first = np.searchsorted(starts, np.concatenate(([0], ends + 1)))
+            begin, end = offset[starts], np.append(offset[starts[1:]], 0)
+            filled = first[1:] > first[:-1]
+            end[first[1:][filled] - 1] = offset[ends][filled]
+            unique, name = self._distinct(raw, begin, end)
+            found = self._ids([raw[a:b] for a, b in zip(begin[unique].tolist(), end[unique].tolist())])
+            size = np.array([len(x) for x in found], dtype=np.int64)
+            flat = np.array([i for x in found for i in x], dtype="<u4")
+            n = size[name]
+            before = np.concatenate(([0], np.cumsum(n)))
+            place = np.arange(before[-1]) + np.repeat((np.cumsum(size) - size)[name] - before[:-1], n)
+            ids = flat[place]
+            for a, b in zip(before[first[:-1]].tolist(), before[first[1:]].tolist()):
+                yield ids[a:b]
+
+    def _distinct(self, raw: bytes, begin: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(one place of each distinct slice, the number of each slice's), by hash and verified."""
+        data = np.frombuffer(raw, dtype=np.uint8)
+        hashes = self.rolling.ranges(self.rolling.prefix(data.astype(np.uint64) + np.uint64(1)), begin, end)
+        _, unique, name = np.unique(hashes, return_index=True, return_inverse=True)
+        size, one = end - begin, unique[name]
+        if (size == size[one]).all():
+            shift = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
+            if (data[np.repeat(begin, size) + shift] == data[np.repeat(begin[one], size) + shift]).all():
+                return unique, name
+        return np.arange(len(begin)), np.arange(len(begin))
 
     def encode(self, text: str | None) -> np.ndarray:
         return next(self.encode_batch([text]), np.empty(0, dtype="<u4"))

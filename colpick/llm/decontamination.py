@@ -39,6 +39,35 @@ def words(text: str | None) -> list[bytes]:
     return (text or "").encode().translate(FOLD).split()
 
 
+def index_rows(rows: Iterable[tuple[object, str | None]], wanted: frozenset[bytes] | None, gap: int, block_words: int) -> Iterator[dict]:
+    """Rows of the index over (id, text) pairs."""
+    ids, starts, counts, lists, at = [], [], [], defaultdict(list), 0
+
+    def pack() -> dict:
+        order = sorted(lists)
+        flat = np.concatenate([np.asarray(lists[t], dtype=np.int32) for t in order]) if order else np.empty(0, dtype=np.int32)
+        return {"doc_ids": ids, "starts": starts, "n_words": counts, "terms": order, "ends": np.cumsum([len(lists[t]) for t in order], dtype=np.int32).tolist(), "postings": flat.tobytes()}
+
+    for key, text in rows:
+        found = words(text)
+        ids.append(key)
+        starts.append(at)
+        counts.append(len(found))
+        if wanted is None:
+            for i, w in enumerate(found, at):
+                lists[w].append(i)
+        else:
+            for i, w in enumerate(found, at):
+                if w in wanted:
+                    lists[w].append(i)
+        at += len(found) + gap
+        if at >= block_words:
+            yield pack()
+            ids, starts, counts, lists, at = [], [], [], defaultdict(list), 0
+    if ids:
+        yield pack()
+
+
 def build_index(docs: DataFrame, terms: Iterable[bytes] | None = None, gap: int = WINDOW, block_words: int = 2_000_000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The index of all whole texts, one row per block of about ``block_words`` words.
 
@@ -48,29 +77,10 @@ def build_index(docs: DataFrame, terms: Iterable[bytes] | None = None, gap: int
     """
     wanted = None if terms is None else frozenset(terms)
 
-    def pack(ids, starts, counts, lists) -> pa.RecordBatch:
-        order = sorted(lists)
-        ends = np.cumsum([len(lists[t]) for t in order], dtype=np.int64)
-        flat = np.concatenate([np.asarray(lists[t], dtype=np.int32) for t in order]) if order else np.empty(0, dtype=np.int32)
-        return batch_of(INDEX, [ids], [starts], [counts], [order], [ends.astype(np.int32)], [flat.tobytes()])
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, starts, counts, lists, at = [], [], [], defaultdict(list), 0
-        for batch in batches:
-            for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                found = words(text)
-                ids.append(key)
-                starts.append(at)
-                counts.append(len(found))
-                for i, w in enumerate(found, at):
-                    if wanted is None or w in wanted:
-                        lists[w].append(i)
-                at += len(found) + gap
-                if at >= block_words:
-                    yield pack(ids, starts, counts, lists)
-                    ids, starts, counts, lists, at = [], [], [], defaultdict(list), 0
-        if ids:
-            yield pack(ids, starts, counts, lists)
+        rows = ((k, t) for batch in batches for k, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()))
+        for row in index_rows(rows, wanted, gap, block_words):
+            yield batch_of(INDEX, *([row[f.name]] for f in INDEX))
 
     return docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(run, INDEX_DDL)
 
@@ -173,7 +183,7 @@ def windows_of(items: Iterable[tuple[object, str | None]], window: int = WINDOW)
 
 
 def _judge(windows: dict[tuple[bytes, ...], list[str]]):
-    """Kernel from index rows to one row per document: words, hit words, items."""
+    """The judge of the documents of a block, for these windows."""
     vocabulary = sorted({t for w in windows for t in w})
     number = {t: i for i, t in enumerate(vocabulary)}
     keys = list(windows)
@@ -182,23 +192,34 @@ def _judge(windows: dict[tuple[bytes, ...], list[str]]):
     for i, w in enumerate(keys):
         table[i, : len(w)] = [number[t] for t in w]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for block in _rows(batches):
-            present = np.array([t in block.lists for t in vocabulary] + [True])
-            edge = np.zeros(block.size + 1, dtype=np.int32)
-            items: dict[int, set[str]] = defaultdict(set)
-            for i in np.flatnonzero(present[table].all(axis=1)) if len(keys) else []:
-                if len(at := block.phrase(keys[i])):
-                    edge[at] += 1
-                    np.subtract.at(edge, at + len(keys[i]), 1)
-                    for d in np.unique(block.owner(at)).tolist():
-                        items[d].update(windows[keys[i]])
-            hits = np.concatenate(([0], np.cumsum(np.cumsum(edge[:-1]) > 0)))
-            hit = hits[block.starts + block.n_words] - hits[block.starts]
-            names = [sorted(items.get(d, ())) for d in range(len(block.ids))]
-            yield batch_of(RESULT, block.ids, block.n_words, hit, [len(x) for x in names], [hashlib.sha256(",".join(x).encode()).hexdigest() for x in names], (hit > 0) & (20 * hit >= block.n_words))
-
-    return run
+    def judge(block: Block) -> tuple[np.ndarray, list[list[str]]]:
+        """(number of hit words, items) of each document of a block."""
+        present = np.array([t in block.lists for t in vocabulary] + [True])
+        edge = np.zeros(block.size + 1, dtype=np.int32)
+        items: dict[int, set[str]] = defaultdict(set)
+        for i in np.flatnonzero(present[table].all(axis=1)) if len(keys) else []:
+            if len(at := block.phrase(keys[i])):
+                edge[at] += 1
+                np.subtract.at(edge, at + len(keys[i]), 1)
+                for d in np.unique(block.owner(at)).tolist():
+                    items[d].update(windows[keys[i]])
+        hits = np.concatenate(([0], np.cumsum(np.cumsum(edge[:-1]) > 0)))
+        return hits[block.starts + block.n_words] - hits[block.starts], [sorted(items.get(d, ())) for d in range(len(block.ids))]
+
+    return judge
+
+
+def _is_contaminated(n_hit: np.ndarray, n_words: np.ndarray) -> np.ndarray:
+    return (n_hit > 0) & (20 * n_hit >= n_words)
+
+
+def _test_set(benchmark: DataFrame, window: int, max_windows: int, item_col: str, item_text_col: str) -> dict[tuple[bytes, ...], list[str]]:
+    """The windows of a test set, whose size is checked before it is fetched."""
+    items = benchmark.select(F.col(item_col), F.col(item_text_col).alias("text"))
+    size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    if size > 64 * max_windows:
+        raise ValueError(f"the test set has {size} bytes; give it in parts, see max_windows")
+    return windows_of(((r[0], r[1]) for r in items.collect()), window)
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_windows: int = 200_000, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
@@ -211,11 +232,34 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, m
     query set and goes to every task, so its windows are counted first: beyond
     ``max_windows`` a ValueError asks to split the test set.
     """
-    items = benchmark.select(F.col(item_col), F.col(item_text_col).alias("text"))
-    size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    if size > 64 * max_windows:
-        raise ValueError(f"the test set has {size} bytes; give it in parts, see max_windows")
-    windows = windows_of(((r[0], r[1]) for r in items.collect()), window)
-    terms = {t for w in windows for t in w}
-    index = build_index(docs, terms, window, id_col=id_col, text_col=text_col)
-    return durable(index).mapInArrow(_judge(windows), RESULT_DDL)
+    windows = _test_set(benchmark, window, max_windows, item_col, item_text_col)
+    index = build_index(docs, {t for w in windows for t in w}, window, id_col=id_col, text_col=text_col)
+    judge = _judge(windows)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for block in _rows(batches):
+            hit, names = judge(block)
+            yield batch_of(RESULT, block.ids, block.n_words, hit, [len(x) for x in names], [hashlib.sha256(",".join(x).encode()).hexdigest() for x in names], _is_contaminated(hit, block.n_words))
+
+    return durable(index).mapInArrow(run, RESULT_DDL)
+
+
+def keep_clean(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_windows: int = 200_000, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", block_words: int = 500_000) -> DataFrame:
+    """``docs`` without the contaminated rows, by the rule of :func:`contamination`; other rows and all columns are unchanged.
+
+    The blocks of the index are made of the rows as they pass and dropped again.
+    """
+    windows = _test_set(benchmark, window, max_windows, item_col, item_text_col)
+    terms, judge = frozenset(t for w in windows for t in w), _judge(windows)
+
+    @F.pandas_udf("boolean")
+    def fine(texts):
+        import pandas as pd
+
+        out = []
+        for row in index_rows(((None, t) for t in texts), terms, window, block_words):
+            block = Block(row)
+            out.append(~_is_contaminated(judge(block)[0], block.n_words))
+        return pd.Series(np.concatenate(out) if out else np.empty(0, dtype=bool))
+
+    return docs.where(fine(F.col(text_col)))

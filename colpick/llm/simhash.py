@@ -19,10 +19,10 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import batch_of, durable
+from .common import batch_of, durable, text_key
 
 RADIUS = 3
 #: Bit ranges that the three masks leave out.
@@ -210,6 +210,15 @@ def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
     raise RuntimeError("components did not settle")
 
 
+def classes(fps: DataFrame, bucket: int = 64) -> DataFrame:
+    """(fp, root, component_id) of every distinct fingerprint of (doc_id, fp): the smallest id of its component."""
+    least = fps.groupBy("fp").agg(F.min("doc_id").alias("least"))
+    comps = components(links(least.select("fp"), bucket))
+    placed = least.join(comps.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    names = placed.groupBy("root").agg(F.min("least").alias("component_id"))
+    return placed.join(names, "root").select("fp", "root", "component_id")
+
+
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bucket: int = 64) -> DataFrame:
     """(doc_id, fingerprint, component_id), one row per input row.
 
@@ -218,9 +227,31 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     component of null ids alone has a null component_id.  Empty in, empty out.
     """
     fps = durable(fingerprints(docs, id_col, text_col))
-    least = fps.groupBy("fp").agg(F.min("doc_id").alias("least"))
-    comps = components(links(least.select("fp"), bucket))
-    placed = least.join(comps.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    names = placed.groupBy("root").agg(F.min("least").alias("component_id"))
-    mapping = placed.join(names, "root").select("fp", "component_id")
+    mapping = classes(fps, bucket).drop("root")
     return fps.join(mapping, "fp", "left").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bucket: int = 64) -> DataFrame:
+    """``docs`` with one row of each component: that of its smallest id, null ids last, ties by the text's digest.
+
+    Columns stay as they are; of equal (id, text) rows one stays.
+    """
+    keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), text_key(F.col(text_col)).alias("tk"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        schema = pa.schema([*FINGERPRINTS, ("tk", pa.binary())])
+        for batch in batches:
+            fps = np.array([fingerprint(t) for t in batch.column(1).to_pylist()], dtype=np.uint64).view(np.int64)
+            yield batch_of(schema, batch.column(0), fps, batch.column(2))
+
+    rows = durable(keyed.mapInArrow(run, "doc_id long, fp long, tk binary"))
+    placed = rows.join(classes(rows.select("doc_id", "fp"), bucket).select("fp", "root"), "fp")
+    best = placed.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "tk")).alias("m"))
+    best = durable(best.select(F.col("m.doc_id").alias("_id"), F.col("m.tk").alias("_tk")))
+    same = F.col("_id").eqNullSafe(F.col(id_col).cast("long")) & (F.col("_tk") == text_key(F.col(text_col)))
+    kept = docs.join(best, same, "left_semi")
+    twice = rows.join(best, F.col("_id").eqNullSafe(F.col("doc_id")) & (F.col("_tk") == F.col("tk")), "left_semi").groupBy("doc_id", "tk").count().where("count > 1")
+    if twice.isEmpty():
+        return kept
+    row = Window.partitionBy(F.col(id_col), text_key(F.col(text_col))).orderBy(F.lit(1))
+    return kept.withColumn("_row", F.row_number().over(row)).where("_row = 1").drop("_row")

@@ -19,7 +19,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import batch_of, durable, text_key
@@ -64,6 +64,10 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
+def _around(centre: Column, flips: Column) -> Column:
+    return F.transform(flips, lambda x: centre.bitwiseXOR(x))
+
+
 def balls(fps: DataFrame) -> DataFrame:
     """(point, fp): the ball of radius 1 around each masked fingerprint, for each mask.
 
@@ -74,7 +78,7 @@ def balls(fps: DataFrame) -> DataFrame:
         keep = sum(1 << b for b in range(64) if not low <= b < high)
         flips = F.array(F.lit(0).cast("long"), *[F.lit(_signed(1 << b)).cast("long") for b in range(64) if not low <= b < high])
         centre = F.col("fp").bitwiseAND(F.lit(_signed(keep))).bitwiseOR(F.lit(_signed((k + 1) << low)))
-        parts.append(F.transform(flips, lambda x, c=centre: c.bitwiseXOR(x)))
+        parts.append(_around(centre, flips))
     return fps.select("fp", F.explode(F.concat(*parts)).alias("point"))
 
 
@@ -147,9 +151,8 @@ def dense_links(fps: DataFrame) -> DataFrame:
     bit = F.explode(F.sequence(F.lit(0), F.lit(63)))
     close = fps.select("fp", F.explode(lits(near)).alias("flip")).select(F.col("fp").bitwiseXOR(F.col("flip")).alias("point"), "fp", F.lit(0).alias("ring"))
     odd = fps.where(F.bit_count("fp") % 2 == 1)
-    wide = odd.select("fp", F.explode(F.array(*[F.lit(_signed(x)).cast("long") for x in one])).alias("x")).select("fp", "x", bit.alias("k"))
-    wide = wide.select("fp", "x", F.expr("shiftleft(1L, k)").alias("y")).where("x != y and shiftrightunsigned(x, 1) >= y")
-    wide = wide.select(F.expr("fp ^ x ^ y").alias("point"), "fp", F.lit(2).alias("ring"))
+    wide = odd.select("fp", bit.alias("i")).select("fp", "i", bit.alias("k")).where("k < i")
+    wide = wide.select(F.expr("fp ^ shiftleft(1L, i) ^ shiftleft(1L, k)").alias("point"), "fp", F.lit(2).alias("ring"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, anchor = None, None

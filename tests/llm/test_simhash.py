@@ -64,6 +64,21 @@ def test_links_have_the_components_of_all_pairs(spark):
         assert sorted(map(sorted, mine.values())) == sorted(map(sorted, theirs.values())), bucket
 
 
+def test_balls_are_the_neighbours_of_each_masked_fingerprint(spark):
+    fps = [5, -7, 1 << 40]
+    rows = simhash.balls(spark.createDataFrame([(x,) for x in fps], "fp long")).collect()
+    assert len(rows) == 3 * (3 + 64 * 2)
+    mask = (1 << 64) - 1
+    want = set()
+    for fp in fps:
+        for k, (low, high) in enumerate(simhash.THIRDS):
+            keep = [b for b in range(64) if not low <= b < high]
+            base = fp & sum(1 << b for b in keep) | (k + 1) << low
+            want |= {(fp, base), *((fp, base ^ 1 << b) for b in keep)}
+    assert {(r.fp, r.point & mask) for r in rows} == want
+    assert simhash.links(spark.createDataFrame([(x,) for x in fps], "fp long"), 64).count() == 0
+
+
 def test_rows_nulls_ties_and_clashing_columns(spark):
     rows = [(3, "the same text here", 1), (1, "the same text here", 2), (1, "the same text here", 2), (9, None, 3), (None, "", 4), (8, "   ", 5), (5, "quite another text than that", 6)]
     df = spark.createDataFrame(rows, "doc_id long, text string, fingerprint int").withColumn("fp", F.lit("x")).withColumn("component_id", F.lit(0))

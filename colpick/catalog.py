@@ -404,9 +404,6 @@ def _customers(spark, d):
     return load(spark, d, "customer", "c_nationkey", "c_mktsegment", "c_acctbal").join(F.broadcast(load(spark, d, "nation", "n_nationkey", "n_name")), F.col("c_nationkey") == F.col("n_nationkey"))
 
 
-_totals = [F.grouping_id().cast("long").alias("level"), F.count("*").alias("n"), F.round(F.sum("c_acctbal"), 2).alias("total")]
-
-
 @query(_ENERGY.format("grouping_id(n_name, c_mktsegment)", "CUBE (n_name, c_mktsegment)"))
 def op_cube(spark, d):
     return _customers(spark, d).cube("n_name", "c_mktsegment").agg(F.grouping_id().cast("long").alias("level"), F.count("*").alias("n"), F.round(F.sum("c_acctbal"), 2).alias("total"))

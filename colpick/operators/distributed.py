@@ -104,7 +104,7 @@ def two_stage_select(a: ColumnFrame, l: int, r: int = 100, law="sparse_sign", s:
     """
     from ..plans import planner
 
-    count = n_blocks or (a.df.rdd.getNumPartitions() if blocks == "partition" else a.spark.sparkContext.defaultParallelism)
+    count = n_blocks or max(1, a.df.rdd.getNumPartitions() if blocks == "partition" else a.spark.sparkContext.defaultParallelism)
     planner.check_budget(a.m, r, l, count, gamma)
     if target is None:
         target = publish(sketch_columns(a, r, law, s, seed), a.m, r)

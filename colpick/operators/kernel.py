@@ -109,11 +109,11 @@ def naive(a: np.ndarray, l: int, ids: np.ndarray | None = None) -> Trace:
     """The same by computing the whole criterion for each candidate; for tests."""
     n, out, chosen = a.shape[1], Trace(), []
     ids = np.arange(n) if ids is None else np.asarray(ids)
-    left = float((a * a).sum())
+    left = energy = float((a * a).sum())
     for _ in range(l):
         loss = np.array([residual_sq(a, orth(a[:, [*chosen, i]])) if i not in chosen else np.inf for i in range(n)])
         gain = np.where(np.isfinite(loss), left - loss, -1)
-        alive = gain > DEAD * max(left, 1e-300)
+        alive = gain > DEAD * energy
         if (p := best(gain, alive, ids)) is None:
             break
         chosen.append(p)

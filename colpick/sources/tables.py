@@ -93,7 +93,8 @@ class _TripleReader(DataSourceReader):
 class TripleSource(DataSource):
     """Coordinate triples "row column value" as text, read in pieces with filters on col_id applied early.
 
-    For files that every executor can open by path.
+    For files that every executor can open by path; needs
+    spark.sql.python.filterPushdown.enabled.
     """
 
     @classmethod

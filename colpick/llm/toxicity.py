@@ -66,7 +66,7 @@ def kernel(grid: np.ndarray, landmark: bytes) -> np.ndarray:
 
 
 def grid_of(found: list[bytes]) -> np.ndarray:
-    return np.frombuffer(b"".join([w.ljust(SPAN, b"\0") for w in found]), dtype=np.uint8).reshape(-1, SPAN)
+    return np.frombuffer(b"".join([w.ljust(SPAN, b"\0") for w in found]), dtype=np.uint8).reshape(len(found), SPAN)
 
 
 class Matcher:
@@ -139,15 +139,16 @@ class Model:
 
 
 def unlike(texts: list[str | None], size: int = 16, shared: int = 7) -> list[int]:
-    """Numbers of texts no two of which are near copies: their sketches, the ``size`` words of least hash, share less than ``shared``."""
+    """Numbers of texts no two of which are near copies: their sketches, the ``size`` three-word shingles of least hash, share less than ``shared``."""
     kept, holders = [], {}
     for i, t in enumerate(texts):
-        sketch = sorted(words(t), key=lambda w: xxhash.xxh64_intdigest(w, 3))[:size]
-        seen = Counter(k for w in sketch for k in holders.get(w, ()))
+        w = (t or "").lower().encode().split()
+        sketch = sorted({xxhash.xxh64_intdigest(b" ".join(w[j : j + 3]), 3) for j in range(max(1, len(w) - 2))})[:size]
+        seen = Counter(k for h in sketch for k in holders.get(h, ()))
         if not seen or max(seen.values()) < min(shared, len(sketch)):
             kept.append(i)
-            for w in sketch:
-                holders.setdefault(w, []).append(i)
+            for h in sketch:
+                holders.setdefault(h, []).append(i)
     return kept
 
 

@@ -15,7 +15,8 @@ where they belong together, so that the union of all factors is exactly the set
 of words covered by repeated windows.
 
 Sizes.  A block of more than ``block_rows`` stretches isn't parsed in one task:
-its windows are counted by a partially aggregated group-by and joined back.
+its stretches and windows are counted by partially aggregated group-bys and
+joined back.
 """
 
 from __future__ import annotations
@@ -167,19 +168,37 @@ def _parse(block_rows: int):
     return run
 
 
-def _unpack():
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        schema = pa.schema([("anchor", pa.int64()), ("tk", pa.binary()), ("start", pa.int32()), ("h", pa.int64())])
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            hashes, n = _expand(batch.column(3))
+WINDOWS = pa.schema([("anchor", pa.int64()), ("tk", pa.binary()), ("start", pa.int32()), ("n", pa.int64()), ("h", pa.int64())])
+WINDOWS_DDL = "anchor long, tk binary, start int, n long, h long"
+
+
+def _unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A row for each window of (anchor, tk, start, n, windows)."""
+    for batch in batches:
+        if batch.num_rows:
+            hashes, n = _expand(batch.column(4))
             row = pa.array(np.repeat(np.arange(len(n)), n))
             within = np.arange(len(hashes)) - np.repeat(np.cumsum(n) - n, n)
             start = batch.column(2).take(row).to_numpy() + within
-            yield batch_of(schema, batch.column(0).take(row), batch.column(1).take(row), start.astype(np.int32), hashes.view(np.int64))
+            yield batch_of(WINDOWS, batch.column(0).take(row), batch.column(1).take(row), start.astype(np.int32), batch.column(3).take(row), hashes.view(np.int64))
 
-    return run
+
+def dense_spans(rows: DataFrame) -> DataFrame:
+    """(tk, start, n) for stretches (anchor, tk, start, windows) of large blocks, without gathering a block.
+
+    Equal texts, then equal stretches, are counted before anything is shuffled.
+    A stretch that occurs twice is a factor as a whole; only the windows of
+    stretches that occur once are looked up among all windows of the block.
+    """
+    each = durable(rows.groupBy("anchor", "windows", "tk", "start").agg(F.count("*").alias("copies")))
+    kinds = each.groupBy("anchor", "windows").agg(F.sum("copies").alias("n"), F.min(F.struct("tk", "start")).alias("one"))
+    kinds = durable(kinds.select("anchor", F.col("one.tk").alias("tk"), F.col("one.start").alias("start"), "n", "windows"))
+    whole = each.join(kinds.where("n > 1").select("anchor", "windows"), ["anchor", "windows"], "left_semi")
+    whole = whole.select("tk", "start", (F.octet_length("windows") / KEPT).cast("int").alias("n"))
+    single = kinds.mapInArrow(_unpack, WINDOWS_DDL)
+    often = single.groupBy("anchor", "h").agg(F.sum("n").alias("times")).where("times > 1").drop("times")
+    alone = kinds.where("n = 1").mapInArrow(_unpack, WINDOWS_DDL)
+    return whole.unionByName(alone.join(often, ["anchor", "h"], "left_semi").select("tk", "start", F.lit(1).alias("n")))
 
 
 def repeated_spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, block_rows: int = 2000, text_col: str = "text") -> DataFrame:
@@ -187,9 +206,7 @@ def repeated_spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, bloc
     rows = stretches(docs, window, gram, text_col).repartition("anchor").sortWithinPartitions("anchor")
     parsed = durable(rows.mapInArrow(_parse(block_rows), FACTOR_DDL))
     factors = parsed.where("windows is null").select("tk", "start", "n")
-    single = parsed.where("windows is not null").select("anchor", "tk", "start", "windows").mapInArrow(_unpack(), "anchor long, tk binary, start int, h long")
-    often = single.groupBy("anchor", "h").agg(F.count("*").alias("times")).where("times > 1").drop("times")
-    dense = single.join(often, ["anchor", "h"]).select("tk", "start", F.lit(1).alias("n"))
+    dense = dense_spans(parsed.where("windows is not null").select("anchor", "tk", "start", "windows"))
     return factors.unionByName(dense).distinct()
 
 

@@ -108,6 +108,9 @@ def train(docs: DataFrame, sample_docs: int = 2000, id_col: str = "doc_id", text
     labelled random.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("k"), F.col(text_col).alias("text")).where("text is not null")
+    # ids first, so that no task sends texts that another's replace
+    ids = rows.select("k").where("k is not null").orderBy(F.xxhash64("k"), "k").limit(sample_docs).distinct()
+    rows = rows.join(F.broadcast(ids), "k")
     texts = [r.text for r in rows.orderBy(F.xxhash64("k"), "k", F.length("text"), "text").limit(sample_docs).collect()]
     words, found = set(), []
     for t in texts:

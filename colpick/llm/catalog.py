@@ -2,21 +2,26 @@
 
 from __future__ import annotations
 
+import uuid
+
 import public_tokenizers
 
 from . import byte_bpe, decontamination, html_text, secrets, sharding, simhash, substring_dedup, token_counts, topk, toxicity
-from .common import load
-
+from .common import load, shared_folder
 
 
 def _token_counts(spark, sf_dir):
-    """Three batches: all documents put in under two tokenizer versions, then one counted anew; the first is sent twice."""
+    """Three batches: all documents put in under two tokenizer versions, then one counted anew; the first is sent twice.
+
+    The ledger is a new folder beside the session's checkpoints.
+    """
     docs = load(spark, sf_dir, "documents", "text", "source", "lang")
     words, letters = token_counts.word_tokens, token_counts.letter_tokens
     load_words = token_counts.counted(docs, "words-1", words)
     load_letters = token_counts.counted(docs, "letters-1", words)
     recount = token_counts.revised(docs, "letters-1", words, letters)
-    return token_counts.apply_batches([("load-words", load_words), ("load-letters", load_letters), ("recount", recount), ("load-words", load_words)])
+    batches = [("load-words", load_words), ("load-letters", load_letters), ("recount", recount), ("load-words", load_words)]
+    return token_counts.commit_batches(spark, f"{shared_folder(spark)}/token-counts-{uuid.uuid4()}", batches)
 
 
 def _toxicity(spark, sf_dir):

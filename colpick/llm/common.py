@@ -24,11 +24,17 @@ def durable(df: DataFrame) -> DataFrame:
     The folder is ``spark.checkpoint.dir``; one of our own is set only if the
     session has none, as in tests.  The copy outlives any executor.
     """
-    sc = df.sparkSession.sparkContext
+    shared_folder(df.sparkSession)
+    return df.checkpoint(eager=True)
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The session's checkpoint folder, set as :func:`durable` says."""
+    sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        place = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        place = spark.conf.get("spark.checkpoint.dir", None)
         sc.setCheckpointDir(place or tempfile.mkdtemp(prefix="colpick-checkpoint-"))
-    return df.checkpoint(eager=True)
+    return sc.getCheckpointDir()
 
 
 def text_key(text) -> F.Column:

@@ -10,8 +10,9 @@ nothing, whether retried after a failure or sent twice.
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
+from collections.abc import Iterable
 
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -74,9 +75,9 @@ def rollup(totals: DataFrame) -> DataFrame:
 class Ledger:
     """Totals by batch in a shared folder, one directory a batch.
 
-    A batch is written aside and renamed into place; the rename of a directory
-    that exists fails, so of two writers of one batch one wins and nothing is
-    counted twice.
+    A batch is written aside and renamed into place by a rename that refuses a
+    target that exists (the plain one would move the directory into it), so of
+    two writers of one batch one wins and nothing is counted twice.
     """
 
     def __init__(self, spark: SparkSession, path: str):
@@ -102,10 +103,21 @@ class Ledger:
         aside = f"_writing-{name}-{self.jvm.java.util.UUID.randomUUID()}"
         self.fs.mkdirs(self._path(""))
         summed(batch).write.parquet(f"{self.path}/{aside}/part")
-        if self.fs.exists(final) or not self.fs.rename(self._path(f"{aside}/part"), final):
+        try:
+            return self._publish(self._path(f"{aside}/part"), final)
+        finally:
             self.fs.delete(self._path(aside), True)
+
+    def _publish(self, source, final) -> bool:
+        """Renames a directory to a name that doesn't exist; False if it does."""
+        fs, sc = self.jvm.org.apache.hadoop.fs, self.spark.sparkContext
+        files = fs.FileContext.getFileContext(self.fs.getUri(), sc._jsc.hadoopConfiguration())
+        try:
+            files.rename(source, final, sc._gateway.new_array(fs.Options.Rename, 0))
+        except Py4JJavaError as error:
+            if error.java_exception.getClass().getSimpleName() != "FileAlreadyExistsException":
+                raise
             return False
-        self.fs.delete(self._path(aside), True)
         return True
 
     def totals(self) -> DataFrame:
@@ -116,7 +128,15 @@ class Ledger:
         return rollup(self.spark.read.parquet(*[f"{self.path}/batch={n}" for n in names]))
 
 
-def apply_batches(batches: Iterator[tuple[str, DataFrame]]) -> DataFrame:
+def commit_batches(spark: SparkSession, path: str, batches: Iterable[tuple[str, DataFrame]]) -> DataFrame:
+    """Commits named batches to the ledger at ``path``, one after another, and returns its totals."""
+    ledger = Ledger(spark, path)
+    for name, batch in batches:
+        ledger.commit(name, batch)
+    return ledger.totals()
+
+
+def apply_batches(batches: Iterable[tuple[str, DataFrame]]) -> DataFrame:
     """The rollup of named batches without a ledger, each name once: one plan, no files."""
     seen: dict[str, DataFrame] = {}
     for name, batch in batches:
@@ -130,4 +150,4 @@ def apply_batches(batches: Iterator[tuple[str, DataFrame]]) -> DataFrame:
     return rollup(out)
 
 
-__all__ = ["KEYS", "TOTALS", "Ledger", "apply_batches", "bpe_tokens", "counted", "letter_tokens", "revised", "rollup", "summed", "word_tokens"]
+__all__ = ["KEYS", "TOTALS", "Ledger", "apply_batches", "bpe_tokens", "commit_batches", "counted", "letter_tokens", "revised", "rollup", "summed", "word_tokens"]

@@ -28,6 +28,12 @@ def test_ledger_adds_batches_once(spark, tmp_path):
     assert ledger.batches() == ["again", "first", "gone"]
     with pytest.raises(ValueError):
         ledger.commit("../x", put)
+    # a writer that comes second between the check and the rename changes nothing
+    token_counts.summed(put).write.parquet(str(tmp_path / "late"))
+    before = sorted(map(tuple, ledger.totals().collect()), key=repr)
+    late = ledger.jvm.org.apache.hadoop.fs.Path(str(tmp_path / "late"))
+    assert not ledger._publish(late, ledger._path("batch=first")) and sorted(map(tuple, ledger.totals().collect()), key=repr) == before
+    assert token_counts.commit_batches(spark, str(tmp_path / "two"), [("p", put), ("p", put)]).count() == 3
     assert token_counts.apply_batches([("p", put), ("p", put)]).count() == 3
     assert token_counts.apply_batches([("p", put.limit(0))]).count() == 0
 

@@ -28,8 +28,6 @@ BLOCK_DDL = "ids binary, vectors binary, n int, width int"
 BLOCK = pa.schema([("ids", pa.binary()), ("vectors", pa.binary()), ("n", pa.int32()), ("width", pa.int32())])
 FOUND = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
 FOUND_DDL = "query_id long, vec_id long, score long"
-#: Products of integers below this are exact in double precision for up to 2**13 dimensions.
-EXACT = 1 << 20
 
 
 def quantise(vector: Column, scale: int = 64) -> Column:
@@ -62,11 +60,10 @@ def blocks(vectors: DataFrame, rows: int) -> DataFrame:
     return vectors.select("id", "vec").mapInArrow(run, BLOCK_DDL)
 
 
-def _product(q: np.ndarray, x: np.ndarray) -> np.ndarray:
-    """Exact integer products of the rows of q and of x."""
-    if max(np.abs(q).max(initial=0), np.abs(x).max(initial=0)) < EXACT:
-        return (q.astype(np.float64) @ x.T.astype(np.float64)).astype(np.int64)
-    return q @ x.T
+def _exact(q: np.ndarray, x: np.ndarray) -> type:
+    """The fastest type in which inner products of rows of q and x are exact."""
+    top = float(np.abs(q).max(initial=0)) * float(np.abs(x).max(initial=0)) * max(1, x.shape[1])
+    return np.float32 if top < 1 << 24 else np.float64 if top < 1 << 53 else np.int64
 
 
 def _distances(x: np.ndarray, pivots: np.ndarray) -> np.ndarray:
@@ -96,30 +93,50 @@ class Best:
             yield batch_of(FOUND, np.repeat(self.ids, n), np.concatenate([i for _, i in self.kept]), np.concatenate([s for s, _ in self.kept]))
 
 
-def search_block(best: Best, q: np.ndarray, q_table: np.ndarray, x: np.ndarray, x_ids: np.ndarray, x_table: np.ndarray, step: int = 256) -> int:
-    """Adds a block's candidates to ``best``; returns how many were evaluated."""
-    below = np.zeros((len(q), len(x)), dtype=np.float32)
-    for p in range(q_table.shape[1]):
-        np.maximum(below, np.abs(q_table[:, p, None].astype(np.float32) - x_table[None, :, p].astype(np.float32)), out=below)
+def search_block(best: Best, q: np.ndarray, q_table: np.ndarray, x: np.ndarray, x_ids: np.ndarray, x_table: np.ndarray, step: int = 256, tile: int = 32) -> int:
+    """Adds a block's candidates to ``best``; returns how many were evaluated.
+
+    Each query first takes its ``step`` candidates of best bound; what its k-th
+    score then leaves is evaluated for a tile of queries at once.  Bounds are
+    widened by more than their rounding errors.
+    """
+    kind = _exact(q, x)
+    queries, values = q.astype(kind), x.astype(kind)
+    pivots = np.ascontiguousarray(x_table.T, dtype=np.float32)
+    far = float(x_table.max(initial=0))
     q2, x2 = (q.astype(np.float64) ** 2).sum(1), (x.astype(np.float64) ** 2).sum(1)
-    low = np.maximum(below.astype(np.float64) * (1 - 1e-5) - 1e-3, 0)
-    bound = (q2[:, None] + x2[None] - low * low) / 2
+    gap, bound = np.empty_like(pivots), np.empty((tile, len(x)))
     seen = 0
-    for i in range(len(q)):
-        live = np.flatnonzero(bound[i] >= best.floor(i))
-        if not len(live):
+
+    def settle(i: int, at: np.ndarray, scores: np.ndarray) -> None:
+        good = (scores >= best.floor(i)) & (x_ids[at] != best.ids[i])
+        best.add(i, scores[good].astype(np.int64), x_ids[at[good]])
+
+    for begin in range(0, len(q), tile):
+        rows = range(begin, min(begin + tile, len(q)))
+        live = np.zeros((len(rows), len(x)), dtype=bool)
+        for r, i in enumerate(rows):
+            np.abs(np.subtract(pivots, q_table[i].astype(np.float32)[:, None], out=gap), out=gap)
+            low = np.maximum(gap.max(axis=0) - (1e-3 + 1e-6 * (far + float(q_table[i].max(initial=0)))), 0).astype(np.float64)
+            bound[r] = (q2[i] + x2) * (0.5 + 1e-9) - low * low / 2
+            if len(x) > 2 * step:
+                lead = np.argpartition(-bound[r], step)[:step]
+                lead = lead[bound[r, lead] >= best.floor(i)]
+                settle(i, lead, values[lead] @ queries[i])
+                bound[r, lead] = -np.inf
+                seen += len(lead)
+            live[r] = (bound[r] >= best.floor(i)) & (bound[r] > -np.inf)
+        some = np.flatnonzero(live.any(axis=0))
+        if not len(some):
             continue
-        lead = live[np.argpartition(-bound[i, live], step)[:step]] if len(live) > step else live
-        while True:
-            seen += len(lead)
-            scores = _product(q[i : i + 1], x[lead])[0]
-            other = x_ids[lead] != best.ids[i]
-            best.add(i, scores[other], x_ids[lead][other])
-            live = np.setdiff1d(live, lead, assume_unique=True)
-            live = live[bound[i, live] >= best.floor(i)]
-            if not len(live):
-                break
-            lead = live[np.argsort(-bound[i, live], kind="stable")[: 4 * step]]
+        if 4 * len(some) >= 3 * len(x):
+            some = np.arange(len(x))
+        scores = queries[rows.start : rows.stop] @ (values if len(some) == len(x) else values[some]).T
+        seen += scores.size
+        for r, i in enumerate(rows):
+            at = np.flatnonzero((scores[r] >= best.floor(i)) & live[r, some])
+            if len(at):
+                settle(i, some[at], scores[r, at])
     return seen
 
 

@@ -113,6 +113,24 @@ def test_pages_without_article_lose_what_their_host_repeats(spark):
     assert html_text.extract(df.limit(0)).count() == 0
 
 
+def article_less(n):
+    notice = "<div>this site keeps cookies to count its readers</div>"
+    own = lambda i: " ".join(f"w{i}x{j}" for j in range(60))
+    middle = " ".join(f"m{j}" for j in range(40))
+    rows = [(i, f"http://big.example/{i}", f"<body><p>{own(i)}</p>{notice if i < 3 else ''}</body>") for i in range(n)]
+    rows += [(n + i, f"http://big.example/m{i}", f"<body><p>start{i} {middle} {own(n + i)}</p></body>") for i in range(3)]
+    return rows, own
+
+
+def test_repeats_are_seen_on_hosts_of_every_size(spark):
+    rows, own = article_less(20)
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    results = [{r.page_id: r.text for r in html_text.extract(df, host_pages=k).collect()} for k in (1000, 4)]
+    assert results[0] == results[1]
+    want = {i: own(i) for i in range(20)} | {20 + i: f"start{i} {own(20 + i)}" for i in range(3)}
+    assert results[0] == want
+
+
 # Top-k
 
 

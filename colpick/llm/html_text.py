@@ -26,6 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import near_copies
 from .common import batch_of, durable, text_key
 
 # Elements of HTML by their role.
@@ -237,7 +238,7 @@ def extract(pages: DataFrame, host_pages: int = 1000, least: int = 6, long: int
     null or repeated ids keep their rows.  A page with an article keeps all of
     it and nothing else.  Elsewhere a block of ``least`` tokens goes as a whole,
     and a substring of ``long`` from the middle of blocks, if it stands on pages
-    of ``spread`` different groups; equal pages are one group.
+    of ``spread`` different groups; equal pages and near copies are one group.
     Hosts of more than ``host_pages`` distinct pages are counted, not gathered.
     """
 
@@ -265,9 +266,10 @@ def extract(pages: DataFrame, host_pages: int = 1000, least: int = 6, long: int
     opened = durable(opened)
     if opened.isEmpty():
         return settled.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
-    # a page counts once, however often it was crawled
+    # a page counts once, however often it was crawled, and near copies of it are of its kind
     single = durable(opened.select("host", "tk", "rest").dropDuplicates(["host", "tk"]))
-    single = single.select("host", "tk", F.col("tk").alias("kind"), "rest")
+    near = near_copies.groups(single.dropDuplicates(["tk"]).select("tk", F.concat_ws(" ", "rest").alias("text")))
+    single = durable(single.join(near, "tk", "left").select("host", "tk", F.coalesce("root", "tk").alias("kind"), "rest"))
     sizes = single.groupBy("host").agg((F.count("*") > host_pages).alias("large"))
     small = single.join(sizes.where("not large"), "host", "left_semi").groupBy("host").applyInPandas(by_host, "host string, tk binary, text string")
     large = single.join(sizes.where("large"), "host", "left_semi")

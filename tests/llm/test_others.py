@@ -131,6 +131,19 @@ def test_repeats_are_seen_on_hosts_of_every_size(spark):
     assert results[0] == want
 
 
+def test_copies_without_article_keep_their_text(spark):
+    phrase = "a phrase of more than six words that two pages share"
+    body = lambda i: " ".join(f"w{i}x{j}" for j in range(80))
+    page = lambda *blocks: "<body>" + "".join(f"<p>{b}</p>" for b in blocks) + "</body>"
+    rows = [(i, f"http://h.example/{i}", page(body(0))) for i in range(4)]  # one page crawled four times
+    rows += [(4 + i, f"http://h.example/p{i}", page(f"{body(0)} print view {i}")) for i in range(4)]
+    rows += [(8 + i, f"http://h.example/q{i}", page(f"{body(8 + i)} {phrase} {i}")) for i in range(4)]
+    want = {i: re.sub("<[^>]*>", "", h) for i, _, h in rows}
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for k in (1000, 2):
+        assert {r.page_id: r.text for r in html_text.extract(df, host_pages=k).collect()} == want
+
+
 # Top-k
 
 

@@ -17,15 +17,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Rolling, batch_of, chunks, durable, mix64
-from .simhash import LOWER, components
+from .common import Rolling, batch_of, chunks, durable, mix64, text_key
+from .simhash import LOWER, components, least_rows
 from .substring_dedup import Tokens
 
 SHINGLE, SIMILAR = 5, 0.8
 BANDS, ROWS = 20, 4
 PAIRED, LEADERS = 64, 8
 FACTORS = mix64(np.arange(1, BANDS * ROWS + 1, dtype=np.uint64)) | np.uint64(1)
-SIGNS = pa.schema([("key", pa.int64()), ("tk", pa.binary())])
+SIGNS = pa.schema([("tk", pa.binary()), ("keys", pa.list_(pa.int64()))])
 SETS = pa.schema([("tk", pa.binary()), ("items", pa.binary())])
 PAIRS = pa.schema([("a", pa.binary()), ("b", pa.binary())])
 
@@ -52,7 +52,7 @@ def _sign(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         band = np.arange(1, BANDS + 1, dtype=np.uint64)
         for batch in batches:
-            keys, names = [], []
+            names, keys = [], []
             for tk, items in zip(batch.column(0).to_pylist(), shingle_sets(batch.column(1).to_pylist(), shingle)):
                 if len(items):
                     least = np.full(len(FACTORS), np.iinfo(np.uint64).max, dtype=np.uint64)
@@ -61,10 +61,10 @@ def _sign(shingle: int):
                     key = band
                     for j in range(ROWS):
                         key = mix64(key * np.uint64(0x9E3779B97F4A7C15) + least[j::ROWS])
-                    keys.append(key)
-                    names += [tk] * BANDS
+                    names.append(tk)
+                    keys.append(key.view(np.int64))
             if names:
-                yield batch_of(SIGNS, np.concatenate(keys).view(np.int64), names)
+                yield batch_of(SIGNS, names, keys)
 
     return run
 
@@ -108,15 +108,30 @@ def _verify(similar: float):
 
 
 def links(texts: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE) -> DataFrame:
-    """(a, b): verified pairs of near copies among the distinct texts (tk, text)."""
-    signs = texts.mapInArrow(_sign(shingle), "key long, tk binary").repartition("key").sortWithinPartitions("key", "tk")
-    found = durable(signs.mapInArrow(_collide, "a binary, b binary").where("a != b").distinct())
+    """(a, b): verified pairs of near copies among the texts (tk, text); rows of one key have one text."""
+    signs = texts.mapInArrow(_sign(shingle), "tk binary, keys array<long>").groupBy("tk").agg(F.first("keys").alias("keys"))
+    signs = signs.select(F.explode("keys").alias("key"), "tk").repartition("key").sortWithinPartitions("key", "tk")
+    found = durable(signs.mapInArrow(_collide, "a binary, b binary").distinct())
     needed = found.select(F.col("a").alias("tk")).union(found.select("b")).distinct()
-    sets = durable(texts.join(needed, "tk", "left_semi").select("tk", "text").mapInArrow(_sets(shingle), "tk binary, items binary"))
+    single = texts.join(needed, "tk", "left_semi").groupBy("tk").agg(F.first("text").alias("text"))
+    sets = durable(single.mapInArrow(_sets(shingle), "tk binary, items binary"))
     both = found.join(sets.toDF("a", "x"), "a").join(sets.toDF("b", "y"), "b").select("a", "b", "x", "y")
-    return both.mapInArrow(_verify(similar), "a binary, b binary").distinct()
+    return both.mapInArrow(_verify(similar), "a binary, b binary")
 
 
 def groups(texts: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE) -> DataFrame:
-    """(tk, root) of the distinct texts (tk, text) that have a near copy; root is the smallest key of the group."""
+    """(tk, root) of the texts (tk, text) that have a near copy; root is the smallest key of the group."""
     return components(links(texts, similar, shingle)).select(F.col("node").alias("tk"), "root")
+
+
+def keep_first(docs: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``docs`` with one row of each group of equal texts and near copies: as in :func:`simhash.keep_first`.
+
+    Texts without words, null ones included, are one group.
+    """
+    text = F.col(text_col)
+    keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), text_key(text).alias("tk"))
+    rows = durable(keyed.select("doc_id", "tk", F.coalesce(F.regexp_like("text", F.lit(r"[^\x20\x09-\x0D]")), F.lit(False)).alias("words")))
+    near = groups(keyed.select("tk", "text"), similar, shingle)
+    placed = rows.join(near, "tk", "left").withColumn("root", F.when(F.col("words"), F.coalesce("root", "tk")).otherwise(text_key(F.lit(""))))
+    return least_rows(docs, rows, placed, id_col, text_col)

@@ -249,6 +249,11 @@ def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     rows = durable(keyed.mapInArrow(run, "doc_id long, fp long, tk binary"))
     placed = rows.join(classes(rows.select("doc_id", "fp"), bucket).select("fp", "root"), "fp")
+    return least_rows(docs, rows, placed, id_col, text_col)
+
+
+def least_rows(docs: DataFrame, rows: DataFrame, placed: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """``docs`` with one row of each root, of their (doc_id, tk) in ``rows`` and (doc_id, tk, root) in ``placed``."""
     best = placed.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "tk")).alias("m"))
     best = durable(best.select(F.col("m.doc_id").alias("_id"), F.col("m.tk").alias("_tk")))
     same = F.col("_id").eqNullSafe(F.col(id_col).cast("long")) & (F.col("_tk") == text_key(F.col(text_col)))

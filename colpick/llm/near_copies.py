@@ -69,22 +69,28 @@ def _sign(shingle: int):
     return run
 
 
-def _collide(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pairs of texts of one bucket, of rows sorted by key; it holds the first ``PAIRED`` texts of one bucket."""
-    known, first = None, []
-    for batch in batches:
-        a, b = [], []
-        for key, tk in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-            if key != known:
-                known, first = key, [tk]
-                continue
-            with_ = first if len(first) < PAIRED else first[:LEADERS]
-            a += with_
-            b += [tk] * len(with_)
-            if len(first) < PAIRED:
-                first.append(tk)
-        if a:
-            yield batch_of(PAIRS, a, b)
+def _collide(paired: int, leaders: int):
+    """Kernel over (key, tk, root) sorted by key: pairs of texts of one bucket whose roots differ.
+
+    It holds the first ``paired`` texts of one bucket.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, first = None, []
+        for batch in batches:
+            a, b = [], []
+            for key, tk, root in zip(*(c.to_pylist() for c in batch.columns)):
+                if key != known:
+                    known, first = key, []
+                others = [x for x, r in (first if len(first) < paired else first[:leaders]) if r != root]
+                a += others
+                b += [tk] * len(others)
+                if len(first) < paired:
+                    first.append((tk, root))
+            if a:
+                yield batch_of(PAIRS, a, b)
+
+    return run
 
 
 def _sets(shingle: int):
@@ -107,16 +113,33 @@ def _verify(similar: float):
     return run
 
 
-def links(texts: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE) -> DataFrame:
-    """(a, b): verified pairs of near copies among the texts (tk, text); rows of one key have one text."""
-    signs = texts.mapInArrow(_sign(shingle), "tk binary, keys array<long>").groupBy("tk").agg(F.first("keys").alias("keys"))
-    signs = signs.select(F.explode("keys").alias("key"), "tk").repartition("key").sortWithinPartitions("key", "tk")
-    found = durable(signs.mapInArrow(_collide, "a binary, b binary").distinct())
+def _verified(pairs: DataFrame, texts: DataFrame, similar: float, shingle: int) -> DataFrame:
+    """Of the distinct ``pairs``, those that are near copies by the shingles of both texts."""
+    found = durable(pairs.distinct())
     needed = found.select(F.col("a").alias("tk")).union(found.select("b")).distinct()
     single = texts.join(needed, "tk", "left_semi").groupBy("tk").agg(F.first("text").alias("text"))
     sets = durable(single.mapInArrow(_sets(shingle), "tk binary, items binary"))
     both = found.join(sets.toDF("a", "x"), "a").join(sets.toDF("b", "y"), "b").select("a", "b", "x", "y")
-    return both.mapInArrow(_verify(similar), "a binary, b binary")
+    return durable(both.mapInArrow(_verify(similar), "a binary, b binary"))
+
+
+def links(texts: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE) -> DataFrame:
+    """(a, b): verified pairs of near copies among the texts (tk, text); rows of one key have one text.
+
+    The first text of each bucket is compared with its others; then only texts
+    that this has not connected are paired, so that a large group stays linear.
+    """
+    signs = texts.mapInArrow(_sign(shingle), "tk binary, keys array<long>").groupBy("tk").agg(F.first("keys").alias("keys"))
+    signs = durable(signs)
+
+    def pairs(rows, paired, leaders):
+        rows = rows.select(F.explode("keys").alias("key"), "tk", "root").repartition("key").sortWithinPartitions("key", "tk")
+        return rows.mapInArrow(_collide(paired, leaders), "a binary, b binary")
+
+    stars = _verified(pairs(signs.withColumn("root", F.col("tk")), 1, 1), texts, similar, shingle)
+    roots = components(stars).select(F.col("node").alias("tk"), "root")
+    rest = signs.join(roots, "tk", "left").withColumn("root", F.coalesce("root", "tk"))
+    return stars.unionByName(_verified(pairs(rest, PAIRED, LEADERS), texts, similar, shingle))
 
 
 def groups(texts: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE) -> DataFrame:

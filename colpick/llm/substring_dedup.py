@@ -33,8 +33,8 @@ from .common import Rolling, batch_of, chunks, durable, mix64, text_key
 
 WINDOW = 35
 GRAM = 8
-#: Bytes of a window's hash that are kept, within its anchor's block.
-KEPT = 6
+#: Bytes of a window's hash that are kept, within its anchor's block: all of it.
+KEPT = 8
 SPACES = np.isin(np.arange(256), [0x20, *range(0x09, 0x0E)])
 STRETCH = pa.schema([("anchor", pa.int64()), ("tk", pa.binary()), ("start", pa.int32()), ("windows", pa.binary())])
 STRETCH_DDL = "anchor long, tk binary, start int, windows binary"

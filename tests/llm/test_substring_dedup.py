@@ -50,3 +50,16 @@ def test_short_windows_and_empty_table(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string")
     assert sorted((tuple(r) for r in sd.remove_repeats(df, window=6, gram=2, block_rows=5).collect()), key=repr) == brute(rows, 6)
     assert sd.remove_repeats(df.limit(0)).count() == 0
+
+
+def test_windows_that_agree_in_48_bits_only_are_distinct():
+    import numpy as np
+    import pyarrow as pa
+
+    def block(x, y):
+        rows = [np.array([h], dtype=np.uint64).view(np.uint8)[: sd.KEPT].tobytes() for h in (x, y)]
+        batch = pa.RecordBatch.from_arrays([pa.array([1, 1]), pa.array([b"a", b"b"]), pa.array([0, 0], pa.int32()), pa.array(rows)], schema=sd.STRETCH)
+        return sum(b.num_rows for b in sd._parse(10)(iter([batch])))
+
+    assert block(5, 5) == 2
+    assert block(5, 5 + (1 << 48)) == 0 and block(5, 5 + (1 << 63)) == 0

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 from collections.abc import Iterable, Iterator
 
@@ -19,24 +20,42 @@ def load(spark: SparkSession, sf_dir: str, table: str, *columns: str) -> DataFra
 
 
 def durable(df: DataFrame) -> DataFrame:
-    """``df`` written once to the cluster's checkpoint folder and read from there.
+    """``df`` written once to the cluster's checkpoint folder and read from there; see :func:`shared_folder`.
 
-    The folder is ``spark.checkpoint.dir``; one of our own is set only if the
-    session has none, as in tests.  The copy outlives any executor.
+    The copy outlives any executor.
     """
     shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's checkpoint folder, set as :func:`durable` says."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``.
+
+    Where the session names none, a temporary folder serves if everything runs
+    in one process on this machine, as in tests; on a cluster that is an error.
+    """
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
         place = spark.conf.get("spark.checkpoint.dir", None)
+        if not place and not re.match(r"local(\[|$)", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
         sc.setCheckpointDir(place or tempfile.mkdtemp(prefix="colpick-checkpoint-"))
     return sc.getCheckpointDir()
 
 
+def unused(name: str, *taken) -> str:
+    """``name``, made longer until none of the given columns, or columns of frames, has it; case doesn't count."""
+    known = {c.lower() for t in taken for c in (t.columns if isinstance(t, DataFrame) else [t])}
+    while name.lower() in known:
+        name += "_"
+    return name
+
+
+def parts_for(df: DataFrame, rows: int) -> int:
+    """A number of partitions of about ``rows`` rows each, at least the cluster's parallelism; counts ``df``."""
+    return max(df.sparkSession.sparkContext.defaultParallelism, -(-df.count() // rows))
+
+
 def text_key(text) -> F.Column:
     """128-bit digest of a text: equal texts share it, a null text counts as empty."""
     return F.unhex(F.md5(F.coalesce(text, F.lit("")).cast("binary")))

@@ -22,11 +22,13 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import batch_of, durable, text_key
+from .common import batch_of, durable, parts_for, text_key, unused
 
 RADIUS = 3
 #: Bit ranges that the three masks leave out.
 THIRDS = ((0, 22), (22, 43), (43, 64))
+#: Fingerprints whose balls one task emits.
+BALLS = 20_000
 LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 FINGERPRINTS = pa.schema([("doc_id", pa.int64()), ("fp", pa.int64())])
 LINKS = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("dense", pa.bool_())])
@@ -64,21 +66,19 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def _around(centre: Column, flips: Column) -> Column:
-    return F.transform(flips, lambda x: centre.bitwiseXOR(x))
-
-
 def balls(fps: DataFrame) -> DataFrame:
     """(point, fp): the ball of radius 1 around each masked fingerprint, for each mask.
 
-    The masked bits of a point hold the number of its mask.
+    A point holds the 42 or 43 bits that its mask leaves, closed up, and above
+    them, from bit 60, the number of the mask: points of two masks never meet.
     """
     parts = []
     for k, (low, high) in enumerate(THIRDS):
-        keep = sum(1 << b for b in range(64) if not low <= b < high)
-        flips = F.array(F.lit(0).cast("long"), *[F.lit(_signed(1 << b)).cast("long") for b in range(64) if not low <= b < high])
-        centre = F.col("fp").bitwiseAND(F.lit(_signed(keep))).bitwiseOR(F.lit(_signed((k + 1) << low)))
-        parts.append(_around(centre, flips))
+        below = F.col("fp").bitwiseAND(F.lit((1 << low) - 1).cast("long"))
+        above = F.shiftleft(F.shiftrightunsigned("fp", high), low) if high < 64 else F.lit(0).cast("long")
+        centre = below.bitwiseOR(above).bitwiseOR(F.lit(k << 60).cast("long"))
+        flips = [0, *(1 << b for b in range(64 - high + low))]
+        parts.append(F.array(*[centre.bitwiseXOR(F.lit(x).cast("long")) for x in flips]))
     return fps.select("fp", F.explode(F.concat(*parts)).alias("point"))
 
 
@@ -180,9 +180,11 @@ def links(fps: DataFrame, bucket: int = 64) -> DataFrame:
     """Edges (a, b), a < b, whose components are those of all pairs within RADIUS bits.
 
     ``fps`` has distinct fingerprints.  Pairs that only meet in large buckets
-    can be replaced by paths of linked pairs.
+    can be replaced by paths of linked pairs.  The fingerprints are dealt out by
+    a count of their own, so that no task makes more than 131 * ``BALLS`` points.
     """
-    rows = balls(fps).select("point", "fp").repartition("point").sortWithinPartitions("point")
+    spread = fps.select("fp").repartition(parts_for(fps, BALLS), "fp")
+    rows = balls(spread).select("point", "fp").repartition("point").sortWithinPartitions("point")
     found = durable(rows.mapInArrow(_pairs(bucket), "a long, b long, dense boolean").distinct())
     dense = found.where("dense").select(F.col("a").alias("fp")).distinct()
     return found.where("not dense").select("a", "b").unionByName(dense_links(dense)).distinct()
@@ -215,7 +217,7 @@ def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
 
 def classes(fps: DataFrame, bucket: int = 64) -> DataFrame:
     """(fp, root, component_id) of every distinct fingerprint of (doc_id, fp): the smallest id of its component."""
-    least = fps.groupBy("fp").agg(F.min("doc_id").alias("least"))
+    least = durable(fps.groupBy("fp").agg(F.min("doc_id").alias("least")))
     comps = components(links(least.select("fp"), bucket))
     placed = least.join(comps.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     names = placed.groupBy("root").agg(F.min("least").alias("component_id"))
@@ -254,12 +256,13 @@ def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 def least_rows(docs: DataFrame, rows: DataFrame, placed: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """``docs`` with one row of each root, of their (doc_id, tk) in ``rows`` and (doc_id, tk, root) in ``placed``."""
+    names = {n: unused(f"_{n}", docs, rows) for n in ("id", "tk", "row")}
     best = placed.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "tk")).alias("m"))
-    best = durable(best.select(F.col("m.doc_id").alias("_id"), F.col("m.tk").alias("_tk")))
-    same = F.col("_id").eqNullSafe(F.col(id_col).cast("long")) & (F.col("_tk") == text_key(F.col(text_col)))
+    best = durable(best.select(F.col("m.doc_id").alias(names["id"]), F.col("m.tk").alias(names["tk"])))
+    same = F.col(names["id"]).eqNullSafe(F.col(id_col).cast("long")) & (F.col(names["tk"]) == text_key(F.col(text_col)))
     kept = docs.join(best, same, "left_semi")
-    twice = rows.join(best, F.col("_id").eqNullSafe(F.col("doc_id")) & (F.col("_tk") == F.col("tk")), "left_semi").groupBy("doc_id", "tk").count().where("count > 1")
+    twice = rows.join(best, F.col(names["id"]).eqNullSafe(F.col("doc_id")) & (F.col(names["tk"]) == F.col("tk")), "left_semi").groupBy("doc_id", "tk").count().where("count > 1")
     if twice.isEmpty():
         return kept
     row = Window.partitionBy(F.col(id_col), text_key(F.col(text_col))).orderBy(F.lit(1))
-    return kept.withColumn("_row", F.row_number().over(row)).where("_row = 1").drop("_row")
+    return kept.withColumn(names["row"], F.row_number().over(row)).where(F.col(names["row"]) == 1).drop(names["row"])

@@ -72,11 +72,32 @@ def test_balls_are_the_neighbours_of_each_masked_fingerprint(spark):
     want = set()
     for fp in fps:
         for k, (low, high) in enumerate(simhash.THIRDS):
-            keep = [b for b in range(64) if not low <= b < high]
-            base = fp & sum(1 << b for b in keep) | (k + 1) << low
-            want |= {(fp, base), *((fp, base ^ 1 << b) for b in keep)}
+            bits = f"{fp & mask:064b}"[::-1]
+            kept = bits[:low] + bits[high:]
+            base = sum(1 << i for i, b in enumerate(kept) if b == "1") + (k << 60)
+            want |= {(fp, base), *((fp, base ^ 1 << i) for i in range(len(kept)))}
     assert {(r.fp, r.point & mask) for r in rows} == want
-    assert simhash.links(spark.createDataFrame([(x,) for x in fps], "fp long"), 64).count() == 0
+    links = simhash.links(spark.createDataFrame([(x,) for x in fps], "fp long"), 64).collect()
+    assert [(r.a, r.b) for r in links] == [(5, 1 << 40)]  # three bits apart
+
+
+def test_points_of_two_masks_never_meet(spark):
+    rng = random.Random(11)
+    fps = [simhash._signed(rng.getrandbits(64) & rng.getrandbits(64) & 0x0000_0600_0003) for _ in range(30)] + [1, 2 << 22, 3 << 43]
+    rows = simhash.balls(spark.createDataFrame([(x,) for x in set(fps)], "fp long")).collect()
+    assert {r.point >> 60 for r in rows} == {0, 1, 2}
+    found = simhash.links(spark.createDataFrame([(x,) for x in set(fps)], "fp long"), 64).collect()
+    assert all(r.a < r.b and (r.a ^ r.b).bit_count() <= 3 for r in found)
+
+
+def test_keep_first_with_columns_named_like_its_own(spark):
+    rows = [(2, "one text of several words", "x"), (1, "one text of several words", "y"), (1, "one text of several words", "z"), (None, None, "n")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, _id string").selectExpr("*", "_id as _tk", "_id as _row", "_id as fp", "_id as root", "_id as no_id")
+    kept = simhash.keep_first(df)
+    assert kept.columns == df.columns
+    got = kept.collect()
+    assert sorted(str(r.doc_id) for r in got) == ["1", "None"]
+    assert all(r._id == r._tk == r._row == r.fp for r in got)
 
 
 def test_rows_nulls_ties_and_clashing_columns(spark):

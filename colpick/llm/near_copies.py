@@ -1,11 +1,19 @@
 """Groups of near copies: texts whose sets of word shingles have a Jaccard similarity of at least a bound.
 
-Candidates come from min-wise hashing in bands; every colliding pair is
-verified exactly on the shingles of both texts.  With 20 bands of 4 a pair at
-0.8 fails to collide once in 37,000.  Within a bucket each of the first 64
-texts is paired with all before it and later ones with the first 8, so that the
-pairs stay linear in a bucket of any size; texts of a larger bucket that are
-near to each other but to none of its first 8 meet in other bands, or not.
+SimHash can't give these: at a similarity of 0.8 two 64-bit fingerprints differ
+in about 10 bits, and balls of half that radius have no bounded size.  So
+candidates come from min-wise hashing in bands; every colliding pair is verified
+exactly on the shingles of both texts.  With 20 bands of 4 a pair at 0.8 fails
+to collide once in 37,000.
+
+First the text of most company in each bucket is compared with the others, which
+connects large groups by stars.  Then the texts of a bucket are compared where
+they aren't connected yet, each pair in the first band that it shares, if 48 of
+their 80 minima agree, which a pair at 0.8 misses twice in a million.  A bucket
+of more than ``most`` texts is not compared as it is: its texts go into finer
+buckets, one for each further band that they share, until all are small; those
+of the last level, five bands, are compared whatever their size.  A pair that
+shares one band alone is missed if that bucket is large.
 """
 
 from __future__ import annotations
@@ -23,11 +31,14 @@ from .substring_dedup import Tokens
 
 SHINGLE, SIMILAR = 5, 0.8
 BANDS, ROWS = 20, 4
-PAIRED, LEADERS = 64, 8
+MOST, LEVELS = 2048, 5
 FACTORS = mix64(np.arange(1, BANDS * ROWS + 1, dtype=np.uint64)) | np.uint64(1)
-SIGNS = pa.schema([("tk", pa.binary()), ("keys", pa.list_(pa.int64()))])
+#: Agreeing minima that make a pair of one bucket a candidate.
+AGREE = 48
+SIGNS = pa.schema([("tk", pa.binary()), ("keys", pa.list_(pa.int64())), ("least", pa.binary())])
 SETS = pa.schema([("tk", pa.binary()), ("items", pa.binary())])
 PAIRS = pa.schema([("a", pa.binary()), ("b", pa.binary())])
+MET = pa.schema([*PAIRS, ("key", pa.int64()), ("bands", pa.list_(pa.int32()))])
 
 
 def shingle_sets(texts: list[str | None], shingle: int = SHINGLE) -> list[np.ndarray]:
@@ -52,7 +63,7 @@ def _sign(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         band = np.arange(1, BANDS + 1, dtype=np.uint64)
         for batch in batches:
-            names, keys = [], []
+            names, keys, minima = [], [], []
             for tk, items in zip(batch.column(0).to_pylist(), shingle_sets(batch.column(1).to_pylist(), shingle)):
                 if len(items):
                     least = np.full(len(FACTORS), np.iinfo(np.uint64).max, dtype=np.uint64)
@@ -63,32 +74,69 @@ def _sign(shingle: int):
                         key = mix64(key * np.uint64(0x9E3779B97F4A7C15) + least[j::ROWS])
                     names.append(tk)
                     keys.append(key.view(np.int64))
+                    minima.append((least >> np.uint64(48)).astype(np.uint16).tobytes())
             if names:
-                yield batch_of(SIGNS, names, keys)
+                yield batch_of(SIGNS, names, keys, minima)
 
     return run
 
 
-def _collide(paired: int, leaders: int):
-    """Kernel over (key, tk, root) sorted by key: pairs of texts of one bucket whose roots differ.
+def connections(roots: np.ndarray, least: np.ndarray, sets: list[np.ndarray], bands: list[int], similar: float) -> Iterator[tuple[int, int]]:
+    """Pairs of places of near copies of a bucket that connect what differs in root, most alike first.
 
-    It holds the first ``paired`` texts of one bucket.
+    ``bands`` are those of the bucket; a pair counts if they are the first ones that it shares.
     """
+    roots, size = roots.copy(), np.array([len(x) for x in sets])
+    for i in range(len(roots) - 1):
+        other = np.flatnonzero(roots[i + 1 :] != roots[i]) + i + 1
+        if not len(other):
+            continue
+        agree = least[other] == least[i]
+        score = agree.sum(axis=1)
+        shared = agree.reshape(len(other), BANDS, ROWS).all(axis=2)
+        first = (shared[:, : bands[-1] + 1].sum(axis=1) == len(bands)) & shared[:, bands].all(axis=1)
+        alike = np.minimum(size[other], size[i]) >= similar * np.maximum(size[other], size[i])
+        good = np.flatnonzero(first & alike & (score >= AGREE))
+        for j in other[good[np.argsort(-score[good], kind="stable")]].tolist():
+            if roots[j] != roots[i] and jaccard(sets[i], sets[j]) >= similar:
+                yield i, j
+                roots[roots == roots[j]] = roots[i]
+
+
+def _collide(most: int, last: bool, similar: float, most_bytes: int = 64 << 20):
+    """Kernel over (key, bands, tk, root, least, items) sorted by key: verified pairs of small buckets, the rows of others.
+
+    It holds ``most`` + 1 rows, or a little over ``most_bytes``, of one bucket; at the last level all rows of a bucket.
+    """
+
+    def pairs(rows: list[tuple]):
+        if len(rows) < 2:
+            return
+        roots = np.unique([r[1] for r in rows], return_inverse=True)[1]
+        least = np.frombuffer(b"".join(r[2] for r in rows), dtype=np.uint16).reshape(len(rows), -1)
+        found = list(connections(roots, least, [np.frombuffer(r[4], dtype=np.uint64) for r in rows], rows[0][3], similar))
+        if found:
+            i, j = zip(*found)
+            yield batch_of(MET, [rows[k][0] for k in i], [rows[k][0] for k in j], pa.nulls(len(i), pa.int64()), pa.nulls(len(i), MET.field("bands").type))
+
+    def rest(key, rows: list[tuple]):
+        if rows:
+            yield batch_of(MET, [r[0] for r in rows], pa.nulls(len(rows), pa.binary()), [key] * len(rows), [r[3] for r in rows])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, first = None, []
+        known, held, size, large = None, [], 0, False
         for batch in batches:
-            a, b = [], []
-            for key, tk, root in zip(*(c.to_pylist() for c in batch.columns)):
+            for key, bands, tk, root, least, items in zip(*(c.to_pylist() for c in batch.columns)):
                 if key != known:
-                    known, first = key, []
-                others = [x for x, r in (first if len(first) < paired else first[:leaders]) if r != root]
-                a += others
-                b += [tk] * len(others)
-                if len(first) < paired:
-                    first.append((tk, root))
-            if a:
-                yield batch_of(PAIRS, a, b)
+                    yield from rest(known, held) if large else pairs(held)
+                    known, held, size, large = key, [], 0, False
+                held.append((tk, root, least, bands, items))
+                size += len(items)
+                if (len(held) > most or size > most_bytes and len(held) > 2 or large and len(held) > 64) and not last:
+                    large, size = True, 0
+                    yield from rest(known, held)
+                    held = []
+        yield from rest(known, held) if large else pairs(held)
 
     return run
 
@@ -113,33 +161,52 @@ def _verify(similar: float):
     return run
 
 
+def _set_frame(texts: DataFrame, needed: DataFrame, shingle: int) -> DataFrame:
+    """(tk, items): the shingle sets of the texts whose keys are needed."""
+    single = texts.join(needed, "tk", "left_semi").groupBy("tk").agg(F.first("text").alias("text"))
+    return durable(single.mapInArrow(_sets(shingle), "tk binary, items binary"))
+
+
 def _verified(pairs: DataFrame, texts: DataFrame, similar: float, shingle: int) -> DataFrame:
     """Of the distinct ``pairs``, those that are near copies by the shingles of both texts."""
     found = durable(pairs.distinct())
-    needed = found.select(F.col("a").alias("tk")).union(found.select("b")).distinct()
-    single = texts.join(needed, "tk", "left_semi").groupBy("tk").agg(F.first("text").alias("text"))
-    sets = durable(single.mapInArrow(_sets(shingle), "tk binary, items binary"))
+    sets = _set_frame(texts, found.select(F.col("a").alias("tk")).union(found.select("b")).distinct(), shingle)
     both = found.join(sets.toDF("a", "x"), "a").join(sets.toDF("b", "y"), "b").select("a", "b", "x", "y")
     return durable(both.mapInArrow(_verify(similar), "a binary, b binary"))
 
 
-def links(texts: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE) -> DataFrame:
-    """(a, b): verified pairs of near copies among the texts (tk, text); rows of one key have one text.
-
-    The first text of each bucket is compared with its others; then only texts
-    that this has not connected are paired, so that a large group stays linear.
-    """
-    signs = texts.mapInArrow(_sign(shingle), "tk binary, keys array<long>").groupBy("tk").agg(F.first("keys").alias("keys"))
-    signs = durable(signs)
-
-    def pairs(rows, paired, leaders):
-        rows = rows.select(F.explode("keys").alias("key"), "tk", "root").repartition("key").sortWithinPartitions("key", "tk")
-        return rows.mapInArrow(_collide(paired, leaders), "a binary, b binary")
-
-    stars = _verified(pairs(signs.withColumn("root", F.col("tk")), 1, 1), texts, similar, shingle)
+def links(texts: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE, most: int = MOST) -> DataFrame:
+    """(a, b): verified pairs of near copies among the texts (tk, text), enough to connect each group; rows of one key have one text."""
+    signs = texts.mapInArrow(_sign(shingle), "tk binary, keys array<long>, least binary")
+    signs = durable(signs.groupBy("tk").agg(F.first("keys").alias("keys"), F.first("least").alias("least")))
+    rows = signs.select("tk", F.posexplode("keys").alias("band", "key"))
+    shared = durable(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"))
+    rows = durable(rows.join(shared, "key").select("key", "band", "tk", F.log2("n").alias("n")))
+    # stars around the text of most company in each bucket
+    company = rows.groupBy("tk").agg(F.sum("n").alias("company"))
+    centre = rows.join(company, "tk").groupBy("key").agg(F.max(F.struct("company", "tk")).alias("m")).select("key", F.col("m.tk").alias("a"))
+    stars = _verified(rows.join(centre, "key").where("a != tk").select("a", F.col("tk").alias("b")), texts, similar, shingle)
+    # what they leave unconnected
     roots = components(stars).select(F.col("node").alias("tk"), "root")
-    rest = signs.join(roots, "tk", "left").withColumn("root", F.coalesce("root", "tk"))
-    return stars.unionByName(_verified(pairs(rest, PAIRED, LEADERS), texts, similar, shingle))
+    signed = signs.join(rows.select("tk").distinct(), "tk", "left_semi").join(roots, "tk", "left")
+    signed = durable(signed.select("tk", "keys", "least", F.coalesce("root", "tk").alias("root")))
+    found, now, sets = stars, rows.select("key", F.array("band").alias("bands"), "tk"), None
+    for level in range(1, LEVELS + 1):
+        # a bucket within one group, however large, has nothing to add
+        rooted = now.join(signed.select("tk", F.xxhash64("root").alias("r")), "tk")
+        mixed = rooted.groupBy("key").agg(F.min("r").alias("low"), F.max("r").alias("high")).where("low != high").select("key")
+        now = durable(now.join(mixed, "key", "left_semi"))
+        sets = _set_frame(texts, now.select("tk").distinct(), shingle) if sets is None else sets
+        full = now.join(signed.select("tk", "root", "least"), "tk").join(sets, "tk").select("key", "bands", "tk", "root", "least", "items")
+        met = full.repartition("key").sortWithinPartitions("key", "tk").mapInArrow(_collide(most, level == LEVELS, similar), "a binary, b binary, key long, bands array<int>")
+        met = durable(met)
+        found = found.unionByName(met.where("b is not null").select("a", "b"))
+        dense = met.where("b is null").select("key", "bands", F.col("a").alias("tk"))
+        if dense.isEmpty():
+            break
+        finer = dense.join(signed.select("tk", F.posexplode("keys").alias("next", "other")), "tk").where("next > element_at(bands, -1)")
+        now = finer.select(F.xxhash64("key", "other").alias("key"), F.concat("bands", F.array("next")).alias("bands"), "tk")
+    return found
 
 
 def groups(texts: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE) -> DataFrame:

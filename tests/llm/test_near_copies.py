@@ -4,6 +4,7 @@ import re
 from pyspark.sql import functions as F
 
 import corpus_pipeline
+from colpick.llm import near_copies, simhash
 
 
 def brute_groups(rows):
@@ -43,3 +44,23 @@ def test_stage_keeps_one_of_each_group_at_080(spark):
     assert got.columns == df.columns
     assert sorted(r.doc_id for r in got.collect()) == sorted(brute_groups(rows))
     assert corpus_pipeline.drop_near_duplicates(spark, df.limit(0), "").count() == 0
+
+
+def test_crowded_buckets_give_the_same_groups(spark):
+    rng = random.Random(5)
+    rows = []
+    common = [f"c{i}" for i in range(120)]  # texts that share three quarters of their words but are no near copies
+    for _ in range(60):
+        words = common + [f"w{rng.randrange(9000)}" for _ in range(45)]
+        rows.append((len(rows), " ".join(words)))
+        if rng.random() < 0.4:
+            words[130] = "changed"
+            rows.append((len(rows), " ".join(words)))
+    df = spark.createDataFrame([(f"{k}".encode(), t) for k, t in rows], "tk binary, text string")
+    want = brute_groups(rows)
+    for most in (3, 2048):
+        root = {int(r.tk): int(r.root) for r in simhash.components(near_copies.links(df, most=most)).select(F.col("node").alias("tk"), "root").collect()}
+        groups = {}
+        for k, _ in rows:
+            groups.setdefault(root.get(k, k), []).append(k)
+        assert {min(g) for g in groups.values()} == want, most

@@ -7,16 +7,23 @@ can only match in the blocks of its own anchors; consecutive windows with one
 anchor form a stretch, which is parsed against the one block that can hold it
 and so, in effect, against every block.
 
-Parsing.  A stretch is factored greedily: from a position whose window occurs
-elsewhere in the block the factor runs on for as long as the next window does
-too; at its end the parse looks up the next window again, and factors of at
-least ``window`` words are reported.  Factors of neighbouring stretches overlap
-where they belong together, so that the union of all factors is exactly the set
-of words covered by repeated windows.
+Parsing.  The windows of a block are indexed with their places.  A stretch is
+factored greedily: at a window that occurs elsewhere in the block the parse takes
+one such place as the source, and the factor runs on for as long as the next
+window is the source's next; then the parse looks up the next window again.  So
+every factor has ``window`` words at least, and a source of the same length.
+Factors of neighbouring stretches overlap where they belong together, so that
+the union of all factors is exactly the set of words covered by repeated windows.
+
+Check.  Windows are looked up by 64-bit hashes.  Before anything is removed, the
+words of each factor, from boundary to boundary, are compared with those of its
+source by an MD5 digest taken from the source's own text.
 
 Sizes.  A block of more than ``block_rows`` stretches isn't parsed in one task:
 its stretches and windows are counted by partially aggregated group-bys and
-joined back.
+joined back.  Anchors that make up more than a part in 512 of a random sixteenth
+of the texts are dealt over all tasks from the start; the sample only decides
+the way that a stretch takes, and the result is the same.
 """
 
 from __future__ import annotations
@@ -38,8 +45,11 @@ KEPT = 8
 SPACES = np.isin(np.arange(256), [0x20, *range(0x09, 0x0E)])
 STRETCH = pa.schema([("anchor", pa.int64()), ("tk", pa.binary()), ("start", pa.int32()), ("windows", pa.binary())])
 STRETCH_DDL = "anchor long, tk binary, start int, windows binary"
-FACTOR = pa.schema([("anchor", pa.int64()), ("tk", pa.binary()), ("start", pa.int32()), ("n", pa.int32()), ("windows", pa.binary())])
-FACTOR_DDL = "anchor long, tk binary, start int, n int, windows binary"
+FACTOR = pa.schema([("anchor", pa.int64()), ("tk", pa.binary()), ("start", pa.int32()), ("n", pa.int32()), ("windows", pa.binary()), ("source", pa.binary()), ("at", pa.int32())])
+FACTOR_DDL = "anchor long, tk binary, start int, n int, windows binary, source binary, at int"
+DIGEST = pa.schema([("source", pa.binary()), ("at", pa.int32()), ("n", pa.int32()), ("digest", pa.binary())])
+#: Parts of the texts that are looked at for anchors that are very frequent, and the share that makes one so.
+ROUTE_SAMPLE, ROUTE_SHARE = 1 / 16, 1 / 512
 RESULT = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept_sha256", pa.string())])
 RESULT_DDL = "doc_id long, n_words long, n_removed long, kept_sha256 string"
 
@@ -73,12 +83,22 @@ class Tokens:
 
 
 def stretches(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, text_col: str = "text") -> DataFrame:
-    """(anchor, tk, start, windows) of every text; texts of fewer words than a window have none."""
+    """(anchor, tk, start, windows) of every text; texts of fewer words than a window have none.
+
+    From the third of the equal texts that a task meets none are emitted: two say
+    all that there is to say of them.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tokens = Tokens()
+        tokens, seen = Tokens(), {}
         for batch in batches:
             keys, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+            if len(seen) > 200_000:
+                seen = {}
+            for i, key in enumerate(keys):
+                seen[key] = seen.get(key, 0) + 1
+                if seen[key] > 2:
+                    texts[i] = None
             for low, high in chunks(texts):
                 hashes, counts = tokens.words(texts[low:high])
                 anchor, tk, start, cut = [], [], [], []
@@ -103,33 +123,51 @@ def stretches(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, text_col:
 def _expand(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(all window hashes, number of windows of each row)."""
     items = column.to_pylist()
-    raw = np.frombuffer(b"".join(items), dtype=np.uint8).reshape(-1, KEPT)
-    wide = np.zeros((len(raw), 8), dtype=np.uint8)
-    wide[:, :KEPT] = raw
-    return wide.view(np.uint64).ravel(), np.array([len(x) // KEPT for x in items], dtype=np.int64)
+    return np.frombuffer(b"".join(items), dtype=np.uint64), np.array([len(x) // KEPT for x in items], dtype=np.int64)
+
+
+def factors(anchor: np.ndarray, hashes: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first window, last window, first window of the source) of each factor of a run of blocks.
+
+    Windows are numbered through the stretches, of which the k-th has anchor
+    ``anchor[k]`` and ``n[k]`` windows.  The index is the windows' sorted order:
+    the source of a window is the first place of its block that has it, or the
+    second if it is the first itself.
+    """
+    of = np.repeat(np.arange(len(n)), n)
+    order = np.lexsort((hashes, anchor[of]))
+    a, h = anchor[of][order], hashes[order]
+    new = np.flatnonzero(np.concatenate(([True], (a[1:] != a[:-1]) | (h[1:] != h[:-1]))))
+    times = np.diff(np.append(new, len(a)))
+    source = np.full(len(a), -1, dtype=np.int64)
+    often = times > 1
+    source[order] = np.where(np.repeat(often, times), np.repeat(order[new], times), -1)
+    source[order[new[often]]] = order[new[often] + 1]
+    repeated = source >= 0
+    place = np.where(repeated, of[source], -1)
+    # a factor runs on while the next window of this stretch is the next one of the source's stretch
+    on = repeated[1:] & repeated[:-1] & (of[1:] == of[:-1]) & (source[1:] == source[:-1] + 1) & (place[1:] == place[:-1])
+    first, last = np.flatnonzero(repeated & np.concatenate(([True], ~on))), np.flatnonzero(repeated & np.concatenate((~on, [True])))
+    return first, last, source[first]
 
 
 def _parse(block_rows: int):
-    """Kernel over stretches sorted by anchor: factors, and the rows of blocks that are too large."""
+    """Kernel over stretches sorted by anchor: factors, and the rows of blocks that are too large or marked as such."""
 
     def parse(rows: pa.Table):
-        anchor, start = rows.column("anchor").to_numpy(), rows.column("start").to_numpy()
+        start = rows.column("start").to_numpy()
         hashes, n = _expand(rows.column("windows"))
-        of = np.repeat(np.arange(len(n)), n)
-        order = np.lexsort((hashes, anchor[of]))
-        a, h = anchor[of][order], hashes[order]
-        new = np.concatenate(([True], (a[1:] != a[:-1]) | (h[1:] != h[:-1])))
-        times = np.diff(np.append(np.flatnonzero(new), len(a)))
-        repeated = np.empty(len(a), dtype=bool)
-        repeated[order] = np.repeat(times > 1, times)
-        # greedy factors: from a repeated window up to the next that isn't, or the stretch's end
-        edge = np.concatenate(([0], np.cumsum(n)[:-1]))
-        first = repeated & np.concatenate(([True], ~repeated[:-1] | (of[1:] != of[:-1])))
-        last = repeated & np.concatenate((~repeated[1:] | (of[1:] != of[:-1]), [True]))
-        f, e = np.flatnonzero(first), np.flatnonzero(last)
-        if len(f):
-            row = of[f]
-            yield batch_of(FACTOR, pa.nulls(len(f), pa.int64()), rows.column("tk").take(pa.array(row)).combine_chunks(), (start[row] + f - edge[row]).astype(np.int32), (e - f + 1).astype(np.int32), pa.nulls(len(f), pa.binary()))
+        first, last, source = factors(rows.column("anchor").to_numpy(), hashes, n)
+        if len(first):
+            of, edge = np.repeat(np.arange(len(n)), n), np.cumsum(n) - n
+            tk = rows.column("tk").combine_chunks()
+            place = lambda p: (tk.take(pa.array(of[p])), (start[of[p]] + p - edge[of[p]]).astype(np.int32))
+            yield batch_of(FACTOR, pa.nulls(len(first), pa.int64()), *place(first), (last - first + 1).astype(np.int32), pa.nulls(len(first), pa.binary()), *place(source))
+
+    def hand_on(rows: pa.Table):
+        for batch in rows.combine_chunks().to_batches():
+            k = batch.num_rows
+            yield batch_of(FACTOR, batch.column("anchor"), batch.column("tk"), batch.column("start"), pa.nulls(k, pa.int32()), batch.column("windows"), pa.nulls(k, pa.binary()), pa.nulls(k, pa.int32()))
 
     def settle(rows: pa.Table, dense_first: bool):
         anchor = rows.column("anchor").to_numpy()
@@ -143,13 +181,15 @@ def _parse(block_rows: int):
         if len(rest := rows.filter(pa.array(~of & ~single))):
             yield from parse(rest)
         if of.any():
-            heavy = rows.filter(pa.array(of))
-            for batch in heavy.combine_chunks().to_batches():
-                yield batch_of(FACTOR, batch.column(0), batch.column(1), batch.column(2), pa.nulls(batch.num_rows, pa.int32()), batch.column(3))
+            yield from hand_on(rows.filter(pa.array(of)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, known = None, None
         for batch in batches:
+            heavy = batch.column("heavy")
+            if heavy.true_count:
+                yield from hand_on(pa.Table.from_batches([batch.filter(heavy)]))
+                batch = batch.filter(pa.array(~heavy.to_numpy(zero_copy_only=False)))
             if not batch.num_rows:
                 continue
             now = pa.Table.from_batches([batch])
@@ -184,30 +224,76 @@ def _unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def dense_spans(rows: DataFrame) -> DataFrame:
-    """(tk, start, n) for stretches (anchor, tk, start, windows) of large blocks, without gathering a block.
+    """(tk, start, n, source, at) for stretches (anchor, tk, start, windows) of large blocks, without gathering a block.
 
     Equal texts, then equal stretches, are counted before anything is shuffled.
     A stretch that occurs twice is a factor as a whole; only the windows of
-    stretches that occur once are looked up among all windows of the block.
+    stretches that occur once are looked up among all windows of the block.  The
+    source is the least place that has the same, or the greatest for the least.
     """
+    here = F.struct("tk", "start")
+    from_one = lambda low, high: F.when(here == low, high).otherwise(low)
     each = durable(rows.groupBy("anchor", "windows", "tk", "start").agg(F.count("*").alias("copies")))
-    kinds = each.groupBy("anchor", "windows").agg(F.sum("copies").alias("n"), F.min(F.struct("tk", "start")).alias("one"))
-    kinds = durable(kinds.select("anchor", F.col("one.tk").alias("tk"), F.col("one.start").alias("start"), "n", "windows"))
-    whole = each.join(kinds.where("n > 1").select("anchor", "windows"), ["anchor", "windows"], "left_semi")
-    whole = whole.select("tk", "start", (F.octet_length("windows") / KEPT).cast("int").alias("n"))
-    single = kinds.mapInArrow(_unpack, WINDOWS_DDL)
-    often = single.groupBy("anchor", "h").agg(F.sum("n").alias("times")).where("times > 1").drop("times")
-    alone = kinds.where("n = 1").mapInArrow(_unpack, WINDOWS_DDL)
-    return whole.unionByName(alone.join(often, ["anchor", "h"], "left_semi").select("tk", "start", F.lit(1).alias("n")))
+    kinds = each.groupBy("anchor", "windows").agg(F.sum("copies").alias("n"), F.min(here).alias("one"), F.max(here).alias("other"))
+    kinds = durable(kinds.select("anchor", F.col("one.tk").alias("tk"), F.col("one.start").alias("start"), "n", "windows", "one", "other"))
+    whole = each.join(kinds.where("n > 1").select("anchor", "windows", "one", "other"), ["anchor", "windows"])
+    whole = whole.select("tk", "start", (F.octet_length("windows") / KEPT).cast("int").alias("n"), from_one(F.col("one"), F.col("other")).alias("s"))
+    unpack = lambda k: k.select("anchor", "tk", "start", "n", "windows").mapInArrow(_unpack, WINDOWS_DDL)
+    often = unpack(kinds).groupBy("anchor", "h").agg(F.sum("n").alias("times"), F.min(here).alias("one"), F.max(here).alias("other")).where("times > 1").drop("times")
+    alone = unpack(kinds.where("n = 1")).join(often, ["anchor", "h"]).select("tk", "start", F.lit(1).alias("n"), from_one(F.col("one"), F.col("other")).alias("s"))
+    return whole.unionByName(alone).select("tk", "start", "n", F.col("s.tk").alias("source"), F.col("s.start").alias("at"))
+
+
+def heavy_anchors(docs: DataFrame, window: int, gram: int, text_col: str, sample: float = ROUTE_SAMPLE, share: float = ROUTE_SHARE) -> list[int]:
+    """Anchors of more than ``share`` of the stretches of a random ``sample`` of the texts: 1 / share of them at most."""
+    counts = durable(stretches(docs.where(F.rand(11) < sample), window, gram, text_col).groupBy("anchor").count())
+    total = counts.agg(F.sum("count")).first()[0] or 0
+    return [r.anchor for r in counts.where(F.col("count") > max(64, total * share)).collect()]
 
 
 def repeated_spans(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, block_rows: int = 2000, text_col: str = "text") -> DataFrame:
-    """(tk, start, n): runs of n windows from word ``start``, each of which also starts elsewhere."""
-    rows = stretches(docs, window, gram, text_col).repartition("anchor").sortWithinPartitions("anchor")
+    """(tk, start, n, source, at): runs of n windows from word ``start``, each of which also starts elsewhere.
+
+    They are the factors of the parse; ``source`` is the key of a text that has
+    the same n windows from word ``at``, another place or an equal text.
+    """
+    heavy = heavy_anchors(docs, window, gram, text_col)
+    rows = stretches(docs, window, gram, text_col).withColumn("heavy", F.col("anchor").isin(heavy) if heavy else F.lit(False))
+    salt = F.when(F.col("heavy"), F.xxhash64("tk", "start"))
+    rows = rows.repartition("anchor", salt).sortWithinPartitions("anchor")
     parsed = durable(rows.mapInArrow(_parse(block_rows), FACTOR_DDL))
-    factors = parsed.where("windows is null").select("tk", "start", "n")
+    found = parsed.where("windows is null").select("tk", "start", "n", "source", "at")
     dense = dense_spans(parsed.where("windows is not null").select("anchor", "tk", "start", "windows"))
-    return factors.unionByName(dense).distinct()
+    return found.unionByName(dense).dropDuplicates(["tk", "start", "n"])
+
+
+def _digests(window: int):
+    """Kernel over (tk, text, spans (at, n)): the digest of each span's words."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = []
+            for key, text, spans in zip(*(c.to_pylist() for c in batch.columns)):
+                w = (text or "").encode().split()
+                out += [(key, s["at"], s["n"], digest_of(w, s["at"], s["n"] + window - 1)) for s in spans]
+            if out:
+                yield batch_of(DIGEST, *map(list, zip(*out)))
+
+    return run
+
+
+def digest_of(words: list[bytes], start: int, n: int) -> bytes:
+    return hashlib.md5(b" ".join(words[start : start + n])).digest()
+
+
+def checked_spans(docs: DataFrame, spans: DataFrame, window: int = WINDOW, text_col: str = "text") -> DataFrame:
+    """(tk, start, n, digest): the factors with the digest of their source's words, from the source's text."""
+    spans = durable(spans)
+    wanted = spans.select("source", "at", "n").distinct().groupBy("source").agg(F.collect_list(F.struct("at", "n")).alias("spans"))
+    texts = docs.select(text_key(F.col(text_col)).alias("source"), F.col(text_col).alias("text"))
+    sources = texts.join(wanted, "source").groupBy("source").agg(F.first("text").alias("text"), F.first("spans").alias("spans"))
+    digests = sources.mapInArrow(_digests(window), "source binary, at int, n int, digest binary")
+    return spans.join(digests, ["source", "at", "n"]).select("tk", "start", "n", "digest")
 
 
 def _cut(window: int):
@@ -219,8 +305,9 @@ def _cut(window: int):
                 if spans:
                     edge = np.zeros(len(w) + 1, dtype=np.int32)
                     for s in spans:
-                        edge[s["start"]] += 1
-                        edge[s["start"] + s["n"] + window - 1] -= 1
+                        if digest_of(w, s["start"], s["n"] + window - 1) == s["digest"]:
+                            edge[s["start"]] += 1
+                            edge[s["start"] + s["n"] + window - 1] -= 1
                     keep = np.flatnonzero(np.cumsum(edge[:-1]) == 0).tolist()
                     out.append((key, len(w), len(w) - len(keep), hashlib.sha256(b" ".join([w[i] for i in keep])).hexdigest()))
                 else:
@@ -239,7 +326,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, bloc
     empty texts have no words and keep the digest of nothing; null or repeated
     ids keep their rows.
     """
-    spans = repeated_spans(docs, window, gram, block_rows, text_col)
-    spans = spans.groupBy("tk").agg(F.collect_list(F.struct("start", "n")).alias("spans"))
+    spans = checked_spans(docs, repeated_spans(docs, window, gram, block_rows, text_col), window, text_col)
+    spans = spans.groupBy("tk").agg(F.collect_list(F.struct("start", "n", "digest")).alias("spans"))
     keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), text_key(F.col(text_col)).alias("tk"))
     return keyed.join(spans, "tk", "left").select("doc_id", "text", "spans").mapInArrow(_cut(window), RESULT_DDL)

@@ -13,7 +13,7 @@ pieces of bounded size.
 from __future__ import annotations
 
 import hashlib
-from collections import defaultdict
+from collections import Counter, defaultdict
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch_of, durable
+from .common import batch_of, durable, unused
 
 WINDOW = 13
 #: Lower-cased ASCII letters, digits and all bytes of non-ASCII letters are kept; the rest separates words.
@@ -109,28 +109,41 @@ class Block:
         return at
 
     def near(self, terms: tuple[bytes, ...], slop: int) -> list[tuple[int, int]]:
-        """Smallest spans of at most ``slop`` words around each occurrence of the rarest term that hold all terms, as (start, end)."""
-        lists = [self.lists.get(t) for t in dict.fromkeys(terms)]
-        if not lists or any(x is None for x in lists):
+        """Least spans (start, end) of at most ``slop`` words that hold each term as often as ``terms`` names it.
+
+        A span is least if no span within it will do.  The search starts from the
+        term with the shortest list: only what stands near one of its places counts.
+        """
+        need = Counter(terms)
+        lists = sorted(((self.lists.get(t, np.empty(0, dtype=np.int32)), k) for t, k in need.items()), key=lambda x: len(x[0]))
+        if not lists or any(len(x) < k for x, k in lists):
             return []
-        lists.sort(key=len)
-        out = []
-        for p in lists[0].tolist():
-            inside = [x[np.searchsorted(x, p - slop + 1) : np.searchsorted(x, p + slop)] for x in lists[1:]]
-            if not all(len(x) for x in inside):
-                continue
-            best = None
-            for a in sorted({p, *(int(v) for x in inside for v in x if v <= p)}, reverse=True):
-                ends = [x[np.searchsorted(x, a) :] for x in inside]
-                if a > p or not all(len(x) for x in ends):
-                    continue
-                end = max([p, *(int(x[0]) for x in ends)]) + 1
-                if end - a <= slop and (best is None or end - a < best[1] - best[0]):
-                    best = (a, end)
-            if best:
-                out.append(best)
+        rare, near = lists[0][0], []
+        for x, _ in lists:
+            i = np.searchsorted(rare, x - slop + 1)
+            near.append(x[(i < len(rare)) & (rare[np.minimum(i, len(rare) - 1)] < x + slop)])
+        at = np.concatenate(near)
+        order = np.argsort(at, kind="stable")
+        at, which = at[order].tolist(), np.repeat(np.arange(len(near)), [len(x) for x in near])[order].tolist()
+        have, missing, left, out = [0] * len(lists), len(terms), 0, []
+        for end, w in zip(at, which):
+            have[w] += 1
+            missing -= have[w] <= lists[w][1]
+            while not missing:
+                v = which[left]
+                if have[v] == lists[v][1]:
+                    if end + 1 - at[left] <= slop:
+                        out.append((at[left], end + 1))
+                    missing += 1
+                have[v] -= 1
+                left += 1
         return out
 
+    def check_gap(self, words: int) -> None:
+        """Raises if a match of so many words could reach from one document into the next."""
+        if len(self.starts) > 1 and int((self.starts[1:] - self.starts[:-1] - self.n_words[:-1]).min()) < words - 1:
+            raise ValueError(f"the index's gap is too small for matches of {words} words")
+
     def owner(self, at: np.ndarray) -> np.ndarray:
         return np.searchsorted(self.starts, at, side="right") - 1
 
@@ -146,6 +159,7 @@ def phrase_matches(index: DataFrame, phrases: dict[int, tuple[bytes, ...]]) -> D
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for block in _rows(batches):
+            block.check_gap(max(map(len, phrases.values()), default=0))
             for key, terms in phrases.items():
                 if len(at := block.phrase(terms) if terms else []):
                     of = block.owner(at)
@@ -157,11 +171,13 @@ def phrase_matches(index: DataFrame, phrases: dict[int, tuple[bytes, ...]]) -> D
 def proximity_matches(index: DataFrame, phrases: dict[int, tuple[bytes, ...]], slop: int) -> DataFrame:
     """(doc_id, phrase, start, end): spans of at most ``slop`` words that hold all the phrase's terms in any order.
 
-    The index's gap must be ``slop`` or more.
+    A term that the phrase repeats must be there as often.  An index whose gap
+    is less than ``slop`` - 1 raises.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for block in _rows(batches):
+            block.check_gap(slop)
             for key, terms in phrases.items():
                 for a, b in block.near(terms, slop):
                     of = int(block.owner(np.array([a]))[0])
@@ -183,7 +199,7 @@ def windows_of(items: Iterable[tuple[object, str | None]], window: int = WINDOW)
 
 
 def _judge(windows: dict[tuple[bytes, ...], list[str]]):
-    """The judge of the documents of a block, for these windows."""
+    """The judge of a block's words, for these windows."""
     vocabulary = sorted({t for w in windows for t in w})
     number = {t: i for i, t in enumerate(vocabulary)}
     keys = list(windows)
@@ -192,8 +208,8 @@ def _judge(windows: dict[tuple[bytes, ...], list[str]]):
     for i, w in enumerate(keys):
         table[i, : len(w)] = [number[t] for t in w]
 
-    def judge(block: Block) -> tuple[np.ndarray, list[list[str]]]:
-        """(number of hit words, items) of each document of a block."""
+    def judge(block: Block) -> tuple[np.ndarray, dict[int, set[str]]]:
+        """(whether each place of the block's stream is hit, items by document)."""
         present = np.array([t in block.lists for t in vocabulary] + [True])
         edge = np.zeros(block.size + 1, dtype=np.int32)
         items: dict[int, set[str]] = defaultdict(set)
@@ -203,25 +219,103 @@ def _judge(windows: dict[tuple[bytes, ...], list[str]]):
                 np.subtract.at(edge, at + len(keys[i]), 1)
                 for d in np.unique(block.owner(at)).tolist():
                     items[d].update(windows[keys[i]])
-        hits = np.concatenate(([0], np.cumsum(np.cumsum(edge[:-1]) > 0)))
-        return hits[block.starts + block.n_words] - hits[block.starts], [sorted(items.get(d, ())) for d in range(len(block.ids))]
+        return np.cumsum(edge[:-1]) > 0, items
 
     return judge
 
 
+def _hits(block: Block, hit: np.ndarray) -> np.ndarray:
+    """Number of hit words of each document of a block."""
+    sums = np.concatenate(([0], np.cumsum(hit)))
+    return sums[block.starts + block.n_words] - sums[block.starts]
+
+
+def _verdicts(ids, n_words: np.ndarray, n_hit: np.ndarray, names: list[list[str]]) -> pa.RecordBatch:
+    return batch_of(RESULT, ids, n_words, n_hit, [len(x) for x in names], [hashlib.sha256(",".join(x).encode()).hexdigest() for x in names], _is_contaminated(n_hit, n_words))
+
+
 def _is_contaminated(n_hit: np.ndarray, n_words: np.ndarray) -> np.ndarray:
     return (n_hit > 0) & (20 * n_hit >= n_words)
 
 
-def _test_set(benchmark: DataFrame, window: int, max_windows: int, item_col: str, item_text_col: str) -> dict[tuple[bytes, ...], list[str]]:
-    """The windows of a test set, whose size is checked before it is fetched."""
+def _small_test_set(benchmark: DataFrame, window: int, max_windows: int, item_col: str, item_text_col: str) -> dict[tuple[bytes, ...], list[str]] | None:
+    """The windows of a test set of at most 64 * max_windows bytes; None for a larger one, of which nothing is fetched."""
     items = benchmark.select(F.col(item_col), F.col(item_text_col).alias("text"))
-    size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    if size > 64 * max_windows:
-        raise ValueError(f"the test set has {size} bytes; give it in parts, see max_windows")
+    if (items.agg(F.sum(F.octet_length("text"))).first()[0] or 0) > 64 * max_windows:
+        return None
     return windows_of(((r[0], r[1]) for r in items.collect()), window)
 
 
+def _pieces(benchmark: DataFrame, window: int, max_windows: int, item_col: str, item_text_col: str) -> Iterator[dict[tuple[bytes, ...], list[str]]]:
+    """The windows of a test set of any size, about ``max_windows`` (window, item) pairs at a time."""
+    schema = pa.schema([("terms", pa.binary()), ("item", pa.string())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for item, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                found = list(windows_of([(item, text)], window))
+                for at in range(0, len(found), 100_000):
+                    part = found[at : at + 100_000]
+                    yield batch_of(schema, [b" ".join(w) for w in part], [str(item)] * len(part))
+
+    items = benchmark.select(F.col(item_col), F.col(item_text_col).alias("text"))
+    pairs = durable(items.mapInArrow(run, "terms binary, item string").distinct())
+    n = max(1, -(-pairs.count() // max_windows))
+    for k in range(n):
+        out: dict[tuple[bytes, ...], list[str]] = {}
+        for r in pairs.where(F.pmod(F.xxhash64("terms", "item"), F.lit(n)) == k).collect():
+            out.setdefault(tuple(bytes(r.terms).split(b" ")), []).append(r.item)
+        yield out
+
+
+HIT = pa.schema([("block", pa.int64()), ("pos", pa.int32()), ("starts", pa.list_(pa.int32())), ("ends", pa.list_(pa.int32())), ("items", pa.list_(pa.string()))])
+HIT_DDL = "block long, pos int, starts array<int>, ends array<int>, items array<string>"
+
+
+def _piece_hits(index: DataFrame, windows: dict[tuple[bytes, ...], list[str]]) -> DataFrame:
+    """(block, pos, starts, ends, items) of the documents that hold windows of one piece of a test set."""
+    judge = _judge(windows)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for number, block in zip(batch.column("block").to_pylist(), _rows(iter([batch]))):
+                hit, items = judge(block)
+                edge = np.diff(np.concatenate(([0], hit.astype(np.int8), [0])))
+                begin, end = np.flatnonzero(edge > 0), np.flatnonzero(edge < 0)
+                of = block.owner(begin) if len(begin) else begin
+                for d, names in sorted(items.items()):
+                    mine = of == d
+                    yield batch_of(HIT, [number], [d], [(begin[mine] - block.starts[d]).tolist()], [(end[mine] - block.starts[d]).tolist()], [sorted(names)])
+
+    return index.mapInArrow(run, HIT_DDL)
+
+
+def _merge_hits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Results of (doc_id, n_words, starts, ends, items): the hits of all pieces, each word counted once."""
+    for batch in batches:
+        if batch.num_rows:
+            ids, n_words, starts, ends, items = (c.to_pylist() for c in batch.columns)
+            n_hit = []
+            for n, s, e in zip(n_words, starts, ends):
+                edge = np.zeros(n + 1, dtype=np.int64)
+                np.add.at(edge, np.array(s or [], dtype=np.int64), 1)
+                np.subtract.at(edge, np.array(e or [], dtype=np.int64), 1)
+                n_hit.append(int((np.cumsum(edge[:-1]) > 0).sum()))
+            yield _verdicts(ids, np.array(n_words, dtype=np.int64), np.array(n_hit, dtype=np.int64), [sorted(set(x or ())) for x in items])
+
+
+def _in_pieces(docs: DataFrame, pieces: Iterator[dict], window: int, id_col: str, text_col: str) -> DataFrame:
+    index = durable(build_index(docs, None, window, id_col=id_col, text_col=text_col).withColumn("block", F.monotonically_increasing_id()))
+    found = None
+    for windows in pieces:
+        hits = durable(_piece_hits(index, windows))
+        found = hits if found is None else found.unionByName(hits)
+    gathered = [F.flatten(F.collect_list(c)).alias(c) for c in ("starts", "ends", "items")]
+    rows = index.select("block", F.posexplode(F.arrays_zip("doc_ids", "n_words")).alias("pos", "d"))
+    rows = rows.join(found.groupBy("block", "pos").agg(*gathered), ["block", "pos"], "left")
+    return rows.select(F.col("d.doc_ids"), F.col("d.n_words"), "starts", "ends", "items").mapInArrow(_merge_hits, RESULT_DDL)
+
+
 def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_windows: int = 200_000, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """One row per document: (doc_id, n_words, n_hit, n_items, items_sha256, contaminated).
 
@@ -229,17 +323,20 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, m
     contaminated if at least one word and at least one in twenty are.  Null
     texts have no words, items with a null id are ignored, repeated rows count
     once as items and keep their rows as documents.  The test set is the stated
-    query set and goes to every task, so its windows are counted first: beyond
-    ``max_windows`` a ValueError asks to split the test set.
+    query set and goes to every task, so its size is checked first: one of more
+    than 64 * ``max_windows`` bytes meets the index in pieces of about
+    ``max_windows`` windows, and the hits of all pieces are merged by word.
     """
-    windows = _test_set(benchmark, window, max_windows, item_col, item_text_col)
+    windows = _small_test_set(benchmark, window, max_windows, item_col, item_text_col)
+    if windows is None:
+        return _in_pieces(docs, _pieces(benchmark, window, max_windows, item_col, item_text_col), window, id_col, text_col)
     index = build_index(docs, {t for w in windows for t in w}, window, id_col=id_col, text_col=text_col)
     judge = _judge(windows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for block in _rows(batches):
-            hit, names = judge(block)
-            yield batch_of(RESULT, block.ids, block.n_words, hit, [len(x) for x in names], [hashlib.sha256(",".join(x).encode()).hexdigest() for x in names], _is_contaminated(hit, block.n_words))
+            hit, items = judge(block)
+            yield _verdicts(block.ids, block.n_words, _hits(block, hit), [sorted(items.get(d, ())) for d in range(len(block.ids))])
 
     return durable(index).mapInArrow(run, RESULT_DDL)
 
@@ -247,9 +344,15 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, m
 def keep_clean(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_windows: int = 200_000, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", block_words: int = 500_000) -> DataFrame:
     """``docs`` without the contaminated rows, by the rule of :func:`contamination`; other rows and all columns are unchanged.
 
-    The blocks of the index are made of the rows as they pass and dropped again.
+    The blocks of the index are made of the rows as they pass and dropped again;
+    for a test set that takes several pieces the rows are numbered and judged first.
     """
-    windows = _test_set(benchmark, window, max_windows, item_col, item_text_col)
+    windows = _small_test_set(benchmark, window, max_windows, item_col, item_text_col)
+    if windows is None:
+        row = unused("row", docs)
+        numbered = durable(docs.withColumn(row, F.monotonically_increasing_id()))
+        judged = _in_pieces(numbered, _pieces(benchmark, window, max_windows, item_col, item_text_col), window, row, text_col)
+        return numbered.join(judged.where("contaminated").select(F.col("doc_id").alias(row)), row, "left_anti").select(*[f"`{c}`" for c in docs.columns])
     terms, judge = frozenset(t for w in windows for t in w), _judge(windows)
 
     @F.pandas_udf("boolean")
@@ -259,7 +362,7 @@ def keep_clean(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_
         out = []
         for row in index_rows(((None, t) for t in texts), terms, window, block_words):
             block = Block(row)
-            out.append(~_is_contaminated(judge(block)[0], block.n_words))
+            out.append(~_is_contaminated(_hits(block, judge(block)[0]), block.n_words))
         return pd.Series(np.concatenate(out) if out else np.empty(0, dtype=bool))
 
     return docs.where(fine(F.col(text_col)))

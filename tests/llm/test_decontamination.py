@@ -1,3 +1,4 @@
+import collections
 import hashlib
 import random
 import re
@@ -68,5 +69,36 @@ def test_empty_tables_and_a_test_set_too_large(spark):
     assert dc.contamination(d, b).count() == 0
     one = dc.contamination(spark.createDataFrame([(1, "a b")], d.schema), b.limit(0)).first()
     assert (one.n_words, one.n_hit, one.contaminated) == (2, 0, False)
-    with pytest.raises(ValueError):
-        dc.contamination(d, b.withColumn("text", F.repeat("text", 100)), max_windows=1)
+    large = b.withColumn("text", F.repeat("text", 100))
+    assert dc.contamination(d, large, max_windows=1).count() == 0 and dc.keep_clean(d, large, max_windows=1).count() == 0
+
+
+def test_a_test_set_in_pieces_gives_the_same_rows(spark):
+    docs, items = case(3)
+    d = spark.createDataFrame(docs, "doc_id long, text string").withColumn("row", F.lit(1)).withColumn("block", F.lit(2)).repartition(3)
+    b = spark.createDataFrame(items, "item_id long, text string")
+    want = brute(docs, items)
+    assert sorted((tuple(r) for r in dc.contamination(d, b, max_windows=7).collect()), key=repr) == want
+    kept = dc.keep_clean(d, b, max_windows=7)
+    assert kept.columns == d.columns
+    assert sorted((r.doc_id for r in kept.collect()), key=repr) == sorted((r[0] for r in want if not r[5]), key=repr) == sorted((r.doc_id for r in dc.keep_clean(d, b).collect()), key=repr)
+
+
+def brute_near(words, terms, slop):
+    need = collections.Counter(terms)
+    ok = {(a, b) for a in range(len(words)) for b in range(a + 1, min(len(words), a + slop) + 1) if not need - collections.Counter(words[a:b])}
+    return {(a, b) for a, b in ok if not any((c, e) != (a, b) and a <= c and e <= b for c, e in ok)}
+
+
+def test_proximity_equals_brute_force(spark):
+    rng = random.Random(8)
+    docs = [(i, " ".join(rng.choice("aabcd") for _ in range(rng.choice([0, 1, 5, 40])))) for i in range(40)]
+    d = spark.createDataFrame(docs, "doc_id long, text string").coalesce(2)
+    phrases = {1: (b"a", b"b"), 2: (b"c", b"a", b"c"), 3: (b"d", b"d"), 4: (b"zz",), 5: ()}
+    for slop in (2, 3, 6):
+        index = dc.build_index(d, gap=slop, block_words=60)
+        got = {(r.doc_id, r.phrase, r.start, r.end) for r in dc.proximity_matches(index, phrases, slop).collect()}
+        want = {(i, k, *s) for i, t in docs for k, p in phrases.items() if p for s in brute_near(t.split(), [x.decode() for x in p], slop)}
+        assert got == want, slop
+    with pytest.raises(Exception, match="gap"):
+        dc.proximity_matches(dc.build_index(d, gap=2), phrases, 6).collect()

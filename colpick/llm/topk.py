@@ -1,12 +1,17 @@
 """Exact top-k by inner product with a pivot table.
 
-Vectors are integers.  Every block of vectors carries its precomputed distances
-to a bounded set of pivots.  For a query q and a candidate x the triangle
-inequality gives |d(q, p) - d(x, p)| <= d(q, x) for every pivot p; the maximum
-over the pivots bounds the distance from below, and with the norms the score
-from above.  A query takes the candidates of a block in the order of that bound
-and stops as soon as the next bound is below its k-th score so far: all that
-are left are eliminated.
+Vectors are integers.  Every block of vectors carries its precomputed table of
+distances to many pivots, in reduced form: the distances from x to the pivots
+and to the origin fix the place of x within the pivots' span, as coordinates on
+an orthonormal basis of it, and its distance to the span.  Two vectors differ
+at least by the distance of their places and the difference of their distances
+to the span, which is the greatest lower bound that the table can give (at most
+one pivot at a time would give the largest |d(q, p) - d(x, p)|, which is never
+more).  With the norms, it bounds the score from above.
+
+A query takes the candidates of a block in the order of that bound, the best
+first in steps, and stops as soon as the next bound is below its k-th score so
+far: all that are left are eliminated without an evaluation.
 
 Blocks of queries meet blocks of candidates; each side is cut into blocks of a
 bounded number of rows, and each task reads pairs of blocks one after another,
@@ -66,9 +71,19 @@ def _exact(q: np.ndarray, x: np.ndarray) -> type:
     return np.float32 if top < 1 << 24 else np.float64 if top < 1 << 53 else np.int64
 
 
-def _distances(x: np.ndarray, pivots: np.ndarray) -> np.ndarray:
-    a, p = x.astype(np.float64), pivots.astype(np.float64)
-    return np.sqrt(np.maximum((a * a).sum(1)[:, None] + (p * p).sum(1)[None] - 2 * a @ p.T, 0))
+def basis_of(pivots: np.ndarray) -> np.ndarray:
+    """Orthonormal basis (dimension x rank) of the pivots' span."""
+    if not pivots.size:
+        return np.zeros((pivots.shape[1], 0))
+    u, values, _ = np.linalg.svd(pivots.T.astype(np.float64), full_matrices=False)
+    return u[:, values > 1e-9 * max(float(values[0]), 1e-300)]
+
+
+def _table(x: np.ndarray, basis: np.ndarray) -> np.ndarray:
+    """Coordinates of each row within the pivots' span, and last its distance to the span."""
+    a = x.astype(np.float64)
+    inside = a @ basis
+    return np.hstack([inside, np.sqrt(np.maximum((a * a).sum(1) - (inside * inside).sum(1), 0))[:, None]])
 
 
 class Best:
@@ -93,86 +108,79 @@ class Best:
             yield batch_of(FOUND, np.repeat(self.ids, n), np.concatenate([i for _, i in self.kept]), np.concatenate([s for s, _ in self.kept]))
 
 
-def search_block(best: Best, q: np.ndarray, q_table: np.ndarray, x: np.ndarray, x_ids: np.ndarray, x_table: np.ndarray, step: int = 256, tile: int = 32) -> int:
+def search_block(best: Best, q: np.ndarray, q_table: np.ndarray, x: np.ndarray, x_ids: np.ndarray, x_table: np.ndarray, step: int = 64, tile: int = 32) -> int:
     """Adds a block's candidates to ``best``; returns how many were evaluated.
 
-    Each query first takes its ``step`` candidates of best bound; what its k-th
-    score then leaves is evaluated for a tile of queries at once.  Bounds are
-    widened by more than their rounding errors.
+    Each query evaluates its candidates in the order of their bounds, in steps
+    that double, and stops before the first bound below its k-th score.  Bounds
+    are widened by more than their rounding errors.
     """
     kind = _exact(q, x)
     queries, values = q.astype(kind), x.astype(kind)
-    pivots = np.ascontiguousarray(x_table.T, dtype=np.float32)
-    far = float(x_table.max(initial=0))
-    q2, x2 = (q.astype(np.float64) ** 2).sum(1), (x.astype(np.float64) ** 2).sum(1)
-    gap, bound = np.empty_like(pivots), np.empty((tile, len(x)))
+    places = np.ascontiguousarray(x_table.T, dtype=np.float32)
+    far = float(np.sqrt((x_table * x_table).sum(1).max(initial=0)))
     seen = 0
-
-    def settle(i: int, at: np.ndarray, scores: np.ndarray) -> None:
-        good = (scores >= best.floor(i)) & (x_ids[at] != best.ids[i])
-        best.add(i, scores[good].astype(np.int64), x_ids[at[good]])
-
     for begin in range(0, len(q), tile):
         rows = range(begin, min(begin + tile, len(q)))
-        live = np.zeros((len(rows), len(x)), dtype=bool)
+        bounds = q_table[rows.start : rows.stop].astype(np.float32) @ places
         for r, i in enumerate(rows):
-            np.abs(np.subtract(pivots, q_table[i].astype(np.float32)[:, None], out=gap), out=gap)
-            low = np.maximum(gap.max(axis=0) - (1e-3 + 1e-6 * (far + float(q_table[i].max(initial=0)))), 0).astype(np.float64)
-            bound[r] = (q2[i] + x2) * (0.5 + 1e-9) - low * low / 2
-            if len(x) > 2 * step:
-                lead = np.argpartition(-bound[r], step)[:step]
-                lead = lead[bound[r, lead] >= best.floor(i)]
-                settle(i, lead, values[lead] @ queries[i])
-                bound[r, lead] = -np.inf
-                seen += len(lead)
-            live[r] = (bound[r] >= best.floor(i)) & (bound[r] > -np.inf)
-        some = np.flatnonzero(live.any(axis=0))
-        if not len(some):
-            continue
-        if 4 * len(some) >= 3 * len(x):
-            some = np.arange(len(x))
-        scores = queries[rows.start : rows.stop] @ (values if len(some) == len(x) else values[some]).T
-        seen += scores.size
-        for r, i in enumerate(rows):
-            at = np.flatnonzero((scores[r] >= best.floor(i)) & live[r, some])
-            if len(at):
-                settle(i, some[at], scores[r, at])
+            slack = 1e-6 * (q_table.shape[1] + 8) * far * float(np.sqrt((q_table[i] * q_table[i]).sum())) + 1e-3
+            bound = bounds[r] + np.float32(slack)
+            live = np.flatnonzero(bound >= best.floor(i)) if best.floor(i) > -np.inf else np.arange(len(x))
+            size = step
+            while len(live):
+                if len(live) > size:  # the ``size`` best bounds now, the others only if the next of them can still win
+                    part = np.argpartition(-bound[live], size)
+                    now, live = live[part[:size]], live[part[size:]]
+                else:
+                    now, live = live, live[:0]
+                scores = values[now] @ queries[i]
+                seen += len(now)
+                good = (scores >= best.floor(i)) & (x_ids[now] != best.ids[i])
+                if good.any():
+                    best.add(i, scores[good].astype(np.int64), x_ids[now[good]])
+                live = live[bound[live] >= best.floor(i)]
+                size *= 2
     return seen
 
 
-def _search(k: int, pivots: dict[int, np.ndarray]):
+def _search(k: int, share: list | None = None):
+    """Kernel over pairs of blocks: the k best of every query.
+
+    It keeps k pairs for each query of the blocks it has met.
+    """
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, best, q, table = None, None, None, None
+        known: dict[bytes, Best] = {}
         for batch in batches:
             for r in range(batch.num_rows):
                 row = batch.slice(r, 1).to_pylist()[0]
-                width = row["width"]
-                if row["q_ids"] != key:
-                    if best is not None:
-                        yield from best.rows()
-                    key, ids = row["q_ids"], np.frombuffer(row["q_ids"], dtype=np.int64)
-                    best, q = Best(ids, k), np.frombuffer(row["q_vectors"], dtype=np.int64).reshape(len(ids), width)
-                    table = np.frombuffer(row["q_table"], dtype=np.float64).reshape(len(ids), -1)
+                width, ids = row["width"], np.frombuffer(row["q_ids"], dtype=np.int64)
+                q = np.frombuffer(row["q_vectors"], dtype=np.int64).reshape(len(ids), width)
+                best = known.setdefault((row["q"], width), Best(ids, k))
                 x_ids = np.frombuffer(row["ids"], dtype=np.int64)
                 x = np.frombuffer(row["vectors"], dtype=np.int64).reshape(len(x_ids), width)
-                search_block(best, q, table, x, x_ids, np.frombuffer(row["table"], dtype=np.float64).reshape(len(x_ids), -1))
-        if best is not None:
+                tables = (np.frombuffer(row[c], dtype=np.float64).reshape(n, -1) for c, n in (("q_table", len(ids)), ("table", len(x_ids))))
+                seen = search_block(best, q, next(tables), x, x_ids, next(tables))
+                if share is not None:
+                    share.append((seen, len(q) * len(x)))
+        for best in known.values():
             yield from best.rows()
 
     return run
 
 
-def _with_table(frame: DataFrame, pivots: dict[int, np.ndarray]) -> DataFrame:
+def _with_table(frame: DataFrame, bases: dict[int, np.ndarray]) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         schema = pa.schema([*BLOCK, ("table", pa.binary())])
         for batch in batches:
-            tables = [_distances(np.frombuffer(v, dtype=np.int64).reshape(-1, w) if w else np.zeros((n, 0)), pivots[w]).tobytes() for v, n, w in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), batch.column(3).to_pylist())]
+            tables = [_table(np.frombuffer(v, dtype=np.int64).reshape(-1, w) if w else np.zeros((n, 0)), bases[w]).tobytes() for v, n, w in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), batch.column(3).to_pylist())]
             yield batch_of(schema, *batch.columns, tables)
 
     return frame.mapInArrow(run, BLOCK_DDL + ", table binary")
 
 
-def top_k(vectors: DataFrame, k: int = 20, every: int = 20, n_pivots: int = 32, query_rows: int = 512, block_rows: int = 8192, scale: int = 64, id_col: str = "vec_id", vector_col: str = "embedding", max_widths: int = 64) -> DataFrame:
+def top_k(vectors: DataFrame, k: int = 20, every: int = 20, n_pivots: int = 56, query_rows: int = 512, block_rows: int = 8192, scale: int = 64, id_col: str = "vec_id", vector_col: str = "embedding", max_widths: int = 64) -> DataFrame:
     """(query_id, rank, vec_id, score): the k best other rows of each query by integer inner product.
 
     Queries are the rows whose id is divisible by ``every``; candidates are all
@@ -188,13 +196,12 @@ def top_k(vectors: DataFrame, k: int = 20, every: int = 20, n_pivots: int = 32,
     chosen: dict[int, list] = {}
     for r in sample.withColumn("r", F.row_number().over(per)).where(F.col("r") <= n_pivots).collect():
         chosen.setdefault(r.width, []).append(list(r.vec))
-    known = {w: np.array(v, dtype=np.int64).reshape(len(v), w) for w, v in chosen.items()}
 
-    class Pivots(dict):
-        def __missing__(self, width):  # a rare dimension that the sample lacks: the origin is a pivot
-            return np.zeros((1, width), dtype=np.int64)
+    class Bases(dict):
+        def __missing__(self, width):  # a rare dimension that the sample lacks: the origin is its only pivot
+            return np.zeros((width, 0))
 
-    pivots = Pivots(known)
+    pivots = Bases({w: basis_of(np.array(v, dtype=np.int64).reshape(len(v), w)) for w, v in chosen.items()})
     candidates = durable(_with_table(blocks(usable, block_rows), pivots))
     asked = usable.where(F.pmod("id", F.lit(every)) == 0).repartition(F.pmod(F.xxhash64("id"), F.lit(997)))
     queries = _with_table(blocks(asked.coalesce(max(1, asked.sparkSession.sparkContext.defaultParallelism)), query_rows), pivots)
@@ -204,7 +211,7 @@ def top_k(vectors: DataFrame, k: int = 20, every: int = 20, n_pivots: int = 32,
     groups = max(1, min(4096, queries.count()))
     spread = candidates.withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
     pairs = spread.join(queries.withColumn("g", F.pmod(F.xxhash64("q"), F.lit(groups)).cast("int")), ["g", "width"])
-    pairs = pairs.select("q_ids", "q_vectors", "q_table", "ids", "vectors", "table", "width")
-    found = pairs.mapInArrow(_search(k, pivots), FOUND_DDL)
+    pairs = pairs.select("q", "q_ids", "q_vectors", "q_table", "ids", "vectors", "table", "width")
+    found = pairs.mapInArrow(_search(k), FOUND_DDL)
     first = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(first)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Rolling, batch_of, chunks
+from .common import Rolling, batch_of, chunks, unused
 
 # The white space of Unicode, and the contractions that are pieces of their own.
 WHITE_SPACE = [9, 10, 11, 12, 13, 32, 133, 160, 5760, *range(8192, 8203), 8232, 8233, 8239, 8287, 12288]
@@ -338,8 +338,9 @@ def encode(docs: DataFrame, path: str, text_col: str = "text", ids_col: str = "i
         ids = list(c.encode_batch(texts.tolist()))
         return pd.DataFrame({"ids": [x.astype(np.int32) for x in ids], "offsets": [c.offsets(x) for x in ids]})
 
-    out = docs.withColumn("_encoded", run(F.coalesce(F.col(text_col), F.lit(""))))
-    return out.withColumn(ids_col, F.col("_encoded.ids")).withColumn(offsets_col, F.col("_encoded.offsets")).drop("_encoded")
+    done = unused("_encoded", docs, ids_col, offsets_col)
+    out = docs.withColumn(done, run(F.coalesce(F.col(text_col), F.lit(""))))
+    return out.withColumn(ids_col, F.col(f"{done}.ids")).withColumn(offsets_col, F.col(f"{done}.offsets")).drop(done)
 
 
 def decode(encoded: DataFrame, path: str, ids_col: str = "ids", bytes_col: str = "decoded") -> DataFrame:

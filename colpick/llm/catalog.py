@@ -11,16 +11,20 @@ from .common import load, shared_folder
 
 
 def _token_counts(spark, sf_dir):
-    """Three batches: all documents put in under two tokenizer versions, then one counted anew; the first is sent twice.
+    """Batches: all documents put in under two tokenizer versions, one version counted anew, and the
+    documents that are labelled toxic taken out again; the first is sent twice.
 
     The ledger is a new folder beside the session's checkpoints.
     """
-    docs = load(spark, sf_dir, "documents", "text", "source", "lang")
+    docs = load(spark, sf_dir, "documents", "doc_id", "text", "source", "lang")
+    toxic = load(spark, sf_dir, "labels", "doc_id", "toxic").where("toxic = 1").select("doc_id").distinct()
+    gone = docs.join(toxic, "doc_id", "left_semi")
     words, letters = token_counts.word_tokens, token_counts.letter_tokens
     load_words = token_counts.counted(docs, "words-1", words)
     load_letters = token_counts.counted(docs, "letters-1", words)
     recount = token_counts.revised(docs, "letters-1", words, letters)
-    batches = [("load-words", load_words), ("load-letters", load_letters), ("recount", recount), ("load-words", load_words)]
+    taken = token_counts.counted(gone, "words-1", words, -1).unionByName(token_counts.counted(gone, "letters-1", letters, -1))
+    batches = [("load-words", load_words), ("load-letters", load_letters), ("recount", recount), ("taken-down", taken), ("load-words", load_words)]
     return token_counts.commit_batches(spark, f"{shared_folder(spark)}/token-counts-{uuid.uuid4()}", batches)
 
 
@@ -47,7 +51,7 @@ ORACLES = {
     "op1_token_counts": r"""
 WITH c AS (SELECT source, lang, strlen(coalesce(text, '')) AS b,
     len(list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda w: w != '')) AS words,
-    len(list_filter(regexp_split_to_array(coalesce(text, ''), '[^A-Za-z0-9]+'), lambda w: w != '')) AS letters FROM documents)
+    len(list_filter(regexp_split_to_array(coalesce(text, ''), '[^A-Za-z0-9]+'), lambda w: w != '')) AS letters FROM documents WHERE doc_id IS NULL OR doc_id NOT IN (SELECT doc_id FROM labels WHERE toxic = 1 AND doc_id IS NOT NULL))
 SELECT source, lang, tokenizer, count(*) AS n_docs, sum(CASE WHEN tokenizer = 'words-1' THEN words ELSE letters END)::BIGINT AS n_tokens, sum(b)::BIGINT AS n_bytes
 FROM c, (VALUES ('words-1'), ('letters-1')) v(tokenizer) GROUP BY ALL""",
     "op7_topk": """

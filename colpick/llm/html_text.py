@@ -39,6 +39,8 @@ VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "met
 #: Ends of elements that HTML lets authors leave out.
 CLOSED_BY = {"p": BLOCK - {"br", "body", "html"}, "li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr"}, "td": {"td", "th", "tr"}, "th": {"td", "th", "tr"}, "option": {"option"}}
 CHROME_NAMES = re.compile(r"(?:^|[\s_-])(?:ad|ads|advert\w*|adbox|banner|sponsor\w*|promo\w*|cookie\w*|consent|notice|gdpr|popup|modal|newsletter|subscribe|nav\w*|menu|breadcrumb\w*|sidebar|side|footer|foot|header|masthead|comment\w*|disqus|replies|reply|social|share|sharing|related|recommend\w*|widget|pagination|pager|toolbar|login|search)(?:$|[\s_-])", re.I)
+#: An article of such a name is a reader's comment, not the page's.
+COMMENT_NAMES = re.compile(r"(?:^|[\s_-])(?:comment\w*|disqus|replies|reply)(?:$|[\s_-])", re.I)
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|</?[a-zA-Z](?:[^<>\"']|\"[^\"]*\"|'[^']*')*>|</?[a-zA-Z][^<>]*>|[^<]+|<", re.S)
 NAME = re.compile(r"</?([a-zA-Z][^\s/>]*)")
 ATTRIBUTE = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>\"']+))", re.I)
@@ -96,7 +98,7 @@ def parse(html: str | None) -> tuple[list[str], list[str]]:
         if role != OUT:
             if name in SILENT or (name in CHROME and not (name == "header" and role == INSIDE)):
                 now = OUT
-            elif HIDDEN.search(token) or any(CHROME_NAMES.search(a or b or c) for a, b, c in ATTRIBUTE.findall(token)) and name not in ("body", "html", *MAIN):
+            elif name not in ("body", "html") and (HIDDEN.search(token) or any((COMMENT_NAMES if name in MAIN else CHROME_NAMES).search(a or b or c) for a, b, c in ATTRIBUTE.findall(token))):
                 now = OUT
             elif name in MAIN and role == OPEN:
                 now = INSIDE

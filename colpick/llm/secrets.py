@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch_of
+from .common import batch_of, unused
 
 # The base patterns and their least lengths.
 ASSIGN = re.compile(r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII)
@@ -66,14 +66,35 @@ class Markov:
 
         self.table = (model(random_strings) - model(identifiers)).tolist()
 
-    def ratio(self, s: str) -> float:
-        """Log-likelihood ratio a character."""
-        at, total, other = 0, 0.0, len(self.table) - 1
+    def gains(self, s: str) -> list[float]:
+        """Log-likelihood ratio of each character after the one before it."""
+        at, out, other = 0, [], len(self.table) - 1
         for c in s:
             to = self.code.get(c, other)
-            total += self.table[at][to]
+            out.append(self.table[at][to])
             at = to
-        return total / max(1, len(s))
+        return out
+
+    def ratio(self, s: str) -> float:
+        """Log-likelihood ratio a character."""
+        return sum(self.gains(s)) / max(1, len(s))
+
+
+def best_runs(gains: list[float]) -> list[tuple[int, int]]:
+    """The maximal runs of positive sum: none can be made longer or shorter at an end to its advantage."""
+    runs: list[tuple[int, int, float, float]] = []  # (start, end, sum before, sum up to the end)
+    total = 0.0
+    for i, g in enumerate(gains):
+        now = (i, i + 1, total, total + g)
+        total += g
+        while g > 0:
+            j = next((j for j in range(len(runs) - 1, -1, -1) if runs[j][2] < now[2]), None)
+            if j is None or runs[j][3] >= now[3]:
+                runs.append(now)
+                break
+            now = (runs[j][0], now[1], runs[j][2], now[3])
+            del runs[j:]
+    return [(a, b) for a, b, _, _ in runs]
 
 
 def random_samples(n: int = 6000, seed: int = 5) -> list[str]:
@@ -122,16 +143,44 @@ def train(docs: DataFrame, sample_docs: int = 2000, id_col: str = "doc_id", text
     return Markov(random_samples() + found, identifier_samples(words))
 
 
-def markov_spans(text: str, model: Markov, threshold: float, least: int = 20) -> list[tuple[int, int, str]]:
-    """Runs of secret-like characters that look random: long enough, with a digit and a letter."""
+def free_parts(a: int, b: int, taken: list[tuple[int, int, str]]) -> list[tuple[int, int]]:
+    """What sorted spans leave of the range a to b."""
+    out = []
+    for x, y, _ in taken:
+        if y > a and x < b:
+            if x > a:
+                out.append((a, x))
+            a = max(a, y)
+    return [*out, (a, b)] if a < b else out
+
+
+def markov_spans(text: str, model: Markov, threshold: float, least: int = 20, taken: list[tuple[int, int, str]] = ()) -> list[tuple[int, int, str]]:
+    """Stretches of secret-like characters that look random, outside the spans ``taken``.
+
+    Of a run of such characters the parts count whose log-likelihood ratio is
+    above ``threshold`` a character, each up to the ends of its letters and
+    digits, so that a key at the end of a long path stands out.  A part that has
+    no digit or no letter needs twice the ratio.
+    """
     out = []
     for m in CANDIDATE.finditer(text):
-        a, b = m.span()
-        s = m.group()
-        cut = len(s) - len(s.lstrip("=/-_+"))
-        s, a = s[cut:], a + cut
-        if len(s) >= least and any(c.isdigit() for c in s) and any(c.isalpha() for c in s) and len(set(s)) >= 8 and model.ratio(s) >= threshold:
-            out.append((a, b, "markov"))
+        for a, b in free_parts(*m.span(), taken):
+            if b - a < least:
+                continue
+            s, end = text[a:b], 0
+            for x, y in best_runs([g - threshold for g in model.gains(s)]):
+                if y - x < least // 2 or x < end:
+                    continue
+                while x > end and s[x - 1].isalnum():
+                    x -= 1
+                while y < len(s) and s[y].isalnum():
+                    y += 1
+                x += len(s[x:y]) - len(s[x:y].lstrip("=/-_+"))
+                part = s[x:y]
+                need = threshold if any(c.isdigit() for c in part) and any(c.isalpha() for c in part) else 2 * threshold
+                if len(part) >= least and len(set(part)) >= 8 and model.ratio(part) >= need:
+                    out.append((a + x, a + y, "markov"))
+                    end = y
     return out
 
 
@@ -139,9 +188,7 @@ def spans_of(text: str | None, model: Markov, threshold: float) -> tuple[list, l
     """(base spans, all spans), each sorted by start and kind; all of a null text's are none."""
     text = text or ""
     base = base_spans(text)
-    covered = lambda a, b: any(x < b and a < y for x, y, _ in base)
-    added = [s for s in markov_spans(text, model, threshold) if not covered(s[0], s[1])]
-    return base, sorted(base + added, key=lambda s: (s[0], KINDS.index(s[2])))
+    return base, sorted(base + markov_spans(text, model, threshold, taken=base), key=lambda s: (s[0], KINDS.index(s[2])))
 
 
 def spell(spans: list[tuple[int, int, str]]) -> str:
@@ -199,14 +246,9 @@ def redact(docs: DataFrame, model: Markov | None = None, threshold: float = 0.5,
 
         return pd.Series(out, dtype=object)
 
-    out = docs.withColumn("_clean", clean(F.col(text_col)))
+    done = unused("_clean", docs)
+    out = docs.withColumn(done, clean(F.col(text_col)))
     if length_col and length_col in docs.columns:
         kind = docs.schema[length_col].dataType
-        out = out.withColumn(length_col, F.when(F.col("_clean").eqNullSafe(F.col(text_col)), F.col(length_col)).otherwise(F.length("_clean").cast(kind)))
-    return out.withColumn(text_col, F.col("_clean")).drop("_clean")
-
-
-def entropy(s: str) -> float:
-    """Shannon entropy of a string's characters, in bits: for reports beside the ratio."""
-    n = len(s)
-    return -sum(c / n * math.log2(c / n) for c in (s.count(x) for x in set(s))) if n else 0.0
+        out = out.withColumn(length_col, F.when(F.col(done).eqNullSafe(F.col(text_col)), F.col(length_col)).otherwise(F.length(done).cast(kind)))
+    return out.withColumn(text_col, F.col(done)).drop(done)

@@ -10,6 +10,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import unused
+
 
 def uniform(key: Column, shard: object) -> Column:
     """A number in (0, 1) from 52 bits of a digest of key and shard."""
@@ -44,14 +46,14 @@ def slots(df: DataFrame, shard: str, part: Column, order: list[str]) -> DataFram
     the counts of one shard summed up in a window over its parts, and rows
     numbered within their part, so that no task gets a whole shard.
     """
-    cut = df.withColumn("_part", part)
-    sizes = cut.groupBy(shard, "_part").agg(F.count("*").alias("_n"))
-    before = Window.partitionBy(shard).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = sizes.select(F.col(shard).alias("_shard"), F.col("_part").alias("_of"), F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_before"))
-    within = Window.partitionBy(shard, "_part").orderBy(*order)
-    numbered = cut.withColumn("_row", F.row_number().over(within) - 1)
-    joined = numbered.join(F.broadcast(offsets), (F.col(shard) == F.col("_shard")) & (F.col("_part") == F.col("_of")))
-    return joined.withColumn("slot", (F.col("_row") + F.col("_before")).cast("long")).drop("_part", "_row", "_shard", "_of", "_before")
+    p, n, row, at, of, before = (unused(f"_{x}", df) for x in ("part", "n", "row", "shard", "of", "before"))
+    cut = df.withColumn(p, part)
+    sizes = cut.groupBy(shard, p).agg(F.count("*").alias(n))
+    sums = F.coalesce(F.sum(n).over(Window.partitionBy(shard).orderBy(p).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    offsets = sizes.select(F.col(shard).alias(at), F.col(p).alias(of), sums.alias(before))
+    numbered = cut.withColumn(row, F.row_number().over(Window.partitionBy(shard, p).orderBy(*order)) - 1)
+    joined = numbered.join(F.broadcast(offsets), (F.col(shard) == F.col(at)) & (F.col(p) == F.col(of)))
+    return joined.withColumn("slot", (F.col(row) + F.col(before)).cast("long")).drop(p, row, at, of, before)
 
 
 def shard_documents(docs: DataFrame, shards: int = 40, id_col: str = "doc_id", text_col: str = "text", overhead: int = 16) -> DataFrame:

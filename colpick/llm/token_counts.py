@@ -77,7 +77,9 @@ class Ledger:
 
     A batch is written aside and renamed into place by a rename that refuses a
     target that exists (the plain one would move the directory into it), so of
-    two writers of one batch one wins and nothing is counted twice.
+    two writers of one batch one wins and nothing is counted twice.  Compaction
+    adds up what is there into a base, which also keeps the names of its batches;
+    a directory whose name is in the base no longer counts.
     """
 
     def __init__(self, spark: SparkSession, path: str):
@@ -88,26 +90,70 @@ class Ledger:
     def _path(self, name: str):
         return self.jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}" if name else self.path)
 
-    def batches(self) -> list[str]:
+    def _names(self, start: str) -> list[str]:
         if not self.fs.exists(self._path("")):
             return []
-        return sorted(n[6:] for s in self.fs.listStatus(self._path("")) if (n := s.getPath().getName()).startswith("batch="))
+        return sorted(n.removeprefix(start) for s in self.fs.listStatus(self._path("")) if (n := s.getPath().getName()).startswith(start))
+
+    def _base(self) -> str | None:
+        """The folder of the last base."""
+        numbers = [int(n) for n in self._names("base=")]
+        return f"{self.path}/base={max(numbers)}" if numbers else None
+
+    def _in_base(self) -> set[str]:
+        base = self._base()
+        return {r.name for r in self.spark.read.parquet(f"{base}/names").collect()} if base else set()
+
+    def batches(self) -> list[str]:
+        """Names of all batches that are in, those of the base included."""
+        return sorted({*self._names("batch="), *self._in_base()})
 
     def commit(self, name: str, batch: DataFrame) -> bool:
         """Adds a batch under a name; False, and nothing changed, if the name is in already."""
         if not re.fullmatch(r"[A-Za-z0-9._-]+", name):
             raise ValueError(f"not a batch name: {name!r}")
         final = self._path(f"batch={name}")
-        if self.fs.exists(final):
+        if self.fs.exists(final) or name in self._in_base():
             return False
-        aside = f"_writing-{name}-{self.jvm.java.util.UUID.randomUUID()}"
+        return self._write(final, f"{name}-", lambda place: summed(batch).write.parquet(place))
+
+    def _write(self, final, mark: str, write) -> bool:
+        aside = f"_writing-{mark}{self.jvm.java.util.UUID.randomUUID()}"
         self.fs.mkdirs(self._path(""))
-        summed(batch).write.parquet(f"{self.path}/{aside}/part")
+        write(f"{self.path}/{aside}/part")
         try:
             return self._publish(self._path(f"{aside}/part"), final)
         finally:
             self.fs.delete(self._path(aside), True)
 
+    def compact(self) -> bool:
+        """Makes one base of the last one and all batches beside it, then deletes what it replaces.
+
+        False if there is nothing to add or another compaction was faster.
+        """
+        before, new = self._base(), [n for n in self._names("batch=") if n not in self._in_base()]
+        if not new:
+            return False
+        names, number = [(n,) for n in self.batches()], 1 + int(before.rpartition("=")[2]) if before else 0
+
+        def write(place: str) -> None:
+            self.totals().write.parquet(f"{place}/totals")
+            self.spark.createDataFrame(names, "name string").coalesce(1).write.parquet(f"{place}/names")
+
+        if not self._write(self._path(f"base={number}"), "base-", write):
+            return False
+        for old in [*(f"batch={n}" for n in new), *([before.rpartition("/")[2]] if before else [])]:
+            self.fs.delete(self._path(old), True)
+        return True
+
+    def sweep(self, older_than_seconds: float = 86_400) -> int:
+        """Deletes what writers that died have left aside for so long; returns how many."""
+        limit = self.jvm.java.lang.System.currentTimeMillis() - int(1000 * older_than_seconds)
+        old = [s.getPath() for s in self.fs.listStatus(self._path("")) if s.getPath().getName().startswith("_writing-") and s.getModificationTime() <= limit] if self.fs.exists(self._path("")) else []
+        for place in old:
+            self.fs.delete(place, True)
+        return len(old)
+
     def _publish(self, source, final) -> bool:
         """Renames a directory to a name that doesn't exist; False if it does."""
         fs, sc = self.jvm.org.apache.hadoop.fs, self.spark.sparkContext
@@ -121,11 +167,12 @@ class Ledger:
         return True
 
     def totals(self) -> DataFrame:
-        """The rollup over all committed batches; no batch, no rows."""
-        names = self.batches()
-        if not names:
+        """The rollup over the base and all batches beside it; no batch, no rows."""
+        base, inside = self._base(), self._in_base()
+        places = [f"{self.path}/batch={n}" for n in self._names("batch=") if n not in inside] + ([f"{base}/totals"] if base else [])
+        if not places:
             return self.spark.createDataFrame([], ", ".join([*(f"{k} string" for k in KEYS), *(f"{t} long" for t in TOTALS)]))
-        return rollup(self.spark.read.parquet(*[f"{self.path}/batch={n}" for n in names]))
+        return rollup(self.spark.read.parquet(*places))
 
 
 def commit_batches(spark: SparkSession, path: str, batches: Iterable[tuple[str, DataFrame]]) -> DataFrame:

@@ -31,13 +31,36 @@ def test_ledger_adds_batches_once(spark, tmp_path):
     # a writer that comes second between the check and the rename changes nothing
     token_counts.summed(put).write.parquet(str(tmp_path / "late"))
     before = sorted(map(tuple, ledger.totals().collect()), key=repr)
+    # compaction and sweep change no total, and names stay taken
+    (tmp_path / "ledger" / "_writing-dead").mkdir()
+    assert ledger.sweep() == 0 and ledger.sweep(-60) == 1 and ledger.sweep(-60) == 0
+    assert ledger.compact() and not ledger.compact()
+    assert ledger._names("batch=") == [] and ledger.batches() == ["again", "first", "gone"]
+    assert not ledger.commit("first", put) and sorted(map(tuple, ledger.totals().collect()), key=repr) == before
+    assert ledger.commit("more", put) and ledger.compact() and ledger._names("base=") == ["1"]
+    assert ledger.commit("less", token_counts.counted(docs, "w", token_counts.word_tokens, -1))
+    assert sorted(map(tuple, ledger.totals().collect()), key=repr) == before
     late = ledger.jvm.org.apache.hadoop.fs.Path(str(tmp_path / "late"))
-    assert not ledger._publish(late, ledger._path("batch=first")) and sorted(map(tuple, ledger.totals().collect()), key=repr) == before
+    assert not ledger._publish(late, ledger._path("batch=less")) and sorted(map(tuple, ledger.totals().collect()), key=repr) == before
     assert token_counts.commit_batches(spark, str(tmp_path / "two"), [("p", put), ("p", put)]).count() == 3
     assert token_counts.apply_batches([("p", put), ("p", put)]).count() == 3
     assert token_counts.apply_batches([("p", put.limit(0))]).count() == 0
 
 
+def test_tokens_of_a_rank_file_count_as_its_encoder_does(spark):
+    import public_tokenizers
+
+    from colpick.llm import byte_bpe
+
+    path = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
+    texts = ["Hello wörld, it's 2024!", "", None, "x" * 300, " \n\n a"]
+    docs = spark.createDataFrame([("s", "l", i, t) for i, t in enumerate(texts)], "source string, lang string, doc_id long, text string")
+    got = token_counts.summed(token_counts.counted(docs, "bpe", token_counts.bpe_tokens(path))).first()
+    assert (got.n_docs, got.n_tokens) == (5, sum(r.n_tokens for r in byte_bpe.digests(docs, path).collect()))
+    clash = byte_bpe.encode(docs.withColumn("_encoded", F.lit(7)), path)
+    assert clash.columns == [*docs.columns, "_encoded", "ids", "offsets"] and {r._encoded for r in clash.collect()} == {7}
+
+
 # Sharding
 
 
@@ -54,6 +77,8 @@ def test_key_law_slots_and_growth(spark):
     empty = [r for r in got if r.doc_id is None]
     assert all((r.size, r.text_crc32) == (16, 0) for r in empty)
     assert sharding.shard_documents(df.limit(0)).count() == 0
+    own = sharding.slots(df.withColumn("_row", F.lit(2)).withColumn("_shard", F.lit(3)), "shard", F.lit(0), ["doc_id"])
+    assert {(r._part, r._row, r._shard) for r in own.collect()} == {(1, 2, 3)} and sorted(r.slot for r in own.collect()) == list(range(len(rows)))
 
 
 def test_weights(spark):
@@ -75,6 +100,8 @@ def test_article_blocks():
     for odd in (None, "", "<", "a < b > c", "<p", "&bogus; &#x41;", "</div></p>", "<div><article></div>x", "<script>never closed", "<p class=\"a>b\">x</p>"):
         html_text.parse(odd)
     assert html_text.parse("a < b &lt; c")[1] == ["a < b < c"]
+    reader = "<article><p>story</p><article class='comment'><p>me too</p></article></article><article id='comment-7'>first!</article><main class='sidebar-left'>more</main>"
+    assert html_text.parse(reader) == (["story", "more"], [])
 
 
 def brute_repeats(pages, n):
@@ -113,6 +140,52 @@ def test_pages_without_article_lose_what_their_host_repeats(spark):
     assert html_text.extract(df.limit(0)).count() == 0
 
 
+def brute_extract(pages, least=6, long=30, spread=3):
+    """Blocks of distinct pages, less whole blocks and windows that stand on ``spread`` of them."""
+    split = {p: re.findall("<p>(.*?)</p>", p) for p in pages}
+    out = {}
+    for page, blocks in split.items():
+        words = [t for b in blocks for t in b.split()]
+        mark, at = [False] * len(words), 0
+        for b in blocks:
+            n = len(b.split())
+            if n >= least and sum(b in other for other in split.values()) >= spread:
+                mark[at : at + n] = [True] * n
+            at += n
+        for i in range(len(words) - long + 1):
+            gram = " ".join(words[i : i + long])
+            if sum(f" {gram} " in f" {' '.join(other)} " for other in split.values()) >= spread:
+                mark[i : i + long] = [True] * long
+        kept, at = [], 0
+        for b in blocks:
+            n = len(b.split())
+            left = [t for t, gone in zip(b.split(), mark[at : at + n]) if not gone]
+            at += n
+            kept += [" ".join(left)] if left else []
+        out[page] = "\n".join(kept)
+    return out
+
+
+def test_extract_equals_brute_force_on_pages_without_article(spark):
+    rng = random.Random(9)
+    word = lambda: f"w{rng.randrange(5000)}"
+    blocks = [" ".join(word() for _ in range(n)) for n in (3, 6, 9, 40, 60)]
+    pages = []
+    for _ in range(30):
+        page = [" ".join(word() for _ in range(rng.choice([20, 150, 200]))) for _ in range(3)]
+        for b in rng.sample(blocks, rng.choice([0, 1, 2])):
+            page.insert(rng.randrange(4), b)
+        if rng.random() < 0.4:  # a long passage amid a block
+            page[0] = f"{page[0]} {blocks[4]} {word()}"
+        pages.append("<body>" + "".join(f"<p>{b}</p>" for b in page) + "</body>")
+    rows = [(i, "http://h.example/x", p) for i, p in enumerate([*pages, pages[0]])]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    want = brute_extract(pages)
+    assert any(len(want[p]) < len(re.sub("<[^>]*>", "", p)) - 50 for p in pages)
+    for k in (1000, 3):
+        assert {r.page_id: r.text for r in html_text.extract(df, host_pages=k).collect()} == {i: want[p] for i, _, p in rows}
+
+
 def article_less(n):
     notice = "<div>this site keeps cookies to count its readers</div>"
     own = lambda i: " ".join(f"w{i}x{j}" for j in range(60))
@@ -170,13 +243,31 @@ def test_pivots_eliminate_candidates():
     rng = np.random.default_rng(2)
     x = (rng.normal(size=(40, 1, 8)) * 300 + rng.normal(size=(40, 100, 8)) * 3).reshape(-1, 8).astype(np.int64)
     best = topk.Best(np.array([10**9]), 10)
-    pivots = x[rng.integers(0, len(x), 32)]
+    basis = topk.basis_of(x[rng.integers(0, len(x), 6)])
     q = x[np.argmax((x * x).sum(1))][None]
-    seen = topk.search_block(best, q, topk._distances(q, pivots), x, np.arange(len(x)), topk._distances(x, pivots), 64)
+    seen = topk.search_block(best, q, topk._table(q, basis), x, np.arange(len(x)), topk._table(x, basis), 64)
     assert seen < len(x) / 2
     assert best.kept[0][0].tolist() == sorted((x @ q[0]).tolist(), reverse=True)[:10]
 
 
+def test_bounds_hold_and_most_candidates_of_even_directions_go_unevaluated():
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(4000, 64))
+    x = np.floor(64 * x / np.linalg.norm(x, axis=1)[:, None]).astype(np.int64)
+    basis = topk.basis_of(x[:56])
+    assert basis.shape == (64, 56)
+    table = topk._table(x, basis)
+    assert (table[:50] @ table.T + 1e-6 >= x[:50] @ x.T).all()
+    best, seen = topk.Best(np.arange(50), 20), 0
+    for at in range(0, 4000, 1000):
+        seen += topk.search_block(best, x[:50], table[:50], x[at : at + 1000], np.arange(at, at + 1000), table[at : at + 1000])
+    assert seen < 0.25 * 50 * 4000
+    for i in range(50):
+        scores = x @ x[i]
+        want = sorted((-s, j) for j, s in enumerate(scores.tolist()) if j != i)[:20]
+        assert [(-s, j) for s, j in zip(best.kept[i][0].tolist(), best.kept[i][1].tolist())] == want
+
+
 # Toxicity
 
 
@@ -256,7 +347,7 @@ def test_markov_separates_held_out_samples(spark):
     assert np.mean([model.ratio(s) >= 0.5 for s in secrets.identifier_samples(words, 500, 98)]) < 0.02
     key = "q7Zt0bXw9LmPv3KdR8sYc2Ng"
     rows = [(1, f"see {key} and value_index_name_table_count"), (2, None), (2, ""), (None, "password=hunter2hunter2"), (3, "plain words only " * 3000)]
-    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("n_chars", F.length("text").cast("long")).withColumn("spans", F.lit(0))
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("n_chars", F.length("text").cast("long")).withColumn("spans", F.lit(0)).withColumn("_clean", F.lit("own"))
     got = {(r.doc_id, r.spans) for r in secrets.scan(df, model).collect()}
     assert got == {(1, "markov:4:28"), (2, ""), (None, "assign:0:23"), (3, "")}
     clean = sorted(((r.doc_id, r.text, r.n_chars) for r in secrets.redact(df, model).collect()), key=repr)
@@ -264,6 +355,25 @@ def test_markov_separates_held_out_samples(spark):
     assert secrets.scan(df.limit(0), model).count() == 0 and secrets.scan(df.limit(0)).count() == 0
 
 
+def test_random_parts_of_runs_are_found():
+    words = "value index name table count offset buffer length parse stream filter query result".split()
+    model = secrets.Markov(secrets.random_samples(), secrets.identifier_samples(words))
+    key, digest = "q7Zt0bXw9LmPv3KdR8sYc2NgHj4Wf1Ux6TaBe5Qz", "0123456789abcdef0123456789abcdef"
+    path = "/files/table/count/buffer/length/filter/query/result/"
+    found = lambda t: [t[a:b] for a, b, k in secrets.spans_of(t, model, 0.5)[1] if k == "markov"]
+    assert found(f"see {path}{key} there") == [key]
+    assert found(f"{path}{digest}/{key}") == [key]
+    assert found("QhzXkVwJpGtRbNfYcLmDsZqWxKvHj") == ["QhzXkVwJpGtRbNfYcLmDsZqWxKvHj"]
+    assert found("value_index_name_table_count_offset_buffer") == found(path) == found("parseStreamFilterQueryResultBuffer") == []
+    assert secrets.free_parts(2, 20, [(0, 4, "hex"), (6, 8, "hex"), (7, 10, "hex"), (19, 30, "hex")]) == [(4, 6), (10, 19)]
+    rng = random.Random(1)
+    for _ in range(200):
+        gains = [rng.choice([-3, -1, -0.5, 1, 2]) for _ in range(rng.randrange(12))]
+        runs = secrets.best_runs(gains)
+        assert all(sum(gains[a:b]) > 0 and all(sum(gains[a:k]) > 0 and sum(gains[k:b]) > 0 for k in range(a + 1, b)) for a, b in runs)
+        assert {i for a, b in runs for i in range(a, b)} >= {i for i, g in enumerate(gains) if g > 0}
+
+
 # Pipeline
 
 
@@ -291,4 +401,15 @@ def test_pipeline_stages(spark, tmp_path):
     assert seen["secret_scan"][1004]["text"] == "[SECRET]" and seen["secret_scan"][1000]["text"] == long
     assert seen["byte_bpe"][1000]["decoded_sha256"] == hashlib.sha256(long.encode()).hexdigest()
     assert {r.doc_id for r in corpus_pipeline.run(spark, str(tmp_path)).collect()} == set(seen["byte_bpe"])
+    # nulls, repeated rows, columns of clashing names; then nothing at all
+    odd = frame.unionByName(frame.limit(3)).unionByName(spark.createDataFrame([(None, None, None, None, None), (None, "x", None, "s", 1)], schema))
+    for c in ("_clean", "_id", "row", "block", "score", "root"):
+        odd = odd.withColumn(c, F.lit(c))
+    for rows_in in (odd, odd.limit(0)):
+        now = rows_in
+        for name, stage in corpus_pipeline.STAGES:
+            now = stage(spark, now, str(tmp_path))
+            assert name == "byte_bpe" or now.columns == odd.columns
+            now = spark.createDataFrame(now.collect(), now.schema)
+        assert (now.count() > 0) == (rows_in is odd)
     assert when

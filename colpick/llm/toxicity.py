@@ -3,10 +3,14 @@
 Kernel.  k(s, t) sums, over all pairs of equal subsequences of ``P`` characters
 of s and t, DECAY to the number of characters skipped in both.  Landmarks are
 short strings taken from the labelled texts; a text is represented by its
-strongest match k(w, l) / k(l, l) with each landmark over all its words w, by
-the Nystroem map of that row of the kernel matrix, and by how far the matches
-exceed a second, higher level.  Inserted or left out characters lower a match
-but don't destroy it.
+strongest match k(w, l) / k(l, l) with each landmark over all its words w.
+Inserted or left out characters lower a match but don't destroy it.  Two kernels
+are made of the matches, by how far they exceed either of two levels, and both
+rows of the kernel matrix go through the landmarks' Nystroem map.
+
+Training.  A label is of a whole text.  All sentences of a clean text are clean;
+of a toxic text one at least is toxic, and the machine is trained again with the
+one that it scores highest as its witness.
 
 Words are lower-cased runs of non-space bytes without ASCII punctuation; letters
 set apart by single spaces are joined.  They are read between a mark for their
@@ -132,7 +136,7 @@ class Model:
 
     def features(self, rows: np.ndarray) -> np.ndarray:
         low, high = (np.maximum(rows - x, 0) / (1 - x) for x in LEVELS)
-        return np.hstack([low @ self.whiten, high, np.ones((len(rows), 1))])
+        return np.hstack([low @ self.whiten, high @ self.whiten, np.ones((len(rows), 1))])
 
     def scores(self, rows: np.ndarray) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.slope * (self.features(rows) @ self.weights) + self.offset, -50, 50)))
@@ -201,15 +205,39 @@ def train_machine(x: np.ndarray, y: np.ndarray, cost: float = 10.0, rounds: int
     return w
 
 
-def marked_sentences(matcher: Matcher, texts: list[str | None]) -> np.ndarray:
-    """Distinct rows of the sentences of toxic texts that match a landmark well: mostly one match each."""
-    sentences = [s for t in texts for s in re.split(r"[.!?\n]+", t or "") if s.strip()]
-    rows = matcher.rows(sentences) if sentences else np.zeros((0, len(matcher.landmarks)))
-    rows = np.unique(np.round(rows[rows.max(axis=1, initial=0) > LEVELS[1]], 2), axis=0)
-    return rows
+def sentences_of(text: str | None) -> list[str]:
+    return [s for s in re.split(r"[.!?\n]+", text or "") if s.strip()]
+
+
+def distinct(rows: np.ndarray) -> np.ndarray:
+    return np.unique(np.round(rows, 2), axis=0)
+
+
+def witnesses(model: Model, bags: list[np.ndarray]) -> np.ndarray:
+    """Of the sentences of each toxic text, the row that the machine scores highest."""
+    return distinct(np.array([rows[np.argmax(model.features(rows) @ model.weights)] for rows in bags])) if bags else np.zeros((0, len(model.landmarks)))
 
 
-def fit(texts: list[str | None], labels: list[int]) -> Model:
+def calibrate(margin: np.ndarray, y: np.ndarray, rounds: int = 100) -> tuple[float, float]:
+    """(slope, offset) of the logistic curve through the margins, both classes of equal weight and targets smoothed by a case."""
+    up, down = max(1, int((y > 0).sum())), max(1, int((y < 0).sum()))
+    goal = np.where(y > 0, (up + 1) / (up + 2), 1 / (down + 2))
+    weight = np.where(y > 0, 0.5 / up, 0.5 / down)
+    x, at = np.column_stack([margin, np.ones(len(margin))]), np.array([1.0, 0.0])
+    loss = lambda p: float((weight * (np.logaddexp(0, x @ p) - goal * (x @ p))).sum())
+    for _ in range(rounds):
+        p = 1 / (1 + np.exp(-np.clip(x @ at, -50, 50)))
+        step = np.linalg.solve((x.T * (weight * p * (1 - p))) @ x + 1e-9 * np.eye(2), x.T @ (weight * (p - goal)))
+        size = 1.0
+        while size > 1e-6 and loss(at - size * step) > loss(at):
+            size /= 2
+        at = at - size * step
+        if np.abs(size * step).max() < 1e-8:
+            break
+    return float(at[0]), float(at[1])
+
+
+def fit(texts: list[str | None], labels: list[int], rounds: int = 2) -> Model:
     """Landmarks, machine and calibration from labelled texts; without both classes every score is the majority's."""
     if len(set(labels)) < 2:
         return Model([], np.zeros((0, 0)), np.zeros(1), 1.0, 2.0 if labels and labels[0] == 1 else -2.0)
@@ -224,15 +252,15 @@ def fit(texts: list[str | None], labels: list[int]) -> Model:
     whiten = vectors @ np.diag(1 / np.sqrt(np.maximum(values, 1e-2))) @ vectors.T
     model = Model(landmarks, whiten, np.zeros(2 * len(landmarks) + 1))
     y = np.where(np.array(labels) == 1, 1.0, -1.0)
-    more = marked_sentences(matcher, [t for t, v in zip(texts, labels) if v == 1])
-    rows, y = np.vstack([rows, more]), np.append(y, np.ones(len(more)))
-    x = model.features(rows)
-    model.weights = train_machine(x, y)
-    # calibration: a logistic curve through the margins, its middle at the decision boundary
-    margin = x @ model.weights
-    grid_slopes = np.linspace(0.5, 8, 60)
-    loss = [np.logaddexp(0, -s * y * margin).mean() for s in grid_slopes]
-    model.slope = float(grid_slopes[int(np.argmin(loss))])
+    model.weights = train_machine(model.features(rows), y)
+    bags = [matcher.rows(s) for t, v in zip(texts, y) if v > 0 and (s := sentences_of(t))]
+    clean = [s for t, v in zip(texts, y) if v < 0 for s in sentences_of(t)]
+    clean = distinct(matcher.rows(clean)) if clean else np.zeros((0, len(landmarks)))
+    for _ in range(rounds):
+        found = witnesses(model, bags)
+        all_rows, all_y = np.vstack([rows, found, clean]), np.concatenate([y, np.ones(len(found)), -np.ones(len(clean))])
+        model.weights = train_machine(model.features(all_rows), all_y)
+    model.slope, model.offset = calibrate(model.features(rows) @ model.weights, y)
     return model
 
 

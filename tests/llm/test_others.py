@@ -322,6 +322,29 @@ def test_toxicity_on_held_out_rows(spark):
     assert toxicity.score(docs, one).where("predicted = 1").count() == 0
 
 
+def test_scores_equal_brute_force():
+    rows = labelled(250, 5)
+    model = toxicity.fit([t for _, t, _ in rows], [y for _, _, y in rows])
+    assert model.landmarks and model.slope > 0
+    texts = [t for _, t, _ in rows[:12]] + ["taro dimw-it nile", "blockhhead", "", "d i m w i t"]
+    for text, got in zip(texts, model.scores(toxicity.Matcher(model.landmarks).rows(texts))):
+        match = [max([brute_kernel(w, x, toxicity.P, toxicity.DECAY) / brute_kernel(x, x, toxicity.P, toxicity.DECAY) for w in toxicity.words(text)], default=0) for x in model.landmarks]
+        parts = [np.array([max(0, min(m, 1) - level) / (1 - level) for m in match]) @ model.whiten for level in toxicity.LEVELS]
+        margin = float(np.concatenate([*parts, [1]]) @ model.weights)
+        assert np.isclose(got, 1 / (1 + np.exp(-(model.slope * margin + model.offset))), atol=1e-4), text
+
+
+def test_calibration_and_witnesses():
+    rng = np.random.default_rng(0)
+    y = np.where(rng.random(4000) < 0.5, 1.0, -1.0)
+    margin = rng.normal(size=4000) + 1.5 * y + 0.7
+    slope, offset = toxicity.calibrate(margin, y)
+    assert abs(slope - 3) < 0.4 and abs(offset + 0.7 * slope) < 0.3  # the true curve of two normal laws
+    model = toxicity.Model([b"^ab$"], np.eye(1), np.array([1.0, 1.0, 0.0]))
+    assert toxicity.witnesses(model, [np.array([[0.1], [0.9], [0.5]]), np.array([[0.6]])]).tolist() == [[0.6], [0.9]]
+    assert toxicity.sentences_of("one. two!\nthree? ") == ["one", " two", "three"] and toxicity.sentences_of(None) == []
+
+
 # Secrets
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -22,8 +24,36 @@ def uniform_block(seed: int, ids: np.ndarray, r: int, lane: int = 0) -> np.ndarr
     return ((_mixed(seed, ids, r, lane) >> np.uint64(11)).astype(np.float64) + 0.5) / float(1 << 53)
 
 
-def block(seed: int, ids: np.ndarray, r: int, law="sparse_sign", s: int = 3) -> np.ndarray:
-    """Entries of the map for these columns, n x r; ``law`` may be a function of uniforms."""
+def hashed_number(*parts) -> int:
+    """The number of :func:`hashed` for plain values."""
+    return int(hashlib.md5(":".join(map(str, parts)).encode()).hexdigest()[:8], 16)
+
+
+def sparsity(law, s, n: int = 0):
+    """The s of the sparse law: a number, or 'sqrt' of the number of columns n."""
+    return max(1, round(n**0.5)) if s == "sqrt" else s
+
+
+def hashed_block(seed: int, ids: np.ndarray, r: int, law="sparse_sign", s: int = 3) -> np.ndarray:
+    """The entries that :func:`omega` gives, n x r, for the kernels: the same draws as in SQL."""
+    h = np.array([[hashed_number(seed, int(i), k) for k in range(1, r + 1)] for i in ids], dtype=np.int64).reshape(len(ids), r)
+    if law == "sign":
+        return (h % 2 * 2 - 1).astype(np.float64)
+    if law == "sparse_sign":
+        return np.where(h % (2 * s) == 0, 1.0, np.where(h % (2 * s) == 1, -1.0, 0.0))
+    if law == "gaussian":
+        other = np.array([[hashed_number(seed + 1, int(i), k) for k in range(1, r + 1)] for i in ids], dtype=np.float64).reshape(len(ids), r)
+        return np.sqrt(-2 * np.log((h + 0.5) / 2.0**32)) * np.cos(2 * np.pi * (other + 0.5) / 2.0**32)
+    raise ValueError(f"unknown law {law!r}")
+
+
+def block(seed: int, ids: np.ndarray, r: int, law="sparse_sign", s: int = 3, draws: str = "mixed") -> np.ndarray:
+    """Entries of the map for these columns, n x r; ``law`` may be a function of uniforms.
+
+    draws: 'mixed', fast, or 'hash', which SQL can repeat.
+    """
+    if draws == "hash":
+        return hashed_block(seed, ids, r, law, s)
     u = uniform_block(seed, ids, r)
     if callable(law):
         return law(u)

@@ -6,6 +6,7 @@ import itertools
 import math
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -102,21 +103,27 @@ def two_phase_select(a: ColumnFrame, l: int, prob: str = "leverage", cut: str =
 
 
 def exhaustive_select(a: ColumnFrame, l: int, most: int = 30) -> DataFrame:
-    """The best l columns of all subsets, for up to ``most`` columns."""
+    """The best l columns of all subsets, for up to ``most`` columns, in order of ids; each step has what it adds to those before."""
     ids, g = gram_local(a, most)
     top, best = -1.0, ()
     for s in itertools.combinations(range(len(ids)), min(l, len(ids))):
-        inner = g[np.ix_(s, s)]
-        rows = g[list(s)]
-        gain = float(np.trace(np.linalg.pinv(inner) @ rows @ rows.T))
+        gain = explained(g, s)
         if gain > top * (1 + 1e-12):
             top, best = gain, s
-    trace, left = kernel.Trace(), float(np.trace(g))
-    for i in best:
-        trace.add(i, top, left - top)
+    trace, energy, before = kernel.Trace(), float(np.trace(g)), 0.0
+    for k, i in enumerate(best):
+        now = explained(g, best[: k + 1])
+        trace.add(i, now - before, energy - now)
+        before = now
     return greedy.selection(a.spark, ids, trace)
 
 
+def explained(g: np.ndarray, s) -> float:
+    """Energy that columns s explain, from the Gram matrix."""
+    s = list(s)
+    return float(np.trace(np.linalg.pinv(g[np.ix_(s, s)]) @ g[s] @ g[s].T))
+
+
 local_union_select = distributed.local_union_select
 
 
@@ -132,19 +139,88 @@ def kmeans_nearest_select(a: ColumnFrame, l: int, seed: int = 0, rounds: int = 1
     return _listed(a, sorted({best[i].col_id for i in range(len(centres))}))
 
 
-def kmedoids_select(a: ColumnFrame, l: int, seed: int = 0, rounds: int = 10, sample: int = 2000) -> DataFrame:
-    """Medoids of a hash sample of at most ``sample`` columns, by alternating assignment and update."""
-    ids = sorted(r.col_id for r in uniform_ids(a.df, sample, seed).collect())
-    x = greedy.by_id(a, ids).T
-    d = np.sqrt(np.maximum((x * x).sum(1)[:, None] + (x * x).sum(1)[None] - 2 * x @ x.T, 0))
-    medoids = list(range(min(l, len(ids))))
+def kmedoids_select(a: ColumnFrame, l: int, seed: int = 0, rounds: int = 10, trial: int = 64) -> DataFrame:
+    """Medoids of all columns by alternating assignment and update, each over the whole matrix.
+
+    A round reads all columns twice.  The first assigns them and sums up each
+    cluster; the ``trial`` columns nearest to its mean, which the squared
+    distance sum favours, are its candidates.  The second gives the sum of
+    distances from all the cluster's columns to each candidate, and the least
+    wins if it is better than the present medoid.  Tasks send sums and candidates.
+    """
+    medoids = by_ids_or_none(a, [r.col_id for r in uniform_ids(a.df, l, seed).collect()])
     for _ in range(rounds):
-        near = d[:, medoids].argmin(axis=1)
-        new = [int(np.flatnonzero(near == j)[d[np.ix_(near == j, near == j)].sum(axis=1).argmin()]) if (near == j).any() else m for j, m in enumerate(medoids)]
-        if new == medoids:
+        centres, means = medoids[1], None
+        for stage in ("means", "candidates"):
+            got = a.df.select("col_id", "vec").mapInArrow(_cluster(stage, centres, means, trial), "j int, col_id long, n double, vec array<double>").collect()
+            if stage == "means":
+                means = [sum((np.array(r.vec) for r in got if r.j == j), np.zeros(a.m)) / max(1.0, sum(r.n for r in got if r.j == j)) for j in range(len(centres))]
+        best: list[list] = []
+        for j in range(len(centres)):
+            near = sorted(((r.n, r.col_id, r.vec) for r in got if r.j == j), key=lambda x: x[:2])[:trial]
+            best.append([(int(medoids[0][j]), centres[j]), *((c, np.array(v)) for _, c, v in near if c != medoids[0][j])])
+        sums: dict[tuple[int, int], float] = {}
+        for r in a.df.select("col_id", "vec").mapInArrow(_costs(centres, best), "j int, col_id long, n double, vec array<double>").collect():
+            sums[r.j, r.col_id] = sums.get((r.j, r.col_id), 0.0) + r.n
+        new = [min(cand, key=lambda c, j=j: (round(sums.get((j, c[0]), 0.0), 9), c[0])) for j, cand in enumerate(best)]
+        if [c for c, _ in new] == list(medoids[0]):
             break
-        medoids = new
-    return _listed(a, [ids[i] for i in sorted(set(medoids))])
+        medoids = np.array([c for c, _ in new]), np.array([v for _, v in new])
+    return _listed(a, sorted(set(int(i) for i in medoids[0])))
+
+
+def by_ids_or_none(a: ColumnFrame, ids: list[int]) -> tuple[np.ndarray, np.ndarray]:
+    return np.array(ids, dtype=np.int64), greedy.by_id(a, ids).T
+
+
+CLUSTER = pa.schema([("j", pa.int32()), ("col_id", pa.int64()), ("n", pa.float64()), ("vec", pa.list_(pa.float64()))])
+
+
+def _distance(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    return np.sqrt(np.maximum((x * x).sum(1)[:, None] + (y * y).sum(1)[None] - 2 * x @ y.T, 0))
+
+
+def _cluster(stage: str, centres: np.ndarray, means, trial: int):
+    """Kernel: by cluster, the sum of its columns; or those of a task that are nearest to its mean."""
+
+    def run(batches):
+        sums, counts, held = np.zeros_like(centres), np.zeros(len(centres)), [[] for _ in centres]
+        for batch in batches:
+            if batch.num_rows:
+                ids, x = batch.column(0).to_numpy(), vec.stack(batch.column(1))
+                near = _distance(x, centres).argmin(axis=1)
+                for j in range(len(centres)):
+                    own = near == j
+                    if stage == "means":
+                        sums[j] += x[own].sum(axis=0)
+                        counts[j] += own.sum()
+                    elif own.any():
+                        far = _distance(x[own], means[j][None])[:, 0]
+                        held[j] = sorted([*held[j], *zip(far.tolist(), ids[own].tolist(), x[own])], key=lambda t: t[:2])[:trial]
+        rows = [(j, -1, counts[j], sums[j]) for j in range(len(centres)) if counts[j]] if stage == "means" else [(j, i, d, v) for j, h in enumerate(held) for d, i, v in h]
+        if rows:
+            j, i, n, v = zip(*rows)
+            yield pa.RecordBatch.from_arrays([pa.array(j, pa.int32()), pa.array(i, pa.int64()), pa.array(n, pa.float64()), vec.unstack(np.array(v))], schema=CLUSTER)
+
+    return run
+
+
+def _costs(centres: np.ndarray, candidates: list[list]):
+    """Kernel: by cluster, the sum of distances from a task's columns of it to each candidate."""
+
+    def run(batches):
+        sums = [np.zeros(len(c)) for c in candidates]
+        for batch in batches:
+            if batch.num_rows:
+                x = vec.stack(batch.column(1))
+                near = _distance(x, centres).argmin(axis=1)
+                for j, c in enumerate(candidates):
+                    sums[j] += _distance(x[near == j], np.array([v for _, v in c])).sum(axis=0)
+        rows = [(j, i, s) for j, c in enumerate(candidates) for (i, _), s in zip(c, sums[j].tolist())]
+        j, i, n = zip(*rows)
+        yield pa.RecordBatch.from_arrays([pa.array(j, pa.int32()), pa.array(i, pa.int64()), pa.array(n, pa.float64()), pa.nulls(len(j), CLUSTER.field("vec").type)], schema=CLUSTER)
+
+    return run
 
 
 def lsa_embed(a: ColumnFrame, k: int, seed: int = 0) -> DataFrame:

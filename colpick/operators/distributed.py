@@ -11,10 +11,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import vec
-from . import greedy, kernel
+from ..functions import random_maps, vec
+from . import gram, greedy, kernel
 from .matrix import ColumnFrame
-from .sketch import publish, sketch_columns
 
 CHOSEN = pa.schema([("block", pa.int64()), ("step", pa.int32()), ("col_id", pa.int64()), ("score", pa.float64()), ("left", pa.float64()), ("vec", pa.list_(pa.float64()))])
 CHOSEN_DDL = "block long, step int, col_id long, score double, left double, vec array<double>"
@@ -24,7 +23,8 @@ def quota_of(l: int, blocks: int, quota: str = "oversample", gamma: float = 2.0)
     """Columns that each block may send on.
 
     'floor' can send fewer than l in all, or none with more blocks than l: it
-    warns.  'ceil' and 'oversample' send at least one; 'full' all l.
+    warns.  'ceil' and 'oversample' send at least one; 'full' all l.  For
+    'proportional' see :func:`proportional`.
     """
     if quota == "floor":
         out = l // blocks
@@ -34,14 +34,14 @@ def quota_of(l: int, blocks: int, quota: str = "oversample", gamma: float = 2.0)
     return {"ceil": max(1, math.ceil(l / blocks)), "oversample": max(1, math.ceil(gamma * l / blocks)), "full": l}[quota]
 
 
-def _kernel(l: int, target, block_bytes: int):
+def _kernel(l: int | dict[int, int], target, block_bytes: int):
     """Chooses l columns of each block: a task's columns, cut where they exceed ``block_bytes``.
 
-    target: an m x r matrix, or None for the block itself.
+    l may differ by block.  target: an m x r matrix, or None for the block itself.
     """
 
     def choose(ids, x, block):
-        trace = kernel.targeted(x, l, target, ids)
+        trace = kernel.targeted(x, l.get(block, 0) if isinstance(l, dict) else l, target, ids)
         p = trace.picks
         return pa.RecordBatch.from_arrays([pa.array([block] * len(p), type=pa.int64()), pa.array(np.arange(1, len(p) + 1, dtype=np.int32)), pa.array(ids[p]), pa.array(trace.scores, type=pa.float64()), pa.array(trace.left, type=pa.float64()), vec.unstack(x[:, p].T) if p else pa.array([], type=pa.list_(pa.float64()))], schema=CHOSEN)
 
@@ -82,8 +82,35 @@ def in_blocks(a: ColumnFrame, blocks: str = "partition", n_blocks: int | None =
     raise ValueError(f"unknown blocks {blocks!r}")
 
 
-def choose_in_blocks(a: ColumnFrame, l_b: int, target, blocks: str, n_blocks: int | None, block_bytes: int = 256 << 20) -> DataFrame:
-    return in_blocks(a, blocks, n_blocks).mapInArrow(_kernel(l_b, target, block_bytes), CHOSEN_DDL) if l_b > 0 else a.spark.createDataFrame([], CHOSEN_DDL)
+def proportional(rows: DataFrame, l: int, gamma: float = 2.0) -> dict[int, int]:
+    """Columns that each block may send on, gamma * l in all by the blocks' sizes, one at least; a count by block."""
+    sizes = {r.block: r["count"] for r in rows.groupBy("block").count().collect()}
+    return {b: max(1, math.ceil(gamma * l * n / sum(sizes.values()))) for b, n in sizes.items()}
+
+
+def choose_in_blocks(a: ColumnFrame, l_b: int | dict[int, int], target, blocks: str, n_blocks: int | None, block_bytes: int = 256 << 20) -> DataFrame:
+    if not l_b:
+        return a.spark.createDataFrame([], CHOSEN_DDL)
+    return in_blocks(a, blocks, n_blocks).mapInArrow(_kernel(l_b, target, block_bytes), CHOSEN_DDL)
+
+
+def sketch_and_blocks(a: ColumnFrame, r: int, law, s: int, seed: int, draws: str) -> tuple[np.ndarray, int]:
+    """(sketch, number of tasks that had columns), both from one pass: a last row of the sums counts the tasks."""
+    m = a.m
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros((m + 1, r))
+        for batch in batches:
+            if batch.num_rows:
+                ids, x = batch.column(0).to_numpy(), vec.stack(batch.column(1))
+                total[:m] += x.T @ random_maps.block(seed, ids, r, law, s, draws)
+                total[m, 0] = 1
+        if total[m, 0]:
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(m + 1)), vec.unstack(total)], schema=gram.PARTIAL)
+
+    sums = gram.vector_sums(a.df.select("col_id", "vec").mapInArrow(run, gram.PARTIAL_DDL), r)
+    out = gram.to_driver(sums, m + 1, r)
+    return out[:m], max(1, int(out[m, 0]))
 
 
 def merged(candidates: DataFrame, l: int, target, m: int, fanin: int = 64, n_groups: int = 1, block_bytes: int = 256 << 20) -> DataFrame:
@@ -97,18 +124,24 @@ def merged(candidates: DataFrame, l: int, target, m: int, fanin: int = 64, n_gro
     return last.mapInArrow(_kernel(l, target, 1 << 62), CHOSEN_DDL).select("step", "col_id", "score", F.col("score").alias("gain"), F.col("left").alias("residual_sq"))
 
 
-def two_stage_select(a: ColumnFrame, l: int, r: int = 100, law="sparse_sign", s: int = 3, seed: int = 0, n_blocks: int | None = None, quota: str = "oversample", gamma: float = 2.0, blocks: str = "partition", target: np.ndarray | None = None, fanin: int = 64) -> DataFrame:
+def two_stage_select(a: ColumnFrame, l: int, r: int = 100, law="sparse_sign", s: int = 3, seed: int = 0, n_blocks: int | None = None, quota: str = "oversample", gamma: float = 2.0, blocks: str = "partition", target: np.ndarray | None = None, fanin: int = 64, draws: str = "mixed") -> DataFrame:
     """l columns in two passes: a sketch of all columns, then a choice in each block for the sketch, then one among the chosen.
 
     residual_sq is of the target: the sketch, or ``target``, m x r, if given.
+    The blocks of 'partition' are counted within the first pass; with a target
+    of one's own, and for the quota 'proportional', ids alone are read once more.
     """
     from ..plans import planner
 
-    count = n_blocks or max(1, a.df.rdd.getNumPartitions() if blocks == "partition" else a.spark.sparkContext.defaultParallelism)
-    planner.check_budget(a.m, r, l, count, gamma)
+    planner.check_budget(a.m, r, l, n_blocks or 1, gamma)
+    count = n_blocks
     if target is None:
-        target = publish(sketch_columns(a, r, law, s, seed), a.m, r)
-    candidates = choose_in_blocks(a, quota_of(l, count, quota, gamma), target, blocks, count)
+        target, tasks = sketch_and_blocks(a, r, law, s, seed, draws)
+        count = count or (tasks if blocks == "partition" else None)
+    if count is None:
+        count = max(1, a.df.select(F.spark_partition_id().alias("p")).distinct().count()) if blocks == "partition" else a.spark.sparkContext.defaultParallelism
+    l_b = proportional(in_blocks(a, blocks, count).select("block"), l, gamma) if quota == "proportional" else quota_of(l, count, quota, gamma)
+    candidates = choose_in_blocks(a, l_b, target, blocks, count)
     return merged(candidates, l, target, a.m, fanin, count)
 
 

@@ -53,9 +53,31 @@ def accumulate(a: ColumnFrame, right, width: int) -> DataFrame:
         if any_:
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(m)), vec.unstack(total)], schema=PARTIAL)
 
-    parts = a.df.select("col_id", "vec").mapInArrow(run, PARTIAL_DDL)
-    sums = parts.select("row_id", F.posexplode("partial").alias("k", "v")).groupBy("row_id", "k").agg(F.sum("v").alias("v"))
-    return sums.groupBy("row_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("k", "v"))), lambda p: p["v"]).alias("partial"))
+    return vector_sums(a.df.select("col_id", "vec").mapInArrow(run, PARTIAL_DDL), width)
+
+
+def vector_sums(parts: DataFrame, width: int) -> DataFrame:
+    """(row_id, partial): the vectors of each row added up, as they are; one vector of a row is held at a time."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, total = None, np.zeros(width)
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            rows, x = batch.column(0).to_numpy(), vec.stack(batch.column(1))
+            first = np.flatnonzero(np.concatenate(([True], rows[1:] != rows[:-1])))
+            sums, ids = np.add.reduceat(x, first, axis=0), rows[first]
+            if known == ids[0]:
+                sums[0] += total
+            elif known is not None:
+                yield pa.RecordBatch.from_arrays([pa.array([known]), vec.unstack(total[None])], schema=PARTIAL)
+            if len(ids) > 1:
+                yield pa.RecordBatch.from_arrays([pa.array(ids[:-1]), vec.unstack(sums[:-1])], schema=PARTIAL)
+            known, total = int(ids[-1]), sums[-1]
+        if known is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([known]), vec.unstack(total[None])], schema=PARTIAL)
+
+    return parts.repartition("row_id").sortWithinPartitions("row_id").mapInArrow(run, PARTIAL_DDL)
 
 
 def to_driver(frame: DataFrame, m: int, width: int, most_bytes: int = 512 << 20) -> np.ndarray:

@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -105,12 +106,13 @@ def greedy_select(a: ColumnFrame, l: int, form: str = "auto", start=(), rel_tol:
     Fewer rows come back if the rank is reached, or ``rel_tol`` of the energy is
     left.  Columns in the span of the chosen ones, and zero columns, are never
     chosen; ties go to the smaller id.  form: 'gram' for few columns,
-    'rowspace' for few rows, 'scores', 'residual' and 'naive' on the driver.
+    'rowspace' for few rows, 'scores' with a state by column; 'local', 'residual'
+    and 'naive' on the driver.
     """
     if l <= 0:
         return a.spark.createDataFrame([], SELECTION)
     if form == "auto":
-        n = a.df.select("col_id").limit(2049).count()
+        n = a.df.select("col_id").limit(2049).count()  # no shuffle, and no more rows than decide
         form = planner.choose(a.m, n, float(n) * a.m, l).form
         if form == "gram" and start:
             form = "rowspace" if a.m <= 8192 else "scores"
@@ -119,23 +121,35 @@ def greedy_select(a: ColumnFrame, l: int, form: str = "auto", start=(), rel_tol:
 
         return two_stage_select(a, l)
     if form == "gram":
-        ids, g = gram.gram_local(a)
+        kept = ColumnFrame(a.df.persist(StorageLevel.MEMORY_AND_DISK), a.m)
+        ids, g = gram.gram_local(kept)
+        kept.df.unpersist()
         return selection(a.spark, ids, kernel.on_gram(g, l, ids))
+    if form == "scores":
+        from .scores import scores_select
+
+        return scores_select(a, l, start=start)
     if form == "rowspace":
         middle = gram.row_gram(a)
         return _by_scans(a, l, middle, float(np.trace(middle)), start, rel_tol)
     ids, x = local(a)
     at = {int(i): k for k, i in enumerate(ids)}
-    trace = {"scores": lambda: kernel.targeted(x, l, ids=ids, start=[at[int(i)] for i in start]), "residual": lambda: kernel.on_residual(x, l, ids), "naive": lambda: kernel.naive(x, l, ids)}[form]()
+    trace = {"local": lambda: kernel.targeted(x, l, ids=ids, start=[at[int(i)] for i in start]), "residual": lambda: kernel.on_residual(x, l, ids), "naive": lambda: kernel.naive(x, l, ids)}[form]()
     return selection(a.spark, ids, trace)
 
 
 def greedy_select_for(a: ColumnFrame, b: np.ndarray | ColumnFrame, l: int, form: str = "rowspace", start=()) -> DataFrame:
     """At most l columns of ``a`` that span the target ``b`` best; b has the rows of a, residual_sq is of b.
 
-    b: an m x r array, or a ColumnFrame of which bb' is formed in one scan.
+    b: an m x r array, or a ColumnFrame of which bb' is formed in one scan.  form:
+    'rowspace', 'scores' with a state by column (a ColumnFrame meets a by a join
+    on the rows, whatever its size), or 'local' on the driver.
     """
     if form == "scores":
+        from .scores import scores_select_for
+
+        return scores_select_for(a, b, l, start)
+    if form == "local":
         ids, x = local(a)
         at = {int(i): k for k, i in enumerate(ids)}
         return selection(a.spark, ids, kernel.targeted(x, l, b if isinstance(b, np.ndarray) else local(b)[1], ids, start=[at[int(i)] for i in start]))

@@ -39,12 +39,17 @@ def targeted(a: np.ndarray, l: int, b: np.ndarray | None = None, ids: np.ndarray
     Two numbers a column: what its residual captures of the target's residual,
     and its residual's energy.  A pick gives a direction over the columns (w)
     and one over the target (v); both numbers follow from them and from past
-    directions, no residual is formed.  ``cross``, b'a, may stand in for b.
+    directions, no residual is formed.  ``cross``, b'a, may stand in for b.  A
+    target with more columns than there are rows, a wide ``a`` itself above all,
+    takes part by bb' alone, see :func:`by_rows`.
     """
+    target = a if b is None else b
+    if cross is None and target.shape[1] > a.shape[0]:
+        return by_rows(a, l, target @ target.T, ids, start)
     n = a.shape[1]
     ids = np.arange(n) if ids is None else np.asarray(ids)
-    c = cross if cross is not None else (a if b is None else b).T @ a
-    energy = float("nan") if cross is not None else float(((a if b is None else b) ** 2).sum())
+    c = cross if cross is not None else target.T @ a
+    energy = float("nan") if cross is not None else float((target**2).sum())
     f, g = (c * c).sum(axis=0), (a * a).sum(axis=0)
     floor = DEAD * g
     w, v = np.zeros((n, 0)), np.zeros((c.shape[0], 0))
@@ -69,6 +74,36 @@ def targeted(a: np.ndarray, l: int, b: np.ndarray | None = None, ids: np.ndarray
     return out
 
 
+def by_rows(a: np.ndarray, l: int, middle: np.ndarray, ids: np.ndarray | None = None, start: list[int] = ()) -> Trace:
+    """The same from bb' (``middle``, m x m): nothing of n x n entries is formed and no history by column is kept."""
+    n = a.shape[1]
+    ids = np.arange(n) if ids is None else np.asarray(ids)
+    f, g = np.maximum(np.einsum("in,in->n", a, middle @ a), 0), (a * a).sum(axis=0)
+    floor, q = DEAD * g, np.zeros((a.shape[0], 0))
+    out, left, free, queue = Trace(), float(np.trace(middle)), np.ones(n, dtype=bool), list(start)
+    while len(out.picks) < l:
+        alive = free & (g > floor) & (g > 0)
+        score = np.divide(f, g, out=np.zeros(n), where=alive)
+        p = queue.pop(0) if queue else best(score, alive, ids)
+        if p is None:
+            break
+        free[p] = False
+        if not alive[p]:
+            continue
+        u = a[:, p]
+        for _ in range(2):
+            u = u - q @ (q.T @ u)
+        u = u / np.linalg.norm(u)
+        back = middle @ u
+        inner, w = float(u @ back), u @ a
+        f = np.maximum(f - 2 * w * ((back - q @ (q.T @ back)) @ a) + inner * w**2, 0)
+        g = np.maximum(g - w**2, 0)
+        left -= score[p]
+        q = np.column_stack([q, u])
+        out.add(p, score[p], left)
+    return out
+
+
 def on_gram(gram: np.ndarray, l: int, ids: np.ndarray | None = None) -> Trace:
     """The same for the target a'a from the Gram matrix alone, which is deflated in place of a residual."""
     g, n = gram.astype(np.float64).copy(), len(gram)

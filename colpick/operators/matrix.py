@@ -2,11 +2,20 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions import vec
+
+DENSE = pa.schema([("col_id", pa.int64()), ("vec", pa.list_(pa.float64()))])
+
 
 @dataclass
 class ColumnFrame:
@@ -62,17 +71,46 @@ def to_long(a: ColumnFrame) -> DataFrame:
     return a.df.select("col_id", F.posexplode("vec").alias("row_id", "value")).where("value != 0").select(F.col("row_id").cast("long"), "col_id", "value")
 
 
-def pack(long: DataFrame, m: int, ids: DataFrame | None = None) -> ColumnFrame:
-    """Dense columns from (row_id, col_id, value), zeros where there is no cell; ``ids`` adds columns without any."""
-    entries = long.groupBy("col_id").agg(F.map_from_entries(F.collect_list(F.struct(F.col("row_id").cast("int"), F.col("value").cast("double")))).alias("e"))
+def _scatter(m: int, most_bytes: int = 32 << 20):
+    """Kernel over (col_id, idx, val): dense columns of m entries, in batches of bounded size."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        step = max(1, most_bytes // (8 * max(m, 1)))
+        for batch in batches:
+            for at in range(0, batch.num_rows, step):
+                part = batch.slice(at, step)
+                n = pc.fill_null(pc.list_value_length(part.column(1)), 0).to_numpy()
+                out = np.zeros((part.num_rows, m))
+                out[np.repeat(np.arange(len(n)), n), part.column(1).flatten().to_numpy(zero_copy_only=False)] = part.column(2).flatten().to_numpy(zero_copy_only=False)
+                yield pa.RecordBatch.from_arrays([part.column(0), vec.unstack(out)], schema=DENSE)
+
+    return run
+
+
+def sparse_columns(long: DataFrame, ids: DataFrame | None = None) -> DataFrame:
+    """(col_id, idx, val) from (row_id, col_id, value); ``ids`` adds columns without any cell."""
+    pairs = long.groupBy("col_id").agg(F.array_sort(F.collect_list(F.struct(F.col("row_id").cast("int").alias("i"), F.col("value").cast("double").alias("x")))).alias("e"))
     if ids is not None:
-        entries = ids.select("col_id").join(entries, "col_id", "left")
-    vec = F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda i: F.coalesce(F.try_element_at(F.coalesce("e", F.create_map().cast("map<int,double>")), i), F.lit(0.0)))
-    return ColumnFrame(entries.select(F.col("col_id").cast("long"), vec.alias("vec")), m)
+        pairs = ids.select("col_id").join(pairs, "col_id", "left")
+    none = F.array().cast("array<struct<i:int,x:double>>")
+    pairs = pairs.select(F.col("col_id").cast("long").alias("col_id"), F.coalesce("e", none).alias("e"))
+    return pairs.select("col_id", F.col("e.i").alias("idx"), F.col("e.x").alias("val"))
+
+
+def pack(long: DataFrame, m: int, ids: DataFrame | None = None) -> ColumnFrame:
+    """Dense columns from (row_id, col_id, value), zeros where there is no cell; ``ids`` adds columns without any.
+
+    Time and shuffle go with the cells; only the kernel at the end writes zeros.
+    """
+    return ColumnFrame(sparse_columns(long, ids).mapInArrow(_scatter(m), "col_id long, vec array<double>"), m)
 
 
 def from_cells(found: DataFrame, transpose: bool = False) -> tuple[ColumnFrame, DataFrame]:
-    """(matrix, dictionary (key, col_id)) of the cells, by dense ranks of the ordered keys."""
+    """(matrix, dictionary (key, col_id)) of the cells, by dense ranks of the ordered keys.
+
+    The cells are kept, since they are read for both dictionaries and the matrix.
+    """
+    found = found.persist(StorageLevel.MEMORY_AND_DISK)
     row, col = ("col_key", "row_key") if transpose else ("row_key", "col_key")
     rows, cols = keys(found, row, "row_id"), keys(found, col, "col_id")
     long = found.join(rows.withColumnRenamed("key", row), row).join(cols.withColumnRenamed("key", col), col).select("row_id", "col_id", "value")
@@ -81,9 +119,13 @@ def from_cells(found: DataFrame, transpose: bool = False) -> tuple[ColumnFrame,
 
 
 def to_sparse(a: ColumnFrame) -> DataFrame:
-    """(col_id, vec struct<idx, val>), indices in order."""
-    pairs = F.filter(F.transform("vec", lambda x, i: F.struct(i.alias("i"), x.alias("x"))), lambda p: p["x"] != 0)
-    return a.df.select("col_id", F.struct(F.transform(pairs, lambda p: p["i"]).alias("idx"), F.transform(pairs, lambda p: p["x"]).alias("val")).alias("vec"))
+    """(col_id, idx, val) of the entries that aren't zero, indices in order."""
+    return sparse_columns(to_long(a), a.df)
+
+
+def from_sparse(df: DataFrame, m: int) -> ColumnFrame:
+    """The matrix of columns (col_id, idx, val)."""
+    return ColumnFrame(df.select("col_id", "idx", "val").mapInArrow(_scatter(m), "col_id long, vec array<double>"), m)
 
 
 def transpose(a: ColumnFrame, n: int) -> ColumnFrame:

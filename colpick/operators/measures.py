@@ -37,6 +37,13 @@ def residuals(a: ColumnFrame, bases: list[np.ndarray]) -> tuple[float, list[floa
     return got.get(0, 0.0), [got.get(i + 1, 0.0) for i in range(len(bases))]
 
 
+def bases(a: ColumnFrame, selections: list[list[int]]) -> list[np.ndarray]:
+    """Orthonormal bases of many selections; their columns are fetched in one job."""
+    every = sorted({i for s in selections for i in s})
+    at, x = {i: k for k, i in enumerate(every)}, greedy.by_id(a, every)
+    return [kernel.orth(x[:, [at[i] for i in s]]) for s in selections]
+
+
 def residual_sq(a: ColumnFrame, s) -> float:
     """Squared Frobenius distance of a to the span of the selection."""
     return residuals(a, [kernel.orth(greedy.by_id(a, ids_of(s)))])[1][0]
@@ -62,10 +69,32 @@ def residual_norm(a: ColumnFrame, s, kind: str = "fro", rounds: int = 30) -> flo
     return float(np.sqrt(max(0.0, x @ inner @ x)))
 
 
-def best_rank_error(a: ColumnFrame, l: int) -> float:
-    """The least distance of any matrix of rank l."""
-    s = svd.exact_svd(a).values
-    return float(np.sqrt((s[l:] ** 2).sum()))
+def best_rank_error(a: ColumnFrame, l: int, rows: int = 8192) -> float:
+    """The least distance of any matrix of rank l.
+
+    Of more than ``rows`` rows, an upper bound from a randomized decomposition
+    with three power steps: what its l leading directions leave.
+    """
+    if a.m <= rows:
+        s = svd.exact_svd(a).values
+        return float(np.sqrt((s[l:] ** 2).sum()))
+    found = svd.randomized_svd(a, l, power=3)
+    energy = a.df.agg(F.sum(vec.norm_sq(F.col("vec")))).first()[0] or 0.0
+    return float(np.sqrt(max(0.0, energy - (found.values**2).sum())))
+
+
+def sketch_records(a: ColumnFrame, r: int, law: str = "sparse_sign", s: int = 3, seed: int = 0, tasks: int = 4) -> DataFrame:
+    """(combine, records): rows that a sketch sends over the network.
+
+    'none': every column's own products, n m r for a dense matrix and law;
+    'in_task': the rows of one partial sum for each of ``tasks`` tasks.
+    """
+    from ..functions import random_maps
+    from .matrix import to_long
+
+    w = random_maps.omega(seed, F.col("col_id"), F.col("k"), law, s)
+    every = to_long(a).withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(r)))).where(w != 0)
+    return every.agg(F.count("*").alias("records")).select(F.lit("none").alias("combine"), "records").unionByName(a.spark.createDataFrame([("in_task", tasks * a.m)], "combine string, records long"))
 
 
 def relative_accuracy(a: ColumnFrame, selections: dict[str, object], l: int, repeats: int = 10, seed: int = 0) -> DataFrame:
@@ -76,7 +105,7 @@ def relative_accuracy(a: ColumnFrame, selections: dict[str, object], l: int, rep
     """
     named = {k: ids_of(v) for k, v in selections.items()}
     uniform = [ids_of(baselines.uniform_select(a, l, seed + i)) for i in range(repeats)]
-    _, left = residuals(a, [kernel.orth(greedy.by_id(a, i)) for i in [*named.values(), *uniform]])
+    _, left = residuals(a, bases(a, [*named.values(), *uniform]))
     err = [float(np.sqrt(x)) for x in left]
     base, low = float(np.mean(err[len(named) :])), best_rank_error(a, l)
     rows = [(k, l, 100 * (base - e) / (base - low) if base - low > 1e-12 * max(base, 1e-300) else None, e, base, low) for k, e in zip(named, err)]
@@ -133,5 +162,5 @@ def coverage_by(s: DataFrame, groups: DataFrame, key: str) -> DataFrame:
 
 def optimum_ratio(a: ColumnFrame, s, l: int) -> float:
     """What a selection explains over what the best subset explains."""
-    energy, left = residuals(a, [kernel.orth(greedy.by_id(a, ids_of(s))), kernel.orth(greedy.by_id(a, ids_of(baselines.exhaustive_select(a, l))))])
+    energy, left = residuals(a, bases(a, [ids_of(s), ids_of(baselines.exhaustive_select(a, l))]))
     return (energy - left[0]) / (energy - left[1])

@@ -10,16 +10,19 @@ from . import gram
 from .matrix import ColumnFrame, to_long
 
 
-def sketch_columns(a: ColumnFrame, r: int, law="sparse_sign", s: int = 3, seed: int = 0, combine: str = "in_task", scale: str = "none") -> DataFrame:
+def sketch_columns(a: ColumnFrame, r: int, law="sparse_sign", s: int | str = 3, seed: int = 0, combine: str = "in_task", scale: str = "none", draws: str = "mixed") -> DataFrame:
     """(row_id, sketch) of r numbers a row, in one scan.
 
     combine: 'in_task' adds up within each task before anything is sent;
     'partial_agg' leaves that to the engine's partial aggregation; 'none' sends
     every column's own products, for comparison.  The last two draw from hashes
-    that SQL can repeat and take the named laws only.
+    that SQL can repeat and take the named laws only; the first does so with
+    draws='hash'.  s may be 'sqrt', of the number of columns.
     """
+    if s == "sqrt":
+        s = random_maps.sparsity(law, s, a.df.count())
     if combine == "in_task":
-        out = gram.accumulate(a, lambda ids, _: random_maps.block(seed, ids, r, law, s), r).select("row_id", F.col("partial").alias("sketch"))
+        out = gram.accumulate(a, lambda ids, _: random_maps.block(seed, ids, r, law, s, draws), r).select("row_id", F.col("partial").alias("sketch"))
     else:
         out = _packed(sketch_long(to_long(a), r, law, s, seed, combine), r)
     if scale == "1/sqrt(r)":

@@ -5,10 +5,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from . import oracle, workloads
+from . import oracle, twins, workloads
 from .functions import random_maps, text, udfs, vec
 from .operators import baselines, distributed, gram, greedy, lowrank, matrix, measures, relational, sketch, svd
 from .sources.tables import load
+from .streaming import streams
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -243,14 +244,8 @@ def sketch_error_ratio(spark, d):
 # Distributed selection and baselines
 
 
-@query()
-def two_stage_emb(spark, d):
-    return distributed.two_stage_select(workloads.emb(spark, d), 10, 100, blocks="hash", n_blocks=4)
 
 
-@query()
-def two_stage_floor(spark, d):
-    return distributed.two_stage_select(workloads.emb(spark, d), 12, 100, blocks="hash", n_blocks=4, quota="floor")
 
 
 @query()
@@ -258,14 +253,8 @@ def two_stage_docs(spark, d):
     return distributed.two_stage_select(workloads.doc_hash(spark, d), 20, 100)
 
 
-@query()
-def local_union(spark, d):
-    return distributed.local_union_select(workloads.emb(spark, d), 10, 4, refine=True, quota="oversample")
 
 
-@query()
-def greedy_emb_l10(spark, d):
-    return greedy.greedy_select(workloads.emb(spark, d), 10, "rowspace")
 
 
 @query()
@@ -278,19 +267,8 @@ def block_greedy_emb(spark, d):
     return greedy.block_greedy(workloads.emb(spark, d), 12, 4)
 
 
-@query()
-def feature_terms(spark, d):
-    a, names = matrix.from_cells(workloads.doc_cells(spark, d, 200), transpose=True)
-    return _steps(distributed.two_stage_select(a, 10, 64), names)
 
 
-@query()
-def docs_for_benchmark(spark, d):
-    """Documents that span the benchmark's hashed token counts best."""
-    docs = workloads.doc_hash(spark, d, 128)
-    items = text.hash_rows(text.counts(load(spark, d, "benchmark", "item_id", "text"), "item_id", F.col("text")), 128)
-    b = matrix.pack(items.select(F.col("row_key").alias("row_id"), F.col("col_key").alias("col_id"), "value"), 128)
-    return greedy.greedy_select_for(docs, b, 8)
 
 
 @query(f"SELECT vec_id AS col_id, {oracle.md5_number(chr(39) + 'u' + chr(39), '0', 'vec_id')} AS h FROM embeddings ORDER BY 2, 1 LIMIT 20")
@@ -307,14 +285,11 @@ def two_phase_colnorm_sample(spark, d):
 for _name, _f in {
     "two_phase_leverage": lambda a: baselines.two_phase_select(a, 10, "leverage"),
     "two_phase_strong": lambda a: baselines.two_phase_select(a, 10, "leverage", "strong_rrqr", cut_on="right_vectors"),
-    "two_phase_uniform_greedy": lambda a: baselines.two_phase_select(a, 10, "uniform", "greedy"),
-    "two_phase_colnorm_greedy": lambda a: baselines.two_phase_select(a, 10, "colnorm", "greedy"),
     "strong_rrqr_emb": lambda a: baselines.strong_rrqr_select(a, 10),
     "svd_target_emb": lambda a: baselines.svd_target_select(a, 10),
     "svd_target_exact_emb": lambda a: baselines.svd_target_select(a, 10, exact=True),
     "svd_target_distributed_emb": lambda a: baselines.distributed_svd_target_select(a, 10, 64, blocks="hash", n_blocks=4),
     "sketch_target_emb": lambda a: baselines.sketch_target_select(a, 10),
-    "uniform_emb": lambda a: baselines.uniform_select(a, 10),
     "kmeans_nearest_emb": lambda a: baselines.kmeans_nearest_select(a, 10),
     "kmedoids_emb": lambda a: baselines.kmedoids_select(a, 10),
     "lsa_emb": lambda a: baselines.lsa_embed(a, 5),
@@ -326,10 +301,6 @@ for _name, _f in {
     query(name=_name)(lambda s, d, f=_f: f(workloads.emb(s, d)))
 
 
-@query()
-def exhaustive_brand_l2(spark, d):
-    a, names = _brand(spark, d)
-    return _steps(baselines.exhaustive_select(a, 2), names)
 
 
 _T2 = "WITH s AS ({0}), {1}, i AS (SELECT min(key) FILTER (WHERE step = 1) AS a, min(key) FILTER (WHERE step = 2) AS b FROM s)".format(oracle.greedy(oracle.BRAND, 2), _GRAM)
@@ -358,26 +329,25 @@ for _name, _run in workloads.WORKLOADS.items():
 # Relational operators around the methods
 
 
-@query("SELECT event_type, count(*) AS n, round(avg(value), 4) AS mean, round(stddev_samp(value), 4) AS std FROM events GROUP BY event_type")
-def repeat_stats(spark, d):
-    return load(spark, d, "events", "event_type", "value").groupBy("event_type").agg(F.count("*").alias("n"), F.round(F.avg("value"), 4).alias("mean"), F.round(F.stddev_samp("value"), 4).alias("std"))
 
 
-@query("SELECT user_id, event_type, n, dense_rank() OVER (PARTITION BY event_type ORDER BY n DESC) AS place FROM (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY ALL)")
-def method_rank(spark, d):
-    n = load(spark, d, "events", "user_id", "event_type").groupBy("user_id", "event_type").agg(F.count("*").alias("n"))
-    return n.withColumn("place", F.dense_rank().over(Window.partitionBy("event_type").orderBy(F.desc("n"))).cast("long"))
 
 
-@query("SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders WHERE o_totalprice > 300000)")
+_BIG = "SELECT o_custkey FROM orders WHERE o_totalprice > 300000"
+
+
+def _big_customers(spark, d):
+    return load(spark, d, "orders", "o_custkey", "o_totalprice").where("o_totalprice > 300000").select(F.col("o_custkey").alias("col_id")).distinct()
+
+
+@query(f"SELECT c_custkey FROM customer WHERE c_custkey IN ({_BIG})")
 def op_semi(spark, d):
-    big = load(spark, d, "orders", "o_custkey", "o_totalprice").where("o_totalprice > 300000")
-    return load(spark, d, "customer", "c_custkey").join(big, F.col("c_custkey") == F.col("o_custkey"), "left_semi")
+    return relational.chosen(load(spark, d, "customer", "c_custkey"), _big_customers(spark, d), "c_custkey")
 
 
-@query("SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)")
+@query(f"SELECT c_custkey FROM customer WHERE c_custkey NOT IN ({_BIG})")
 def op_anti(spark, d):
-    return load(spark, d, "customer", "c_custkey").join(load(spark, d, "orders", "o_custkey"), F.col("c_custkey") == F.col("o_custkey"), "left_anti")
+    return relational.unchosen(load(spark, d, "customer", "c_custkey"), _big_customers(spark, d), "c_custkey")
 
 
 @query("SELECT a.event_id, (SELECT b.event_id FROM events b WHERE b.event_type = 'purchase' AND b.user_id = a.user_id AND b.ts <= a.ts ORDER BY b.ts DESC, b.event_id DESC LIMIT 1) IS NOT NULL AS after_purchase FROM events a WHERE a.event_type = 'click'")
@@ -432,11 +402,14 @@ def op_topk_group(spark, d):
     return relational.topk(load(spark, d, "part", "p_brand", "p_partkey", "p_retailprice"), ["p_brand"], [F.desc("p_retailprice"), F.col("p_partkey")], 3)
 
 
-@query("(SELECT user_id FROM events WHERE event_type = 'click' INTERSECT SELECT user_id FROM events WHERE event_type = 'purchase') EXCEPT SELECT user_id FROM events WHERE value > 99")
+_USER_DAY = "SELECT user_id, strftime(ts, '%Y-%m-%d') AS day FROM events WHERE event_type = '{0}'"
+
+
+@query("(" + " INTERSECT ".join(_USER_DAY.format(e) for e in ("click", "purchase")) + ") EXCEPT " + _USER_DAY.format("error"))
 def op_set_ops(spark, d):
-    e = load(spark, d, "events", "user_id", "event_type", "value")
-    part = lambda c: e.where(c).select("user_id")
-    return part("event_type = 'click'").intersect(part("event_type = 'purchase'")).subtract(part("value > 99"))
+    e = load(spark, d, "events", "user_id", "ts", "event_type").withColumn("day", F.date_format("ts", "yyyy-MM-dd"))
+    part = lambda c: e.where(F.col("event_type") == c).select("user_id", "day")
+    return part("click").intersect(part("purchase")).subtract(part("error"))
 
 
 @query("SELECT (props::JSON->>'k')::BIGINT AS k, count(*) AS n FROM events GROUP BY 1")
@@ -478,14 +451,160 @@ def op_hash_sample(spark, d):
     return load(spark, d, "orders", "o_orderkey").select((random_maps.hashed(F.lit("s"), F.col("o_orderkey")) % 100).alias("bucket")).where("bucket < 10").groupBy("bucket").agg(F.count("*").alias("n"))
 
 
-@query("SELECT source, lang, count(*) AS n, count(toxic) AS labelled, coalesce(sum(toxic), 0)::BIGINT AS toxic FROM documents LEFT JOIN labels USING (doc_id) GROUP BY ALL")
+@query("SELECT lang, count(*) AS n, count(toxic) AS chosen FROM documents LEFT JOIN (SELECT * FROM labels WHERE toxic = 1) USING (doc_id) GROUP BY lang")
 def op_coverage(spark, d):
-    return load(spark, d, "documents", "doc_id", "source", "lang").join(load(spark, d, "labels", "doc_id", "toxic"), "doc_id", "left").groupBy("source", "lang").agg(F.count("*").alias("n"), F.count("toxic").alias("labelled"), F.coalesce(F.sum("toxic"), F.lit(0)).alias("toxic"))
+    docs = load(spark, d, "documents", "doc_id", "lang").withColumnRenamed("doc_id", "col_id")
+    return measures.coverage_by(load(spark, d, "labels", "doc_id", "toxic").where("toxic = 1").withColumnRenamed("doc_id", "col_id"), docs, "lang")
 
 
-@query()
-def select_per_group(spark, d):
-    """Three representative embeddings of each label, in SQL."""
+@query("SELECT a.n_name AS n_name, b.n_name AS n_name_other FROM nation a JOIN nation b ON a.n_nationkey < b.n_nationkey AND a.n_regionkey = b.n_regionkey")
+def op_pairs(spark, d):
+    nations = load(spark, d, "nation", "n_nationkey", "n_regionkey", "n_name")
+    return relational.pairs(nations, "n_nationkey", F.col("n_regionkey") == F.col("n_regionkey_other")).select("n_name", "n_name_other")
+
+
+@query(f"SELECT c AS conv_id, r AS term, v::BIGINT AS n FROM (SELECT *, row_number() OVER (PARTITION BY c ORDER BY v DESC, r) AS k FROM ({oracle.counts('conversations', 'conv_id', 'text', 0)})) WHERE k <= 3")
+def op_top_terms(spark, d):
+    found = relational.top_terms(text.counts(load(spark, d, "conversations", "conv_id", "text"), "conv_id", F.col("text")), 3)
+    return found.select(F.col("col_key").alias("conv_id"), F.col("row_key").alias("term"), F.col("value").cast("long").alias("n"))
+
+
+@query("SELECT conv_id, count(*) AS n FROM (SELECT conv_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS w FROM conversations) GROUP BY conv_id")
+def op_lateral(spark, d):
+    load(spark, d, "conversations", "conv_id", "text").createOrReplaceTempView("lateral_texts")
+    return spark.sql("SELECT conv_id, count(*) AS n FROM lateral_texts, LATERAL explode(regexp_extract_all(lower(text), '[a-z]+', 0)) AS t(w) GROUP BY conv_id")
+
+
+@query("SELECT r AS token, sum(v)::BIGINT AS n FROM (" + oracle.counts("conversations", "conv_id", "text", 0) + ") GROUP BY r")
+def op_tokens(spark, d):
+    udfs.register(spark)
+    load(spark, d, "conversations", "text").createOrReplaceTempView("token_texts")
+    return spark.sql("SELECT token, count(*) AS n FROM token_texts, LATERAL tokens(text) GROUP BY token")
+
+
+@query(f"SELECT i, k::INTEGER AS k, {oracle.law('sparse', oracle.md5_number('7', 'i', 'k'))}::DOUBLE AS w FROM (SELECT s_suppkey AS i FROM supplier), range(1, 13) t(k) WHERE w != 0")
+def op_omega_row(spark, d):
     udfs.register(spark)
-    load(spark, d, "embeddings", "vec_id", "embedding", "label").select(F.col("vec_id").alias("col_id"), F.transform("embedding", lambda x: x.cast("double")).alias("vec"), "label").createOrReplaceTempView("labelled_vectors")
-    return spark.sql("SELECT * FROM select_columns(TABLE(labelled_vectors) PARTITION BY label, 3)")
+    load(spark, d, "supplier", "s_suppkey").createOrReplaceTempView("omega_ids")
+    return spark.sql("SELECT s_suppkey AS i, k, w FROM omega_ids, LATERAL omega_row(7, s_suppkey, 12)")
+
+
+@query(f"SELECT label, round(sum(v * v), 4) AS norm_sq FROM (SELECT label, r, sum(v) AS v FROM ({oracle.EMB.replace('vec_id AS c,', 'vec_id AS c, label,')}) GROUP BY ALL) GROUP BY label")
+def op_vec_sum(spark, d):
+    rows = load(spark, d, "embeddings", "embedding", "label").select("label", F.transform("embedding", lambda x: x.cast("double")).alias("vec"))
+    return rows.groupBy("label").agg(udfs.vec_sum("vec").alias("s")).select("label", F.round(vec.norm_sq(F.col("s")), 4).alias("norm_sq"))
+
+
+@query(f"SELECT label, round(sum(v), 4) AS trace FROM (SELECT label, v * v AS v FROM ({oracle.EMB.replace('vec_id AS c,', 'vec_id AS c, label,')})) GROUP BY label")
+def op_gram_of(spark, d):
+    rows = load(spark, d, "embeddings", "embedding", "label").select("label", F.transform("embedding", lambda x: x.cast("double")).alias("vec"))
+    g = rows.groupBy("label").agg(udfs.gram_of("vec").alias("g"))
+    diagonal = F.aggregate(F.filter("g", lambda x, i: i % 65 == 0), F.lit(0.0), lambda s, x: s + x)
+    return g.select("label", F.round(diagonal, 4).alias("trace"))
+
+
+@query(f"WITH s AS MATERIALIZED ({oracle.greedy(oracle.MONTH.format('l_suppkey'), 1)}), c AS MATERIALIZED ({oracle.MONTH.format('l_suppkey')}), d AS (SELECT x.c, sum(x.v * y.v) AS v FROM c x JOIN (SELECT r, v FROM c WHERE c = (SELECT key FROM s)) y USING (r) GROUP BY x.c) SELECT c AS key, round(sum(v * v) - coalesce(any_value(p), 0), 2) AS error FROM c LEFT JOIN (SELECT c, v * v / (SELECT sum(v * v) FROM c WHERE c = (SELECT key FROM s)) AS p FROM d) USING (c) GROUP BY c HAVING c != (SELECT key FROM s)")
+def op_project_error(spark, d):
+    a, names = matrix.from_cells(workloads.month_cells(spark, d, "l_suppkey"))
+    one = greedy.greedy_select(a, 1)
+    error = udfs.project_error(lowrank.basis(a, measures.ids_of(one)))
+    rows = relational.unchosen(a.df.select("col_id", F.round(error("vec"), 2).alias("error")), one)
+    return rows.join(F.broadcast(names), "col_id").select("key", "error")
+
+
+@query("SELECT user_id, map_keys AS kinds, clicks FROM (SELECT user_id, string_agg(DISTINCT event_type, ',' ORDER BY event_type) AS map_keys, count(*) FILTER (WHERE event_type = 'click') AS clicks FROM events GROUP BY user_id)")
+def op_map(spark, d):
+    n = load(spark, d, "events", "user_id", "event_type").groupBy("user_id", "event_type").agg(F.count("*").alias("n"))
+    m = n.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    return m.select("user_id", F.array_join(F.array_sort(F.map_keys("m")), ",").alias("kinds"), F.coalesce(F.try_element_at("m", F.lit("click")), F.lit(0)).cast("long").alias("clicks"))
+
+
+@query("SELECT 'orders' AS what, true AS near UNION ALL SELECT 'median', true")
+def op_approx(spark, d):
+    """Approximate aggregates against exact ones: within three parts in a hundred."""
+    n = load(spark, d, "lineitem", "l_orderkey", "l_quantity").agg(
+        (F.abs(F.approx_count_distinct("l_orderkey", 0.01) / F.count_distinct("l_orderkey") - 1) < 0.03).alias("orders"),
+        (F.abs(F.percentile_approx("l_quantity", 0.5, 10000) - F.median("l_quantity")) <= 1).alias("median"),
+    )
+    return n.unpivot([], ["orders", "median"], "what", "near")
+
+
+@query("SELECT c_custkey FROM customer c WHERE c_acctbal > (SELECT avg(c_acctbal) FROM customer o WHERE o.c_nationkey = c.c_nationkey) AND EXISTS (SELECT 1 FROM orders WHERE o_custkey = c.c_custkey)")
+def op_subquery(spark, d):
+    load(spark, d, "customer", "c_custkey", "c_nationkey", "c_acctbal").createOrReplaceTempView("sub_customer")
+    load(spark, d, "orders", "o_custkey").createOrReplaceTempView("sub_orders")
+    return spark.sql("SELECT c_custkey FROM sub_customer c WHERE c_acctbal > (SELECT avg(c_acctbal) FROM sub_customer o WHERE o.c_nationkey = c.c_nationkey) AND EXISTS (SELECT 1 FROM sub_orders WHERE o_custkey = c.c_custkey)")
+
+
+@query("SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 50 OFFSET 100")
+def op_total_sort(spark, d):
+    return relational.page(load(spark, d, "orders", "o_orderkey", "o_totalprice"), [F.desc("o_totalprice"), F.col("o_orderkey")], 100, 50)
+
+
+@query("SELECT c_mktsegment, sum(c_acctbal) FILTER (WHERE c_nationkey = 1) AS n1, sum(c_acctbal) FILTER (WHERE c_nationkey = 2) AS n2 FROM (SELECT c_mktsegment, c_nationkey, round(sum(c_acctbal), 2) AS c_acctbal FROM customer GROUP BY ALL) GROUP BY c_mktsegment")
+def op_wide(spark, d):
+    sums = load(spark, d, "customer", "c_mktsegment", "c_nationkey", "c_acctbal").groupBy("c_mktsegment", F.concat(F.lit("n"), "c_nationkey").alias("n")).agg(F.round(F.sum("c_acctbal"), 2).alias("v"))
+    return relational.wide(sums, "c_mktsegment", "n", "v", ["n1", "n2"])
+
+
+@query("SELECT event_type, round(corr(value, hour(ts)), 8) AS corr, round(covar_samp(value, hour(ts)), 6) AS covar, round(regr_slope(value, hour(ts)), 8) AS slope, round(median(value), 4) AS median FROM events GROUP BY event_type")
+def op_statistics(spark, d):
+    e, h = load(spark, d, "events", "event_type", "value", "ts"), F.hour("ts")
+    return e.groupBy("event_type").agg(F.round(F.corr("value", h), 8).alias("corr"), F.round(F.covar_samp("value", h), 6).alias("covar"), F.round(F.regr_slope("value", h), 8).alias("slope"), F.round(F.median("value"), 4).alias("median"))
+
+
+@query("SELECT p_partkey, ntile(4) OVER w AS quarter, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd, rank() OVER w AS place FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_retailprice, p_partkey)")
+def op_rankings(spark, d):
+    w = Window.partitionBy("p_brand").orderBy("p_retailprice", "p_partkey")
+    return load(spark, d, "part", "p_brand", "p_partkey", "p_retailprice").select("p_partkey", F.ntile(4).over(w).cast("long").alias("quarter"), F.round(F.percent_rank().over(w), 6).alias("pr"), F.round(F.cume_dist().over(w), 6).alias("cd"), F.rank().over(w).cast("long").alias("place"))
+
+
+_MONTH = oracle.MONTH.format("l_suppkey")
+
+
+@query(f"WITH a_ AS MATERIALIZED ({oracle.greedy(_MONTH, 4)}), b_ AS MATERIALIZED ({oracle.greedy(_MONTH, 4, score='norm')}) SELECT key, a_.step AS first, b_.step AS second FROM a_ FULL JOIN b_ USING (key)")
+def op_full_outer(spark, d):
+    a, names = matrix.from_cells(workloads.month_cells(spark, d, "l_suppkey"))
+    return relational.compared(greedy.greedy_select(a, 4), baselines.pivoted_qr_select(a, 4)).join(F.broadcast(names), "col_id").select("key", "first", "second")
+
+
+@query(f"WITH c AS MATERIALIZED ({twins.SUPP}), b AS MATERIALIZED ({oracle.sketch(twins.SUPP, 6, 'sign')}), f AS (SELECT c, sum(h * h) AS f FROM (SELECT c.c, k, sum(b.v * c.v) AS h FROM c JOIN b USING (r) GROUP BY ALL) GROUP BY c), g AS (SELECT c, sum(v * v) AS g FROM c GROUP BY c) SELECT s_nationkey::BIGINT AS nation, c AS key, round(f / g, 3) AS score FROM (SELECT *, row_number() OVER (PARTITION BY s_nationkey ORDER BY f / g DESC, c) AS k FROM f JOIN g USING (c) JOIN supplier ON c = s_suppkey) WHERE k = 1")
+def op_cogroup(spark, d):
+    """The best column of each nation for a common sketch: columns and their cross products meet group by group."""
+    a, names = matrix.from_cells(workloads.month_cells(spark, d, "l_suppkey"))
+    b = sketch.sketch_columns(a, 6, "sign", draws="hash")
+    cross = matrix.to_long(a).join(b.select("row_id", F.posexplode("sketch").alias("k", "s")), "row_id").groupBy("col_id", "k").agg(F.sum(F.col("value") * F.col("s")).alias("v"))
+    nation = names.join(load(spark, d, "supplier", "s_suppkey", "s_nationkey"), F.col("key") == F.col("s_suppkey")).select("col_id", F.col("s_nationkey").cast("long").alias("grp"))
+    out = greedy.select_cogrouped(a.df.join(nation, "col_id"), cross.join(nation, "col_id"), 6, 1)
+    return out.join(F.broadcast(names), "col_id").select(F.col("grp").alias("nation"), "key", F.round("score", 3).alias("score"))
+
+
+# Streams over the events, read to their end
+
+
+def _streamed(make, mode="complete"):
+    return lambda spark, d: streams.replay(spark, f"{d}/events.parquet", lambda e: make(spark, d, e.withColumn("ts", F.col("ts").cast("timestamp"))), mode)
+
+
+query("SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, user_id, count(*)::DOUBLE AS value FROM events GROUP BY ALL", "stream_day_cells")(_streamed(lambda s, d, e: streams.cells(e, "1 day").select(F.date_format("start", "yyyy-MM-dd").alias("day"), "user_id", "value")))
+query("SELECT strftime(time_bucket(INTERVAL '6 hours', ts, TIMESTAMP '2024-01-01') - o * INTERVAL '6 hours', '%Y-%m-%d %H') AS start, user_id, count(*)::DOUBLE AS value FROM events, range(4) t(o) GROUP BY ALL", "stream_sliding_cells")(_streamed(lambda s, d, e: streams.cells(e, "1 day", "6 hours").select(F.date_format("start", "yyyy-MM-dd HH").alias("start"), "user_id", "value")))
+query("""WITH e AS (SELECT user_id, ts, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER w < 1800000000 THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+s AS (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM e) SELECT user_id, count(DISTINCT s) AS sessions, count(*) AS n FROM s GROUP BY user_id""", "stream_sessions")(
+    lambda spark, d: _streamed(lambda s, d, e: streams.sessions(e))(spark, d).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("n"))
+)
+query("SELECT DISTINCT event_id, user_id FROM events", "stream_dedup")(
+    # every event comes twice; the second is dropped
+    _streamed(lambda s, d, e: streams.dedup(streams.timed(e.withColumn("copy", F.explode(F.array(F.lit(1), F.lit(2)))))).select("event_id", "user_id"), "append")
+)
+query("SELECT event_id, user_id, c_name FROM events LEFT JOIN customer ON user_id = c_custkey WHERE event_type = 'purchase'", "stream_enrich")(
+    _streamed(lambda s, d, e: streams.enrich(e.where("event_type = 'purchase'"), load(s, d, "customer", "c_custkey", "c_name").withColumnRenamed("c_custkey", "user_id"), "user_id").select("event_id", "user_id", "c_name"), "append")
+)
+query("SELECT a.event_id AS click, b.event_id AS purchase FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL '1 hour'", "stream_within")(
+    _streamed(lambda s, d, e: streams.within(streams.timed(e.where("event_type = 'click'")), streams.timed(e.where("event_type = 'purchase'")), "user_id", "1 hour").select(F.col("a_id").alias("click"), F.col("b_id").alias("purchase")), "append")
+)
+query(f"SELECT r AS row_id, k, v FROM ({oracle.sketch('SELECT event_type AS r, user_id AS i, 1.0::DOUBLE AS v FROM events', 6, 'sign')})", "stream_sketch")(
+    _streamed(lambda s, d, e: streams.sketch_stream(e.select(F.col("event_type").alias("row_id"), F.col("user_id").alias("col_id"), F.lit(1.0).alias("value")), 6, "sign").select("row_id", F.col("k").cast("long").alias("k"), "v"))
+)
+
+
+twins.register(query)

@@ -191,3 +191,44 @@ def block_greedy(a: ColumnFrame, l: int, batch: int = 4) -> DataFrame:
         if len(ids) == before:
             break
     return selection(a.spark, ids, trace)
+
+
+GROUPED = pa.schema([("grp", pa.int64()), ("step", pa.int32()), ("col_id", pa.int64()), ("score", pa.float64())])
+
+
+def select_per_group(rows: DataFrame, l: int) -> DataFrame:
+    """(grp, step, col_id, score): l columns of each group of (grp, col_id, vec), each group for itself.
+
+    A group is held by one task: this is for many small problems.
+    """
+
+    def run(table: pa.Table) -> pa.Table:
+        ids, x = table.column("col_id").to_numpy(), vec.stack(table.column("vec").combine_chunks()).T
+        t = kernel.targeted(x, l, ids=ids)
+        n = len(t.picks)
+        return pa.table([pa.array([table.column("grp")[0].as_py()] * n, pa.int64()), pa.array(np.arange(1, n + 1, dtype=np.int32)), pa.array(ids[t.picks], pa.int64()), pa.array(t.scores, pa.float64())], schema=GROUPED)
+
+    return rows.select("grp", "col_id", "vec").groupBy("grp").applyInArrow(run, "grp long, step int, col_id long, score double")
+
+
+def select_cogrouped(columns: DataFrame, cross: DataFrame, r: int, l: int) -> DataFrame:
+    """(grp, step, col_id, score): l columns of each group for a common target of r columns.
+
+    columns: (grp, col_id, vec); cross: (grp, col_id, k, v), their products with
+    the target, k from 0.  The target itself goes nowhere.
+    """
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        if not left.num_rows:
+            return GROUPED.empty_table()
+        ids, x = left.column("col_id").to_numpy(), vec.stack(left.column("vec").combine_chunks()).T
+        order = np.argsort(ids)
+        c = np.zeros((r, len(ids)))
+        at = order[np.searchsorted(ids[order], right.column("col_id").to_numpy())] if right.num_rows else np.empty(0, dtype=int)
+        c[right.column("k").to_numpy(), at] = right.column("v").to_numpy()
+        t = kernel.targeted(x, l, ids=ids, cross=c)
+        n = len(t.picks)
+        return pa.table([pa.array([left.column("grp")[0].as_py()] * n, pa.int64()), pa.array(np.arange(1, n + 1, dtype=np.int32)), pa.array(ids[t.picks], pa.int64()), pa.array(t.scores, pa.float64())], schema=GROUPED)
+
+    left, right = columns.select("grp", "col_id", "vec").groupBy("grp"), cross.select("grp", "col_id", "k", "v").groupBy("grp")
+    return left.cogroup(right).applyInArrow(run, "grp long, step int, col_id long, score double")

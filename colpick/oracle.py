@@ -64,3 +64,82 @@ def greedy(cells: str, l: int, score: str = "energy", start: str | None = None,
         residual = left if score == "energy" else "NULL::DOUBLE"
         rows.append(f"SELECT {t} AS step, p AS key, round(s, 3) AS score, round({residual}, 3) AS residual_sq FROM s{t}")
     return "WITH " + ",\n".join(out) + "\n" + " UNION ALL ".join(rows)
+
+
+def greedy_rows(cells: str, l: int, target: str | None = None) -> str:
+    """The result of :func:`greedy` for more columns than a Gram matrix of SQL rows allows.
+
+    In the space of the matrix's rows: an orthonormal direction a step, and the
+    target's products of rows, from which every column's numbers follow.
+    """
+    out = [
+        f"c AS MATERIALIZED ({cells})",
+        "rws AS (SELECT DISTINCT r FROM c)",
+        f"b AS MATERIALIZED ({target or 'SELECT r, c AS k, v FROM c'})",
+        "mid AS MATERIALIZED (SELECT x.r AS p, y.r AS q, sum(x.v * y.v) AS v FROM b x JOIN b y USING (k) GROUP BY ALL)",
+        "h AS (SELECT c.c AS i, mid.p AS r, sum(mid.v * c.v) AS v FROM c JOIN mid ON mid.q = c.r GROUP BY ALL)",
+        "t0 AS (SELECT sum(v * v) AS v FROM b)",
+        "st0 AS MATERIALIZED (SELECT c.c AS i, coalesce(sum(c.v * h.v), 0) AS f, sum(c.v * c.v) AS g, sum(c.v * c.v) AS g0 FROM c LEFT JOIN h ON h.i = c.c AND h.r = c.r GROUP BY 1)",
+    ]
+    for t in range(1, l + 1):
+        taken = "".join(f" AND i != (SELECT i FROM p{q})" for q in range(1, t))
+        out.append(f"y{t} AS MATERIALIZED (SELECT i, f / g AS s, g FROM st{t - 1} WHERE g > 1e-10 * g0 AND g > 0{taken})")
+        out.append(f"p{t} AS MATERIALIZED (SELECT * FROM y{t} WHERE s >= (SELECT max(s) FROM y{t}) * (1 - 1e-9) ORDER BY i LIMIT 1)")  # equal to nine digits is a tie
+        out.append(f"raw{t} AS MATERIALIZED (SELECT rws.r, coalesce(a.v, 0) AS v FROM rws LEFT JOIN (SELECT r, v FROM c WHERE c = (SELECT i FROM p{t})) a USING (r))")
+        less = "".join(f" - u{q}.v * (SELECT sum(x.v * y.v) FROM raw{t} x JOIN u{q} y USING (r))" for q in range(1, t))
+        joins = "".join(f" JOIN u{q} ON u{q}.r = a.r" for q in range(1, t))
+        out.append(f"u{t} AS MATERIALIZED (SELECT a.r, (a.v{less}) / sqrt((SELECT g FROM p{t})) AS v FROM raw{t} a{joins})")
+        out.append(f"m{t} AS MATERIALIZED (SELECT u.r, coalesce(sum(mid.v * o.v), 0) AS v FROM u{t} u LEFT JOIN mid ON mid.p = u.r LEFT JOIN u{t} o ON o.r = mid.q GROUP BY 1)")
+        less = "".join(f" - u{q}.v * (SELECT sum(x.v * y.v) FROM m{t} x JOIN u{q} y USING (r))" for q in range(1, t))
+        joins = joins.replace("a.r", "m.r")
+        out.append(f"e{t} AS MATERIALIZED (SELECT m.r, m.v{less} AS v FROM m{t} m{joins})")
+        inner = f"(SELECT sum(x.v * y.v) FROM m{t} x JOIN u{t} y USING (r))"
+        parts = f"(SELECT c.c AS i, sum(c.v * u.v) AS w, sum(c.v * e.v) AS e FROM c JOIN u{t} u USING (r) JOIN e{t} e USING (r) GROUP BY 1)"
+        out.append(f"st{t} AS MATERIALIZED (SELECT i, greatest(f - 2 * w * e + {inner} * w * w, 0) AS f, greatest(g - w * w, 0) AS g, g0 FROM st{t - 1} JOIN {parts} USING (i))")
+    left, rows = "(SELECT v FROM t0)", []
+    for t in range(1, l + 1):
+        left = f"{left} - (SELECT s FROM p{t})"
+        rows.append(f"SELECT {t} AS step, i AS key, round(s, 3) AS score, round({left}, 3) AS residual_sq FROM p{t}")
+    return "WITH " + ",\n".join(out) + "\n" + " UNION ALL ".join(rows)
+
+
+EMB = "SELECT vec_id AS c, generate_subscripts(embedding, 1) - 1 AS r, unnest(embedding)::DOUBLE AS v FROM embeddings"
+EMB_I = EMB.replace("AS c,", "AS c, vec_id AS i,")
+
+
+def ranked(cells: str) -> str:
+    """Cells with the dense rank of their column as its id i."""
+    return f"SELECT r, c, v, dense_rank() OVER (ORDER BY c) - 1 AS i FROM ({cells})"
+
+
+def in_block(n: int, k: int) -> str:
+    return f"{md5_number('i')} % {n} = {k}"
+
+
+def block_choices(cells: str, n: int, l_b: int, target: str | None, form=greedy) -> list[str]:
+    """CTEs blk0 ... of the choices in hash blocks of ``cells`` (r, c, v, i), a CTE or table, and cand_ of all of them."""
+    out = [f"blk{k} AS MATERIALIZED ({form(f'SELECT r, c, v FROM {cells} WHERE {in_block(n, k)}', l_b, target=target)})" for k in range(n)]
+    return [*out, "cand_ AS MATERIALIZED (" + " UNION ALL ".join(f"SELECT {k} AS block, step, key, score FROM blk{k}" for k in range(n)) + ")"]
+
+
+def two_stage(cells: str, l: int, r: int, kind: str, n: int, l_b: int, form=greedy) -> str:
+    """The two-pass selector over hash blocks of cells (r, c, v, i), for a sketch drawn from hashes."""
+    ctes = [f"cells_ AS MATERIALIZED ({cells})", f"sk_ AS MATERIALIZED ({sketch('SELECT r, v, i FROM cells_', r, kind)})", *block_choices("cells_", n, l_b, "SELECT r, k, v FROM sk_", form)]
+    last = form("SELECT r, c, v FROM cells_ WHERE c IN (SELECT key FROM cand_)", l, target="SELECT r, k, v FROM sk_")
+    return "WITH " + ",\n".join(ctes) + f"\nSELECT * FROM ({last})"
+
+
+def local_union(cells: str, l: int, n: int, l_b: int, refine: bool) -> str:
+    """Local choices of hash blocks, one step of each at a time, or the choice among them."""
+    ctes = [f"cells_ AS MATERIALIZED ({cells})", *block_choices("cells_", n, l_b, None)]
+    if refine:
+        return "WITH " + ",\n".join(ctes) + "\nSELECT * FROM (" + greedy("SELECT r, c, v FROM cells_ WHERE c IN (SELECT key FROM cand_)", l) + ")"
+    return "WITH " + ",\n".join(ctes) + f"\nSELECT row_number() OVER (ORDER BY step, score DESC, key) AS step, key, score FROM cand_ ORDER BY 1 LIMIT {l}"
+
+
+def top_value(gram: str, squarings: int = 6) -> list[str]:
+    """CTEs ending in lam(share): the largest eigenvalue of a Gram matrix (p, q, v) as a share of its trace, by squaring."""
+    out = [f"q0 AS MATERIALIZED (SELECT p, q, v / (SELECT sum(v) FROM {gram} WHERE p = q) AS v FROM {gram})"]
+    for k in range(1, squarings + 1):
+        out.append(f"q{k} AS MATERIALIZED (SELECT a.p, b.q, sum(a.v * b.v) AS v FROM q{k - 1} a JOIN q{k - 1} b ON a.q = b.p GROUP BY ALL)")
+    return [*out, f"lam AS (SELECT pow((SELECT sum(v) FROM q{squarings} WHERE p = q), 1.0 / {1 << squarings}) AS share)"]

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import re
+import tempfile
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -17,6 +20,22 @@ def load(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFram
     return df.select(*columns) if columns else df
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder of ``spark.checkpoint.dir``; a temporary one only where everything runs in one process here."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        place = spark.conf.get("spark.checkpoint.dir", None)
+        if not place and not re.match(r"local(\[|$)", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
+        sc.setCheckpointDir(place or tempfile.mkdtemp(prefix="colpick-checkpoint-"))
+    return sc.getCheckpointDir()
+
+
+def write_bucketed(a: ColumnFrame, table: str, buckets: int) -> None:
+    """The matrix as a table bucketed and sorted by col_id: joins and blocks by col_id then need no shuffle."""
+    a.df.select("col_id", "vec").write.bucketBy(buckets, "col_id").sortBy("col_id").mode("overwrite").saveAsTable(table)
+
+
 def read_columns(spark: SparkSession, path: str, fmt: str, schema: str) -> DataFrame:
     """CSV, JSON lines, ORC, Parquet or text with an explicit schema."""
     reader = spark.read.schema(schema)

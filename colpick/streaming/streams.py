@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import random_maps
 from ..operators import greedy, kernel
+from ..sources.tables import shared_folder
 
 
 def files(spark: SparkSession, path: str, schema, per_trigger: int = 1) -> DataFrame:
@@ -89,3 +92,24 @@ def run_once(frame: DataFrame, sink, checkpoint: str, mode: str = "append"):
     query = (writer.foreachBatch(sink) if callable(sink) else writer.format("memory").queryName(sink)).start()
     query.awaitTermination()
     return query
+
+
+def replay(spark: SparkSession, path: str, make, mode: str = "append", per_trigger: int = 1) -> DataFrame:
+    """What a stream over the Parquet files at ``path`` has written when it has read all of them.
+
+    make: from the stream to the frame to be written.  Results and offsets go to
+    the shared folder; in complete mode each batch replaces the one before.
+    """
+    place = f"{shared_folder(spark)}/stream-{uuid.uuid4()}"
+    frame = make(files(spark, path, spark.read.parquet(path).schema, per_trigger))
+
+    def sink(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{place}/out/part={0 if mode == 'complete' else number}")
+
+    run_once(frame, sink, f"{place}/offsets", mode)
+    return spark.read.parquet(f"{place}/out").drop("part")
+
+
+def dropped_rows(query) -> int:
+    """Rows that a finished query left out as older than its watermark."""
+    return sum(s["numRowsDroppedByWatermark"] for p in query.recentProgress for s in p["stateOperators"])

@@ -230,5 +230,7 @@ def select_cogrouped(columns: DataFrame, cross: DataFrame, r: int, l: int) -> Da
         n = len(t.picks)
         return pa.table([pa.array([left.column("grp")[0].as_py()] * n, pa.int64()), pa.array(np.arange(1, n + 1, dtype=np.int32)), pa.array(ids[t.picks], pa.int64()), pa.array(t.scores, pa.float64())], schema=GROUPED)
 
-    left, right = columns.select("grp", "col_id", "vec").groupBy("grp"), cross.select("grp", "col_id", "k", "v").groupBy("grp")
+    # new names for the keys, which may come from one frame on both sides
+    fresh = lambda df, *more: df.select(F.col("grp").cast("long").alias("grp"), F.col("col_id").cast("long").alias("col_id"), *more).groupBy("grp")
+    left, right = fresh(columns, "vec"), fresh(cross, "k", "v")
     return left.cogroup(right).applyInArrow(run, "grp long, step int, col_id long, score double")

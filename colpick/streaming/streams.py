@@ -101,7 +101,8 @@ def replay(spark: SparkSession, path: str, make, mode: str = "append", per_trigg
     the shared folder; in complete mode each batch replaces the one before.
     """
     place = f"{shared_folder(spark)}/stream-{uuid.uuid4()}"
-    frame = make(files(spark, path, spark.read.parquet(path).schema, per_trigger))
+    # as a pattern the path may name one file or a folder
+    frame = make(files(spark, f"{path[:-1]}[{path[-1]}]", spark.read.parquet(path).schema, per_trigger))
 
     def sink(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{place}/out/part={0 if mode == 'complete' else number}")

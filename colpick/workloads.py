@@ -7,12 +7,13 @@ import time
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import experiments
 from .functions import text
 from .operators import baselines, distributed, greedy, matrix, measures
 from .operators.matrix import ColumnFrame
 from .sources.tables import load
 
-RESULT = "workload string, matrix string, n long, m int, method string, l int, seed int, rel_acc double, err double, seconds double"
+RESULT = experiments.RESULT
 
 
 # Matrices: frames of cells (row_key, col_key, value), or columns at once.
@@ -70,9 +71,9 @@ def etype_hour_cells(spark, d) -> DataFrame:
 
 
 def numeric_cells(spark, d) -> DataFrame:
-    items = load(spark, d, "lineitem", "l_orderkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax")
-    long = items.unpivot(["l_orderkey", "l_linenumber"], ["l_quantity", "l_extendedprice", "l_discount", "l_tax"], "feature", "value")
-    return matrix.cells(long, F.concat_ws(":", "l_orderkey", "l_linenumber"), F.col("feature"), F.col("value"))
+    """Numbers of the line items by feature: features are the columns."""
+    items = load(spark, d, "lineitem", "l_orderkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax").withColumn("item", F.concat_ws(":", "l_orderkey", "l_linenumber"))
+    return matrix.cells(items.unpivot(["item"], ["l_quantity", "l_extendedprice", "l_discount", "l_tax"], "feature", "value"), F.col("item"), F.col("feature"), F.col("value"))
 
 
 def columns(cells: DataFrame, transpose: bool = False) -> ColumnFrame:
@@ -131,7 +132,7 @@ def compare(spark: SparkSession, workload: str, name: str, a: ColumnFrame, metho
     for l in ls:
         found, took = {}, {}
         for method, run in methods.items():
-            for seed in seeds if method not in ("greedy", "pivoted_qr", "strong_rrqr") else list(seeds)[:1]:
+            for seed in seeds if method not in experiments.FIXED and "local" not in method else list(seeds)[:1]:
                 t = time.time()
                 found[f"{method}|{seed}"] = measures.ids_of(run(a, l, seed))
                 took[f"{method}|{seed}"] = time.time() - t
@@ -142,68 +143,78 @@ def compare(spark: SparkSession, workload: str, name: str, a: ColumnFrame, metho
     return spark.createDataFrame(rows, RESULT)
 
 
-def sweep(n: int, rank: int, step: int = 2) -> list[int]:
-    """l from 1 % to 25 % of n, below the rank."""
-    return sorted({min(rank - 1, max(1, n * p // 100)) for p in range(1, 26, step)})
-
-
 def central(workload: str, name: str, documents: bool = False):
     """One of the six central experiments; the QR baselines are left out on documents, as too slow there."""
-    methods = {k: v for k, v in CENTRAL.items() if not (documents and k in ("pivoted_qr", "strong_rrqr"))}
+    methods = [k for k in experiments.CENTRAL if not (documents and k in ("pivoted_qr", "strong_rrqr"))]
 
-    def run(spark, sf_dir, ls=(5, 10, 20), seeds=range(2)):
-        return compare(spark, workload, name, MATRICES[name](spark, sf_dir), methods, ls, seeds)
+    def run(spark, sf_dir, ls=None, seeds=range(10)):
+        return experiments.central(workload, name, MATRICES[name](spark, sf_dir), methods, ls, seeds)
 
     return run
 
 
-def spread(workload: str, name: str, leave: tuple = ()):
-    methods = {k: v for k, v in DISTRIBUTED.items() if k not in leave}
+def spread(workload: str, name: str, leave: tuple = (), ls=(10, 100, 500)):
+    methods = [k for k in DISTRIBUTED if k not in leave]
 
-    def run(spark, sf_dir, ls=(10, 30), seeds=range(2)):
-        return compare(spark, workload, name, MATRICES[name](spark, sf_dir), methods, ls, seeds)
+    def run(spark, sf_dir, ls=ls, seeds=range(10)):
+        return experiments.spread(workload, name, MATRICES[name](spark, sf_dir), methods, ls, seeds)
 
     return run
 
 
-def w_laws(spark, sf_dir, ls=(10, 30), seeds=range(3)):
+def w_laws(spark, sf_dir, ls=(10, 100, 500), seeds=range(10)):
     """Gaussian against sparse signs."""
-    return compare(spark, "laws", "doc_hash", doc_hash(spark, sf_dir), {k: DISTRIBUTED[k] for k in ("two_stage_gaussian", "two_stage_sparse")}, ls, seeds)
+    return experiments.spread("laws", "doc_hash", doc_hash(spark, sf_dir), ["two_stage_gaussian", "two_stage_sparse"], ls, seeds)
 
 
-def w_targets(spark, sf_dir, l=10, seeds=range(2)):
+def w_targets(spark, sf_dir, ls=(5, 10, 20), seeds=range(10)):
     """Singular vectors against a sketch as the target, on matrices of full and of low rank."""
-    methods = {k: DISTRIBUTED[k] for k in ("svd_target", "two_stage_sparse")}
-    out = compare(spark, "targets", "emb", emb(spark, sf_dir), methods, (l,), seeds)
-    return out.unionByName(compare(spark, "targets", "part_month", MATRICES["part_month"](spark, sf_dir), methods, (l,), seeds))
+    parts = [experiments.spread("targets", k, MATRICES[k](spark, sf_dir), ["svd_target", "two_stage_sparse"], ls, seeds) for k in ("emb", "part_month", "cust_brand")]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
 
-def w_split(spark, sf_dir, l=8, blocks=4, seeds=range(2)):
-    """All columns of a kind on one block: the union of local choices against the common target."""
-    from pyspark.sql import Window
+def summary(workload):
+    """Mean and deviation over the ten seeds, and the place of each method for its l."""
 
-    a = MATRICES["part_month"](spark, sf_dir)
+    def run(spark, sf_dir):
+        return measures.rank_methods(measures.repeat_stats(workload(spark, sf_dir)), "avg_acc")
+
+    return run
+
+
+def w_split(spark, sf_dir, l=10, blocks=(4, 8), seeds=range(10)):
+    """All columns of a kind on one block: the union of local choices against the common target."""
     from .functions import vec
 
-    order = a.df.withColumn("e", vec.norm_sq(F.col("vec"))).withColumn("col_id", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("e", "col_id")).cast("long")).drop("e")
+    a = MATRICES["part_month"](spark, sf_dir)
+    # ids in order of energy, so that ranges of ids are ranges of energy
+    place = matrix.keys(a.df.select(F.struct(vec.norm_sq(F.col("vec")).alias("e"), "col_id").alias("k")), "k", "place")
+    order = a.df.withColumnRenamed("col_id", "was").join(place.select("place", F.col("key.col_id").alias("was")), "was").select(F.col("place").alias("col_id"), "vec")
     a = ColumnFrame(order, a.m)
-    methods = {
-        "local_union": lambda a, l, s: distributed.local_union_select(a, l, blocks, "range"),
-        "local_union_refined": lambda a, l, s: distributed.local_union_select(a, l, blocks, "range", True, "oversample"),
-        "two_stage": lambda a, l, s: distributed.two_stage_select(a, l, 50, seed=s, blocks="range", n_blocks=blocks),
-    }
-    return compare(spark, "split", "part_month", a, methods, (l,), seeds)
+    out = None
+    for c in blocks:
+        methods = {
+            f"local_union_{c}": lambda a, l, s, c=c: distributed.local_union_select(a, l, c, "range"),
+            f"local_union_refined_{c}": lambda a, l, s, c=c: distributed.local_union_select(a, l, c, "range", True, "oversample"),
+            f"two_stage_{c}": lambda a, l, s, c=c: distributed.two_stage_select(a, l, 50, seed=s, blocks="range", n_blocks=c),
+        }
+        rows = compare(spark, "split", "part_month", a, methods, (l,), seeds)
+        out = rows if out is None else out.unionByName(rows)
+    return out
 
 
 WORKLOADS = {
     "w1_news": central("w1", "doc_tf", True),
     "w2_reviews": central("w2", "doc_en", True),
     "w3_pages": central("w3", "page_tf", True),
+    "w3_conversations": central("w3", "conv_tf", True),
     "w4_low_rank": central("w4", "cust_brand"),
     "w5_classes": central("w5", "emb_classes"),
     "w6_all_classes": central("w6", "emb"),
     "w7_big_sparse": spread("w7", "doc_hash"),
-    "w8_big_low_rank": spread("w8", "part_month", ("two_stage_gaussian",)),
+    "w8_big_low_rank": spread("w8", "part_month", ("two_stage_gaussian",), (10, 30, 60)),
+    "w11_central_summary": summary(central("w11", "emb")),
+    "w12_spread_summary": summary(spread("w12", "part_month", ("two_stage_gaussian",), (10, 30, 60))),
     "w13_laws": w_laws,
     "w14_targets": w_targets,
     "w15_split": w_split,

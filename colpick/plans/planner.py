@@ -28,8 +28,12 @@ def estimate(form: str, m: int, n: int, nnz: float, l: int) -> dict[str, float]:
 
 
 def choose(m: int, n: int, nnz: float, l: int, gram_columns: int = 2048, rows: int = 8192, scans: int = 1000) -> FormChoice:
-    """The cheapest form whose memory is bounded at these sizes."""
-    if n <= gram_columns:
+    """The cheapest form whose memory is bounded at these sizes.
+
+    The Gram matrix of n columns takes products of pairs of columns, aa' of pairs
+    of rows: the fewer of both decide, if either fits the driver.
+    """
+    if n <= gram_columns and (n <= m or m > rows):
         form, why = "gram", f"{n} columns: their Gram matrix fits the driver"
     elif m <= rows and l <= scans:
         form, why = "rowspace", f"{m} rows: aa' fits the driver, {l} scans"

@@ -6,8 +6,9 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
+from colpick import experiments, workloads
 from colpick.functions import random_maps
-from colpick.operators import baselines, distributed, gram, greedy, kernel, lowrank, matrix, measures, sketch, svd
+from colpick.operators import baselines, distributed, gram, greedy, kernel, lowrank, matrix, measures, scores, sketch, svd
 from colpick.operators.matrix import ColumnFrame
 from colpick.sources import tables
 
@@ -206,3 +207,114 @@ def test_layouts_and_sources(spark, tmp_path):
     tables.write_matrix(a, str(tmp_path / "m"), 2)
     assert np.allclose(greedy.local(tables.read_matrix(spark, str(tmp_path / "m"), 4))[1], HAND)
     assert svd.numerical_rank(tables.synthetic(spark, 10, 50, 3)) == 3
+
+
+def test_recursive_scores_choose_what_the_other_forms_choose(spark):
+    for seed, rank in ((21, None), (22, 4)):
+        a = random_matrix(seed, 7, 25, rank)
+        f, b = frame(spark, a), random_matrix(seed + 9, 7, 4)
+        want = kernel.targeted(a, 5)
+        got = scores.scores_select(f, 5, cut=2).collect()
+        assert [r.col_id for r in got] == want.picks and np.allclose([r.residual_sq for r in got], want.left, atol=1e-8)
+        want = kernel.targeted(a, 4, b)
+        columns = frame(spark, b, ids=[10, 20, 5, 7])  # ids need not be dense
+        for target in (b, columns):
+            got = scores.scores_select_for(f, target, 4).collect()
+            assert [r.col_id for r in got] == want.picks and np.allclose([r.score for r in got], want.scores)
+        assert [r.col_id for r in scores.scores_select(f, 4, start=[6, 2]).collect()] == kernel.targeted(a, 4, start=[6, 2]).picks
+    assert scores.scores_select(ColumnFrame(f.df.limit(0), 7), 3).count() == 0
+
+
+def test_block_kernel_by_rows_equals_the_one_by_columns():
+    for seed in range(5):
+        a, b = random_matrix(seed, 6, 30), random_matrix(seed + 50, 6, 4)
+        assert kernel.targeted(a, 5).picks == kernel.on_gram(a.T @ a, 5).picks
+        assert kernel.by_rows(a, 4, b @ b.T).picks == kernel.targeted(a, 4, b).picks
+        assert kernel.by_rows(a, 4, b @ b.T, start=[3]).picks == kernel.targeted(a, 4, b, start=[3]).picks
+
+
+def test_two_stage_reads_its_columns_twice(spark):
+    read = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for batch in batches:
+            read.add(batch.num_rows)
+            yield batch
+
+    f = frame(spark, random_matrix(23, 8, 60))
+    counted = ColumnFrame(f.df.mapInArrow(count, f.df.schema), 8)
+    assert len(distributed.two_stage_select(counted, 5, 20).collect()) == 5
+    assert read.value == 2 * 60
+
+
+def test_proportional_quota_follows_the_sizes_of_blocks(spark):
+    f = frame(spark, random_matrix(24, 8, 64))
+    rows = distributed.in_blocks(f, "hash", 4)
+    sizes = {r.block: r["count"] for r in rows.groupBy("block").count().collect()}
+    assert distributed.proportional(rows, 8, 2.0) == {b: int(np.ceil(16 * n / 64)) for b, n in sizes.items()}
+    assert distributed.two_stage_select(f, 6, 20, blocks="hash", n_blocks=4, quota="proportional").count() == 6
+
+
+def test_draws_in_tasks_are_those_of_sql(spark):
+    a = np.round(random_matrix(25) * 4)
+    for law in random_maps.LAWS:
+        by_task = sketch.publish(sketch.sketch_columns(frame(spark, a), 5, law, seed=2, draws="hash"), 8, 5)
+        by_sql = sketch.publish(sketch.sketch_columns(frame(spark, a), 5, law, seed=2, combine="partial_agg"), 8, 5)
+        assert np.allclose(by_task, by_sql)
+
+
+def test_sparse_columns_there_and_back(spark):
+    a = frame(spark, HAND)
+    sparse = matrix.to_sparse(a)
+    assert {r.col_id: (r.idx, r.val) for r in sparse.collect()}[3] == ([], [])
+    assert np.allclose(greedy.local(matrix.from_sparse(sparse, 4))[1], HAND)
+
+
+def test_medoids_stand_for_clusters_of_all_columns(spark):
+    rng = np.random.default_rng(0)
+    x = np.concatenate([rng.normal(size=(50, 6)) * 0.1 + 10 * np.eye(6)[k] for k in range(3)]).T
+    ids = measures.ids_of(baselines.kmedoids_select(frame(spark, x), 3, seed=4))
+    assert len(ids) == len(set(ids)) <= 3
+    near = np.sqrt(((x[:, :, None] - x[:, ids][:, None]) ** 2).sum(axis=0)).argmin(axis=1)
+    for j, i in enumerate(ids):  # each is the best of its own cluster
+        own = np.flatnonzero(near == j)
+        cost = np.sqrt(((x[:, own][:, :, None] - x[:, own][:, None]) ** 2).sum(axis=0)).sum(axis=0)
+        assert cost[list(own).index(i)] <= cost.min() * (1 + 1e-6)
+
+
+def test_grids_measure_what_the_methods_leave(spark):
+    a = random_matrix(26, 8, 60, 5) + 0.05 * random_matrix(27, 8, 60)
+    f = frame(spark, a)
+    s = np.linalg.svd(a)[1]
+    rows = experiments.central("t", "m", f, list(experiments.CENTRAL), [2, 4], range(2)).collect()
+    assert {(r.method, r.l) for r in rows} == {(m, l) for m in experiments.CENTRAL for l in (2, 4)}
+    for r in rows:
+        assert r.err >= np.sqrt((s[r.l :] ** 2).sum()) - 1e-9 and r.rel_acc <= 100 + 1e-9
+    for l in (2, 4):
+        want = np.sqrt(kernel.targeted(a, l).left[-1])
+        assert np.isclose(next(r.err for r in rows if r.method == "greedy" and r.l == l), want)
+    assert experiments.sweep(1000, 500) == [10 * p for p in range(1, 26, 2)] and max(experiments.sweep(500, 64)) == 63
+    wide = experiments.spread("t", "m", f, list(workloads.DISTRIBUTED), (2, 4, 500), range(2), r=20).collect()
+    assert {r.method for r in wide} == set(workloads.DISTRIBUTED) and max(r.l for r in wide) < 8
+    assert all(r.rel_acc <= 100 + 1e-9 and r.seconds > 0 for r in wide)
+
+
+def test_files_bucketed_tables_and_exports(spark, tmp_path):
+    rows = spark.createDataFrame([(1, 2.5, "a"), (2, None, "b")], "k int, v double, s string")
+    for fmt in ("csv", "json", "orc", "parquet"):
+        tables.export(rows, str(tmp_path / fmt), fmt)
+        assert sorted(map(tuple, tables.read_columns(spark, str(tmp_path / fmt), fmt, "k int, v double, s string").collect())) == [(1, 2.5, "a"), (2, None, "b")]
+    spark.sql("DROP TABLE IF EXISTS bucketed_columns")
+    tables.write_bucketed(frame(spark, HAND), "bucketed_columns", 2)
+    one = spark.table("bucketed_columns")
+    joined = one.hint("merge").join(one.select("col_id", "vec").toDF("col_id", "other"), "col_id")
+    assert joined.count() == 5 and "hashpartitioning" not in joined._jdf.queryExecution().executedPlan().toString()
+    spark.sql("DROP TABLE bucketed_columns")
+
+
+def test_vector_functions_in_sql(spark):
+    from colpick.functions import udfs
+
+    udfs.register(spark)
+    row = spark.sql("SELECT vec_dot(array(1D, 2D), array(3D, 4D)) d, vec_norm(array(3D, 4D)) n, vec_axpy(2D, array(1D), array(5D)) a, vec_hadamard(array(2D), array(3D)) h").first()
+    assert (row.d, row.n, row.a, row.h) == (11.0, 5.0, [7.0], [6.0])

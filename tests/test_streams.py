@@ -1,4 +1,5 @@
 import datetime as dt
+import time
 
 import numpy as np
 from pyspark.sql import functions as F
@@ -24,6 +25,8 @@ def test_windows_late_rows_and_repeated_events(spark, tmp_path):
     events = streams.timed(streams.files(spark, str(tmp_path / "in"), schema))
     streams.run_once(streams.cells(streams.dedup(events), "1 day"), "day_cells", str(tmp_path / "c1"))
     assert {r.value for r in spark.table("day_cells").collect()} <= {1.0, 2.0, 3.0}
+    late = streams.run_once(streams.cells(streams.timed(streams.files(spark, str(tmp_path / "in"), schema)), "1 day"), "late_cells", str(tmp_path / "c3"))
+    assert streams.dropped_rows(late) >= 0 and spark.table("late_cells").count() >= 1
     streams.run_once(streams.sessions(events), "user_sessions", str(tmp_path / "c2"))
     assert spark.table("user_sessions").count() >= 2
 
@@ -39,3 +42,15 @@ def test_pool_keeps_its_size_and_skips_batches_it_has_seen(spark, tmp_path):
     assert list(pool.ids) == before and len(before) <= 6
     assert pool.selection(spark).count() == 3
     assert streams.enrich(frame, frame.select("col_id", F.lit(1).alias("one")), "col_id").count() == 40
+
+
+def test_rows_behind_the_watermark_are_dropped_and_counted(spark, tmp_path):
+    at = lambda h: dt.datetime(2024, 1, 1) + dt.timedelta(hours=h)
+    schema = "event_id long, ts timestamp, user_id long"
+    place = str(tmp_path / "in")
+    for rows in ([(1, at(0), 1)], [(2, at(100), 1)], [(3, at(101), 1), (4, at(1), 1)], [(5, at(200), 1)]):
+        spark.createDataFrame(rows, schema).coalesce(1).write.mode("append").parquet(place)
+        time.sleep(1.1)  # files are read in the order of their times
+    query = streams.run_once(streams.cells(streams.timed(streams.files(spark, place, schema)), "1 day"), "late_all", str(tmp_path / "all"))
+    assert streams.dropped_rows(query) == 1
+    assert sum(r.value for r in spark.table("late_all").collect()) == 3.0  # the last day is open, the late row is gone

@@ -48,9 +48,10 @@ def test_rows_behind_the_watermark_are_dropped_and_counted(spark, tmp_path):
     at = lambda h: dt.datetime(2024, 1, 1) + dt.timedelta(hours=h)
     schema = "event_id long, ts timestamp, user_id long"
     place = str(tmp_path / "in")
-    for rows in ([(1, at(0), 1)], [(2, at(100), 1)], [(3, at(101), 1), (4, at(1), 1)], [(5, at(200), 1)]):
+    for rows in ([(1, at(0), 1)], [(2, at(100), 1)], [(3, at(101), 1)], [(4, at(1), 1)], [(5, at(200), 1)]):  # the engine drops rows by the watermark of the batch before
         spark.createDataFrame(rows, schema).coalesce(1).write.mode("append").parquet(place)
         time.sleep(1.1)  # files are read in the order of their times
     query = streams.run_once(streams.cells(streams.timed(streams.files(spark, place, schema)), "1 day"), "late_all", str(tmp_path / "all"))
     assert streams.dropped_rows(query) == 1
-    assert sum(r.value for r in spark.table("late_all").collect()) == 3.0  # the last day is open, the late row is gone
+    first = [r.value for r in spark.table("late_all").collect() if r.start == at(0)]
+    assert first == [1.0]  # without the late row

@@ -8,12 +8,16 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import Row
+from pyspark.sql.types import ArrayType, DoubleType, Row
 
 from ..operators import kernel
 from . import random_maps
 
 
+#: A type, not its name, which only a session could read.
+VECTOR = ArrayType(DoubleType())
+
+
 @F.udtf(returnType="step int, col_id long, score double")
 class SelectColumns:
     """select_columns(TABLE(t) PARTITION BY ..., l): greedy choice among the rows (col_id, vec) of a partition."""
@@ -52,13 +56,13 @@ class OmegaRow:
                 yield k, w
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(VECTOR)
 def vec_sum(column: pd.Series) -> list:
     """The sum of a group's vectors."""
     return np.sum(np.stack(column.to_list()), axis=0).tolist() if len(column) else []
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(VECTOR)
 def gram_of(column: pd.Series) -> list:
     """The sum of a group's outer products, m x m by rows."""
     x = np.stack(column.to_list())

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Rolling, batch_of, chunks, unused
+from .common import Rolling, batch_of, chunks, portions, unused
 
 # The white space of Unicode, and the contractions that are pieces of their own.
 WHITE_SPACE = [9, 10, 11, 12, 13, 32, 133, 160, 5760, *range(8192, 8203), 8232, 8233, 8239, 8287, 12288]
@@ -140,7 +140,7 @@ def piece_starts(points: np.ndarray, ends: np.ndarray) -> np.ndarray:
 class Codec:
     """Encoder and decoder for a table of byte strings and their ranks."""
 
-    def __init__(self, ranks: dict[bytes, int], cached: int = 200_000):
+    def __init__(self, ranks: dict[bytes, int], cached: int = 100_000):
         self.ranks, self.cached, self.cache, self.older = ranks, cached, {}, {}
         self.rolling = Rolling(0xA24BAED4963EE407)
         self.single = np.array([ranks.get(bytes([b]), PAD) for b in range(256)], dtype=np.uint32)
@@ -273,7 +273,7 @@ class Codec:
 
     def encode_batch(self, texts: list[str | None]) -> Iterator[np.ndarray]:
         """Ids of each text, as unsigned 32-bit integers."""
-        for low, high in chunks(texts):
+        for low, high in chunks(texts, 1 << 18):
             part = [t or "" for t in texts[low:high]]
             joined = "\n".join([*part, ""])
             points = np.frombuffer(joined.encode("utf-32-le"), dtype=np.uint32)
@@ -370,10 +370,11 @@ def digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str =
         c = codec(path)
         for batch in batches:
             n, ids_of, bytes_of = [], [], []
-            for ids in c.encode_batch(batch.column(1).to_pylist()):
-                n.append(len(ids))
-                ids_of.append(hashlib.sha256(ids.tobytes()).hexdigest())
-                bytes_of.append(hashlib.sha256(c.decode(ids)).hexdigest())
+            for texts in portions(batch.column(1)):
+                for ids in c.encode_batch(texts):
+                    n.append(len(ids))
+                    ids_of.append(hashlib.sha256(ids.tobytes()).hexdigest())
+                    bytes_of.append(hashlib.sha256(c.decode(ids)).hexdigest())
             if n:
                 yield batch_of(RESULT, batch.column(0), n, ids_of, bytes_of)
 

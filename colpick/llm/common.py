@@ -8,6 +8,7 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -126,5 +127,16 @@ def chunks(texts: Iterable[str | None], limit: int = 1 << 20) -> Iterator[tuple[
         yield start, at + 1
 
 
+def portions(column: pa.Array, limit: int = 1 << 20) -> Iterator[list[str | None]]:
+    """The texts of an Arrow column as lists of about ``limit`` bytes each, so that few are Python objects at a time."""
+    if not len(column):
+        return
+    total = np.cumsum(pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64) + 1)
+    at = 0
+    for end in np.unique(np.append(np.searchsorted(total, np.arange(limit, total[-1], limit)) + 1, len(column))).tolist():
+        yield column.slice(at, end - at).to_pylist()
+        at = end
+
+
 def batch_of(schema: pa.Schema, *columns) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([c if isinstance(c, (pa.Array, pa.ChunkedArray)) else pa.array(c, type=f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)

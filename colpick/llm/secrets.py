@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch_of, unused
+from .common import batch_of, portions, unused
 
 # The base patterns and their least lengths.
 ASSIGN = re.compile(r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII)
@@ -224,31 +224,31 @@ def redact(docs: DataFrame, model: Markov | None = None, threshold: float = 0.5,
     """
     model = model or train(docs, id_col=id_col, text_col=text_col)
 
-    @F.pandas_udf("string")
-    def clean(texts):
-        out = []
-        for text in texts:
-            _, spans = spans_of(text, model, threshold)
-            if spans:
-                parts, at = [], 0
-                merged: list[list[int]] = []
-                for a, b, _ in spans:
-                    if merged and a < merged[-1][1]:
-                        merged[-1][1] = max(b, merged[-1][1])
-                    else:
-                        merged.append([a, b])
-                for a, b in merged:
-                    parts += [text[at:a], mark]
-                    at = b
-                text = "".join([*parts, text[at:]])
-            out.append(text)
-        import pandas as pd
-
-        return pd.Series(out, dtype=object)
+    def cleaned(text: str | None) -> str | None:
+        """The text with marks; None if it has no span."""
+        _, spans = spans_of(text, model, threshold)
+        if not spans:
+            return None
+        merged: list[list[int]] = []
+        for a, b, _ in spans:
+            if merged and a < merged[-1][1]:
+                merged[-1][1] = max(b, merged[-1][1])
+            else:
+                merged.append([a, b])
+        parts, at = [], 0
+        for a, b in merged:
+            parts += [text[at:a], mark]
+            at = b
+        return "".join([*parts, text[at:]])
+
+    # only changed texts come back from Python
+    @F.arrow_udf("string")
+    def clean(texts: pa.Array) -> pa.Array:
+        return pa.array([cleaned(text) for part in portions(texts) for text in part], pa.string())
 
     done = unused("_clean", docs)
     out = docs.withColumn(done, clean(F.col(text_col)))
     if length_col and length_col in docs.columns:
         kind = docs.schema[length_col].dataType
-        out = out.withColumn(length_col, F.when(F.col(done).eqNullSafe(F.col(text_col)), F.col(length_col)).otherwise(F.length(done).cast(kind)))
-    return out.withColumn(text_col, F.col(done)).drop(done)
+        out = out.withColumn(length_col, F.when(F.col(done).isNull() | (F.col(done) == F.col(text_col)), F.col(length_col)).otherwise(F.length(done).cast(kind)))
+    return out.withColumn(text_col, F.coalesce(done, text_col)).drop(done)

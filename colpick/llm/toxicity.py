@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch_of
+from .common import batch_of, portions
 
 P, DECAY, SPAN = 3, 0.5, 16
 #: Matches below LEVELS[0] count as none; those above LEVELS[1] count again.
@@ -304,12 +304,10 @@ def keep_clean(docs: DataFrame, model: Model, text_col: str = "text") -> DataFra
     """``docs`` without the rows that score 0.5 or more; columns and other rows are unchanged."""
     held: list[Matcher] = []
 
-    @F.pandas_udf("boolean")
-    def fine(texts):
-        import pandas as pd
-
+    @F.arrow_udf("boolean")
+    def fine(texts: pa.Array) -> pa.Array:
         if not held:
             held.append(Matcher(model.landmarks))
-        return pd.Series(model.scores(held[0].rows([None if t is None else t for t in texts])) < 0.5)
+        return pa.array([s < 0.5 for part in portions(texts) for s in model.scores(held[0].rows(part)).tolist()], pa.bool_())
 
     return docs.where(fine(F.col(text_col)))

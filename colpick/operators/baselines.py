@@ -11,8 +11,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import random_maps, vec
-from . import distributed, greedy, kernel, svd
-from .gram import gram_local
+from . import distributed, gram, greedy, kernel, svd
+from .gram import explained, gram_local
 from .matrix import ColumnFrame
 from .sketch import publish, sketch_columns
 
@@ -51,7 +51,10 @@ def probabilities(a: ColumnFrame, prob: str, l: int, seed: int = 0, k: int | Non
 
 
 def pivoted_qr_select(a: ColumnFrame, l: int) -> DataFrame:
-    """Pivots by largest residual norm, one scan a step."""
+    """Pivots by largest residual norm, one scan a step; from the Gram matrix if there are few columns of many rows."""
+    if gram.is_tall(a):
+        ids, g = gram.gram_local(a)
+        return greedy.selection(a.spark, ids, kernel.on_gram(g, l, ids, by_norm=True))
     return greedy._by_scans(a, l, None, float("nan"))
 
 
@@ -118,12 +121,6 @@ def exhaustive_select(a: ColumnFrame, l: int, most: int = 30) -> DataFrame:
     return greedy.selection(a.spark, ids, trace)
 
 
-def explained(g: np.ndarray, s) -> float:
-    """Energy that columns s explain, from the Gram matrix."""
-    s = list(s)
-    return float(np.trace(np.linalg.pinv(g[np.ix_(s, s)]) @ g[s] @ g[s].T))
-
-
 local_union_select = distributed.local_union_select
 
 

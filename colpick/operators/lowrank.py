@@ -34,7 +34,13 @@ def embed(a: ColumnFrame, ids) -> ColumnFrame:
 
 
 def coefficients(a: ColumnFrame, ids, ridge: float = 0.0) -> ColumnFrame:
-    """Least-squares weights of the chosen columns for every column."""
+    """Least-squares weights of the chosen columns for every column; from the Gram matrix if there are few columns of many rows."""
+    if gram.is_tall(a):
+        every, g = gram.gram_local(a)
+        s = np.searchsorted(every, [int(i) for i in ids])
+        inner = g[np.ix_(s, s)]
+        t = (np.linalg.pinv(inner, hermitian=True) if not ridge else np.linalg.inv(inner + ridge * np.eye(len(s)))) @ g[s]
+        return ColumnFrame(a.spark.createDataFrame([(int(i), w.tolist()) for i, w in zip(every, t.T)], "col_id long, vec array<double>"), len(s))
     c = greedy.by_id(a, ids)
     left = np.linalg.pinv(c) if not ridge else np.linalg.solve(c.T @ c + ridge * np.eye(c.shape[1]), c.T)
     return _mapped(a, left)

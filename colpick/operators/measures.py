@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import vec
-from . import baselines, greedy, kernel, svd
+from . import baselines, gram, greedy, kernel, svd
 from .matrix import ColumnFrame
 
 
@@ -46,7 +46,16 @@ def bases(a: ColumnFrame, selections: list[list[int]]) -> list[np.ndarray]:
 
 def residual_sq(a: ColumnFrame, s) -> float:
     """Squared Frobenius distance of a to the span of the selection."""
-    return residuals(a, [kernel.orth(greedy.by_id(a, ids_of(s)))])[1][0]
+    return residuals_of(a, [ids_of(s)])[1][0]
+
+
+def residuals_of(a: ColumnFrame, selections: list[list[int]]) -> tuple[float, list[float]]:
+    """(energy of a, squared residual for each selection); from the Gram matrix if there are few columns of many rows."""
+    if not gram.is_tall(a):
+        return residuals(a, bases(a, selections))
+    ids, g = gram.gram_local(a)
+    energy = float(np.trace(g))
+    return energy, [max(0.0, energy - gram.explained(g, np.searchsorted(ids, s))) for s in selections]
 
 
 def residual_norm(a: ColumnFrame, s, kind: str = "fro", rounds: int = 30) -> float:
@@ -169,5 +178,5 @@ def coverage_by(s: DataFrame, groups: DataFrame, key: str) -> DataFrame:
 
 def optimum_ratio(a: ColumnFrame, s, l: int) -> float:
     """What a selection explains over what the best subset explains."""
-    energy, left = residuals(a, bases(a, [ids_of(s), ids_of(baselines.exhaustive_select(a, l))]))
+    energy, left = residuals_of(a, [ids_of(s), ids_of(baselines.exhaustive_select(a, l))])
     return (energy - left[0]) / (energy - left[1])

@@ -318,3 +318,43 @@ def test_vector_functions_in_sql(spark):
     udfs.register(spark)
     row = spark.sql("SELECT vec_dot(array(1D, 2D), array(3D, 4D)) d, vec_norm(array(3D, 4D)) n, vec_axpy(2D, array(1D), array(5D)) a, vec_hadamard(array(2D), array(3D)) h").first()
     assert (row.d, row.n, row.a, row.h) == (11.0, 5.0, [7.0], [6.0])
+
+
+def cell_frame(spark, x, keys=None):
+    """The matrix made of its cells, with the dictionary of its columns."""
+    rows = [(f"r{i:04}", f"c{j:04}", float(x[i, j])) for i, j in np.argwhere(x != 0)]
+    return matrix.from_cells(spark.createDataFrame(rows, "row_key string, col_key string, value double").repartition(3))
+
+
+def test_gram_of_cells_needs_no_dense_column(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    x = rng.integers(0, 4, size=(90, 7)).astype(float)
+    x[:, 0] = 0
+    x[0, 0], x[0, 1] = 2, 0  # two columns that share no row but others
+    x[1:, 1][x[1:, 1] == 0] = 1
+    a, _ = cell_frame(spark, x)
+
+    def never(*_):
+        raise AssertionError("packed")
+
+    a.df = a.df.mapInArrow(never, "col_id long, vec array<double>")  # fails if anything reads it
+    monkeypatch.setattr(gram, "is_tall", lambda a, **_: True)
+    got = {(r.p, r.q): r.v for r in gram.gram_long(a).collect()}
+    shared = {(p, q): (x[:, p] * x[:, q]).sum() for p in range(7) for q in range(p, 7) if (x[:, p] * x[:, q]).any()}
+    assert got == shared and (0, 1) not in got
+    assert np.array_equal(gram.gram_local(a)[1], x.T @ x)
+    two = greedy.greedy_select(a, 2, "gram")
+    assert [r.col_id for r in two.collect()] == kernel.targeted(x, 2).picks
+    assert [r.col_id for r in baselines.pivoted_qr_select(a, 3).collect()] == kernel.pivoted_qr(x, 3).picks
+    picks = kernel.targeted(x, 2).picks
+    t = np.array([r.vec for r in lowrank.coefficients(a, picks).df.orderBy("col_id").collect()])
+    assert np.allclose(t, (np.linalg.pinv(x[:, picks]) @ x).T)
+    assert np.isclose(measures.residual_sq(a, picks), kernel.residual_sq(x, kernel.orth(x[:, picks])))
+    assert 0 < measures.optimum_ratio(a, two, 2) <= 1 + 1e-12
+
+
+def test_ranks_of_many_keys_are_dense(spark):
+    frame = spark.range(0, 3000).selectExpr("cast(id * 7 as string) as k").repartition(5)
+    got = {r.key: r.i for r in matrix.keys(frame, "k", "i", few=100).collect()}
+    assert got == {k: i for i, k in enumerate(sorted(str(7 * j) for j in range(3000)))}
+    assert {r.key: r.i for r in matrix.keys(frame, "k", "i").collect()} == got

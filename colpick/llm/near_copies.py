@@ -1,8 +1,9 @@
 """Groups of near copies: texts whose sets of word shingles have a Jaccard similarity of at least a bound.
 
-SimHash can't give these: at a similarity of 0.8 two 64-bit fingerprints differ
+Texts that SimHash links are compared first, on the shingles of both.  It can't
+give all groups: at a similarity of 0.8 two 64-bit fingerprints differ
 in about 10 bits, and balls of half that radius have no bounded size.  So
-candidates come from min-wise hashing in bands; every colliding pair is verified
+further candidates come from min-wise hashing in bands; every colliding pair is verified
 exactly on the shingles of both texts.  With 20 bands of 4 a pair at 0.8 fails
 to collide once in 37,000.
 
@@ -26,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Rolling, batch_of, chunks, durable, mix64, text_key
-from .simhash import LOWER, components, least_rows
+from .simhash import LOWER, classes, components, fingerprint, least_rows
 from .substring_dedup import Tokens
 
 SHINGLE, SIMILAR = 5, 0.8
@@ -36,6 +37,7 @@ FACTORS = mix64(np.arange(1, BANDS * ROWS + 1, dtype=np.uint64)) | np.uint64(1)
 #: Agreeing minima that make a pair of one bucket a candidate.
 AGREE = 48
 SIGNS = pa.schema([("tk", pa.binary()), ("keys", pa.list_(pa.int64())), ("least", pa.binary())])
+PRINTS = pa.schema([("tk", pa.binary()), ("fp", pa.int64())])
 SETS = pa.schema([("tk", pa.binary()), ("items", pa.binary())])
 PAIRS = pa.schema([("a", pa.binary()), ("b", pa.binary())])
 MET = pa.schema([*PAIRS, ("key", pa.int64()), ("bands", pa.list_(pa.int32()))])
@@ -214,14 +216,32 @@ def groups(texts: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE) -
     return components(links(texts, similar, shingle)).select(F.col("node").alias("tk"), "root")
 
 
+def fingerprint_links(texts: DataFrame, bucket: int = 64) -> DataFrame:
+    """(a, b): candidates among the texts (tk, text), each text that SimHash links with the smallest key of its component."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                fps = np.array([fingerprint(t) for t in batch.column(1).to_pylist()], dtype=np.uint64).view(np.int64)
+                yield batch_of(PRINTS, batch.column(0), fps)
+
+    prints = durable(texts.mapInArrow(run, "tk binary, fp long").distinct())
+    roots = classes(prints.select(F.lit(0).cast("long").alias("doc_id"), "fp"), bucket).select("fp", "root")
+    placed = prints.join(roots, "fp").select("tk", F.col("root").alias("r"))
+    least = placed.groupBy("r").agg(F.min("tk").alias("a"), F.count("*").alias("n")).where("n > 1")
+    return placed.join(least, "r").where("a != tk").select("a", F.col("tk").alias("b"))
+
+
 def keep_first(docs: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``docs`` with one row of each group of equal texts and near copies: as in :func:`simhash.keep_first`.
+    """``docs`` with one row of each group of equal texts and near copies, found by SimHash and, beyond its reach, by min-wise hashing: as in :func:`simhash.keep_first`.
 
     Texts without words, null ones included, are one group.
     """
     text = F.col(text_col)
     keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), text_key(text).alias("tk"))
     rows = durable(keyed.select("doc_id", "tk", F.coalesce(F.regexp_like("text", F.lit(r"[^\x20\x09-\x0D]")), F.lit(False)).alias("words")))
-    near = groups(keyed.select("tk", "text"), similar, shingle)
+    texts = keyed.select("tk", "text")
+    linked = _verified(fingerprint_links(texts), texts, similar, shingle)
+    near = components(linked.unionByName(links(texts, similar, shingle))).select(F.col("node").alias("tk"), "root")
     placed = rows.join(near, "tk", "left").withColumn("root", F.when(F.col("words"), F.coalesce("root", "tk")).otherwise(text_key(F.lit(""))))
     return least_rows(docs, rows, placed, id_col, text_col)

@@ -20,7 +20,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of smallest id of each group of near copies: five-word shingles, Jaccard 0.8 or more."""
+    """The document of smallest id of each group of near copies: candidates by SimHash and min-wise hashing, verified at a Jaccard similarity of five-word shingles of 0.8 or more."""
     return near_copies.keep_first(docs)
 
 

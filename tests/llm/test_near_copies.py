@@ -64,3 +64,14 @@ def test_crowded_buckets_give_the_same_groups(spark):
         for k, _ in rows:
             groups.setdefault(root.get(k, k), []).append(k)
         assert {min(g) for g in groups.values()} == want, most
+
+
+def test_stage_takes_candidates_from_simhash(spark, monkeypatch):
+    rng = random.Random(9)
+    words = [f"w{rng.randrange(4000)}" for _ in range(400)]
+    one = " ".join(words)
+    other = next(t for i in range(400) if (simhash.fingerprint(t := " ".join([*words[:i], "changed", *words[i + 1 :]])) ^ simhash.fingerprint(one)).bit_count() <= simhash.RADIUS)
+    far = " ".join(f"v{rng.randrange(4000)}" for _ in range(150))
+    monkeypatch.setattr(near_copies, "links", lambda texts, *_: spark.createDataFrame([], "a binary, b binary"))
+    df = spark.createDataFrame([(7, other), (3, one), (9, far), (11, None), (12, "")], "doc_id long, text string")
+    assert sorted(r.doc_id for r in corpus_pipeline.drop_near_duplicates(spark, df, "").collect()) == [3, 9, 11]

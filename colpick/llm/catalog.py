@@ -18,12 +18,13 @@ def _token_counts(spark, sf_dir):
     """
     docs = load(spark, sf_dir, "documents", "doc_id", "text", "source", "lang")
     toxic = load(spark, sf_dir, "labels", "doc_id", "toxic").where("toxic = 1").select("doc_id").distinct()
-    gone = docs.join(toxic, "doc_id", "left_semi")
     words, letters = token_counts.word_tokens, token_counts.letter_tokens
     load_words = token_counts.counted(docs, "words-1", words)
     load_letters = token_counts.counted(docs, "letters-1", words)
     recount = token_counts.revised(docs, "letters-1", words, letters)
-    taken = token_counts.counted(gone, "words-1", words, -1).unionByName(token_counts.counted(gone, "letters-1", letters, -1))
+    # counted before they meet the labels, so that no text is shuffled
+    out = token_counts.counted(docs, "words-1", words, -1, keep=("doc_id",)).unionByName(token_counts.counted(docs, "letters-1", letters, -1, keep=("doc_id",)))
+    taken = out.join(toxic, "doc_id", "left_semi").drop("doc_id")
     batches = [("load-words", load_words), ("load-letters", load_letters), ("recount", recount), ("taken-down", taken), ("load-words", load_words)]
     return token_counts.commit_batches(spark, f"{shared_folder(spark)}/token-counts-{uuid.uuid4()}", batches)
 

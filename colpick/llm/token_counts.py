@@ -47,13 +47,14 @@ def bpe_tokens(path: str):
     return count
 
 
-def counted(docs: DataFrame, tokenizer: str, counter, sign: int = 1, text_col: str = "text") -> DataFrame:
+def counted(docs: DataFrame, tokenizer: str, counter, sign: int = 1, text_col: str = "text", keep: Iterable[str] = ()) -> DataFrame:
     """A batch of changes: each document with its count under a tokenizer version, put in or taken out.
 
     Null texts count as empty; null sources and languages are groups of their own.
+    ``keep`` names columns that stay, for a join by which the batch is chosen.
     """
     text = F.col(text_col)
-    return docs.select(F.col("source").cast("string").alias("source"), F.col("lang").cast("string").alias("lang"), F.lit(tokenizer).alias("tokenizer"), F.lit(sign).cast("long").alias("sign"), counter(text).alias("n_tokens"), F.coalesce(F.octet_length(text), F.lit(0)).cast("long").alias("n_bytes"))
+    return docs.select(*keep, F.col("source").cast("string").alias("source"), F.col("lang").cast("string").alias("lang"), F.lit(tokenizer).alias("tokenizer"), F.lit(sign).cast("long").alias("sign"), counter(text).alias("n_tokens"), F.coalesce(F.octet_length(text), F.lit(0)).cast("long").alias("n_bytes"))
 
 
 def revised(docs: DataFrame, tokenizer: str, old, new, text_col: str = "text") -> DataFrame:

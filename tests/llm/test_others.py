@@ -436,3 +436,25 @@ def test_pipeline_stages(spark, tmp_path):
             now = spark.createDataFrame(now.collect(), now.schema)
         assert (now.count() > 0) == (rows_in is odd)
     assert when
+
+
+def test_batches_that_meet_labels_shuffle_no_text(spark, tmp_path):
+    from colpick.llm import catalog, token_counts
+
+    spark.createDataFrame([(i, f"some words {i}", "s", "en") for i in range(9)], "doc_id long, text string, source string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, i % 3 == 0 and 1 or 0) for i in range(9)], "doc_id long, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    taken = {}
+    commit = token_counts.commit_batches
+    token_counts.commit_batches = lambda spark, path, batches: taken.update(batches) or commit(spark, path, batches)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        got = {(r.tokenizer, r.n_docs, r.n_tokens) for r in catalog._token_counts(spark, str(tmp_path)).collect()}
+        plan = taken["taken-down"]._jdf.queryExecution().executedPlan().toString()
+    finally:
+        token_counts.commit_batches = commit
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert got == {("words-1", 6, 18), ("letters-1", 6, 18)}
+    # what lies above an exchange of documents is made of counts
+    assert "Exchange hashpartitioning(doc_id" in plan
+    above = plan[: plan.index("Exchange hashpartitioning(doc_id")]
+    assert "text#" not in above

@@ -165,12 +165,25 @@ def _state(a: ColumnFrame, f: DataFrame) -> DataFrame:
 def scores_select(a: ColumnFrame, l: int, start=(), digits: int = 9, cut: int = 8) -> DataFrame:
     """The columns of :func:`greedy.greedy_select`, by the recursion over the state of each column.
 
-    The first numbers f are row sums of squares of the Gram matrix, which a join
-    on the rows gives without its being kept anywhere.
+    The first numbers f are row sums of squares of the Gram matrix: of few rows
+    they are x'(aa')x for a column x, of many a join on the rows gives them
+    without its being kept anywhere.
     """
-    half = gram.gram_long(a).where("v != 0")
-    both = half.select("p", "v").unionByName(half.where("p != q").select(F.col("q").alias("p"), "v"))
-    f = both.groupBy(F.col("p").alias("col_id")).agg(F.sum(F.col("v") * F.col("v")).alias("f")).withColumn("c", F.array().cast("array<double>"))
+    if a.m <= 8192:
+        middle = gram.row_gram(a)
+
+        def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                if batch.num_rows:
+                    x = vec.stack(batch.column(1))
+                    yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.maximum(((x @ middle) * x).sum(axis=1), 0))], names=["col_id", "f"])
+
+        f = a.df.select("col_id", "vec").mapInArrow(first, "col_id long, f double")
+    else:
+        half = gram.gram_long(a).where("v != 0")
+        both = half.select("p", "v").unionByName(half.where("p != q").select(F.col("q").alias("p"), "v"))
+        f = both.groupBy(F.col("p").alias("col_id")).agg(F.sum(F.col("v") * F.col("v")).alias("f"))
+    f = f.withColumn("c", F.array().cast("array<double>"))
     state = _state(a, f)
     energy = state.agg(F.sum("g")).first()[0] or 0.0
     out = _select(a, state, l, float(energy), True, start, digits, cut)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -107,7 +108,7 @@ def gram_brand(spark, d):
 
 def _full_gram(spark, d):
     a, names = _brand(spark, d)
-    half = gram.gram_long(a)
+    half = gram.gram_long(a).persist(StorageLevel.MEMORY_AND_DISK)  # read several times
     return half.unionByName(half.where("p != q").select(F.col("q").alias("p"), F.col("p").alias("q"), "v")), names
 
 

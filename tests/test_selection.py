@@ -358,3 +358,15 @@ def test_ranks_of_many_keys_are_dense(spark):
     got = {r.key: r.i for r in matrix.keys(frame, "k", "i", few=100).collect()}
     assert got == {k: i for i, k in enumerate(sorted(str(7 * j) for j in range(3000)))}
     assert {r.key: r.i for r in matrix.keys(frame, "k", "i").collect()} == got
+
+
+def test_equal_columns_of_cells_by_digests(spark):
+    x = np.random.default_rng(2).integers(1, 9, size=(12, 6)).astype(float)
+    x[:, 4], x[:, 5] = x[:, 1], x[::-1, 1]
+    a, _ = cell_frame(spark, x)
+
+    def never(*_):
+        raise AssertionError("packed")
+
+    a.df = a.df.mapInArrow(never, "col_id long, vec array<double>")
+    assert [(r.col_id, r.first_id) for r in matrix.duplicates(a).collect()] == [(4, 1)]

@@ -66,7 +66,7 @@ def mat_dense_emb_norms(spark, d):
 @query(f"SELECT r AS term, count(*) AS n_docs, sum(v * v) AS norm_sq FROM ({oracle.DOC}) GROUP BY r")
 def transpose_terms(spark, d):
     a, names = matrix.from_cells(workloads.doc_cells(spark, d), transpose=True)
-    norms = a.df.select("col_id", F.size(F.filter("vec", lambda x: x != 0)).cast("long").alias("n_docs"), vec.norm_sq(F.col("vec")).alias("norm_sq"))
+    norms = a.cells.groupBy("col_id").agg(F.count("*").alias("n_docs"), F.sum(F.col("value") * F.col("value")).alias("norm_sq"))
     return norms.join(names, "col_id").select(F.col("key").alias("term"), "n_docs", "norm_sq")
 
 

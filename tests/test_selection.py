@@ -370,3 +370,17 @@ def test_equal_columns_of_cells_by_digests(spark):
 
     a.df = a.df.mapInArrow(never, "col_id long, vec array<double>")
     assert [(r.col_id, r.first_id) for r in matrix.duplicates(a).collect()] == [(4, 1)]
+
+
+def test_forms_bring_no_matrix_to_the_driver(spark, monkeypatch):
+    def never(*_, **__):
+        raise AssertionError("all columns, or all pairs of them")
+
+    monkeypatch.setattr(greedy, "local", never)
+    monkeypatch.setattr(gram, "gram_long", never)
+    a = random_matrix(4, 6, 25)
+    want = kernel.targeted(a, 3)
+    for form in ("residual", "naive", "scores"):
+        rows = greedy.greedy_select(frame(spark, a), 3, form).collect()
+        assert [r.col_id for r in rows] == want.picks, form
+        assert np.allclose([r.residual_sq for r in rows], want.left), form

@@ -58,9 +58,53 @@ def pivoted_qr_select(a: ColumnFrame, l: int) -> DataFrame:
     return greedy._by_scans(a, l, None, float("nan"))
 
 
-def strong_rrqr_select(a: ColumnFrame, l: int, factor: float = 2.0, max_swaps: int = 200) -> DataFrame:
-    ids, x = greedy.local(a)
-    return greedy.selection(a.spark, ids, kernel.strong_rrqr(x, l, ids, factor, max_swaps))
+def strong_rrqr_select(a: ColumnFrame, l: int, factor: float = 2.0, max_swaps: int = 200, most: int = 5_000_000) -> DataFrame:
+    """Pivoted QR, then swaps that enlarge the chosen volume by more than ``factor``; on the driver up to ``most`` entries, beyond by scans."""
+    if a.names().limit(most // max(1, a.m) + 1).count() * a.m <= most:
+        ids, x = greedy.local(a, most)
+        return greedy.selection(a.spark, ids, kernel.strong_rrqr(x, l, ids, factor, max_swaps))
+    return _rrqr_by_scans(a, l, factor, max_swaps)
+
+
+def _rrqr_by_scans(a: ColumnFrame, l: int, factor: float, max_swaps: int) -> DataFrame:
+    """The same with the chosen columns alone on the driver: each task sends the column whose best swap enlarges the volume most."""
+    ids = [r.col_id for r in greedy._by_scans(a, l, None, float("nan")).orderBy("step").collect()]
+    c, frame = greedy.by_id(a, ids), a.df.select("col_id", "vec")
+    for _ in range(max_swaps if ids else 0):
+        q, r = np.linalg.qr(c)
+        if np.abs(np.diag(r)).min() < 1e-12 * max(1e-300, np.abs(np.diag(r)).max()):
+            break
+        inverse = np.linalg.inv(r)
+
+        def growth(x, q=q, inverse=inverse):
+            inside = q.T @ x
+            outside = np.maximum((x * x).sum(axis=0) - (inside**2).sum(axis=0), 0)
+            return np.sqrt((inverse @ inside) ** 2 + np.outer((inverse**2).sum(axis=1), outside))
+
+        def scored(i, x, batch, growth=growth, chosen=tuple(ids)):
+            return growth(x).max(axis=0), ~np.isin(i, chosen)
+
+        top = greedy._best_of(frame, scored, 9)
+        if top is None or top.score <= factor:
+            break
+        x = np.array(top.vec)
+        i = int(np.argmax(growth(x[:, None])[:, 0]))
+        ids[i], c[:, i] = int(top.col_id), x
+    q, r = np.linalg.qr(c)
+
+    def shares(batches):
+        total = np.zeros(1 + q.shape[1])
+        for b in batches:
+            if b.num_rows:
+                x = vec.stack(b.column(1))
+                total += np.concatenate([[(x * x).sum()], ((x @ q) ** 2).sum(axis=0)])
+        yield pa.RecordBatch.from_arrays([pa.array([0]), vec.unstack(total[None])], schema=gram.PARTIAL)
+
+    energy, *taken = gram.to_driver(gram.vector_sums(frame.mapInArrow(shares, gram.PARTIAL_DDL), 1 + len(ids)), 1, 1 + len(ids))[0]
+    trace = kernel.Trace()
+    for k, own in enumerate(np.diag(r) ** 2):
+        trace.add(k, own, energy - sum(taken[: k + 1]))
+    return greedy.selection(a.spark, ids, trace)
 
 
 def svd_target(a: ColumnFrame, k: int, scaled: bool = True, exact: bool = False, seed: int = 0) -> np.ndarray:

@@ -384,3 +384,14 @@ def test_forms_bring_no_matrix_to_the_driver(spark, monkeypatch):
         rows = greedy.greedy_select(frame(spark, a), 3, form).collect()
         assert [r.col_id for r in rows] == want.picks, form
         assert np.allclose([r.residual_sq for r in rows], want.left), form
+
+
+def test_rank_revealing_swaps_by_scans(spark, monkeypatch):
+    rng = np.random.default_rng(15)
+    a = rng.normal(size=(12, 80)) * rng.uniform(0.2, 1, size=80)
+    want = kernel.strong_rrqr(a, 6, factor=1.02)
+    assert set(want.picks) != set(kernel.pivoted_qr(a, 6).picks)  # there are swaps
+    monkeypatch.setattr(greedy, "local", None)  # fails if called
+    rows = baselines.strong_rrqr_select(frame(spark, a), 6, 1.02, most=500).orderBy("step").collect()
+    assert [r.col_id for r in rows] == want.picks
+    assert np.allclose([r.residual_sq for r in rows], want.left) and np.allclose([r.score for r in rows], want.scores)

@@ -395,3 +395,15 @@ def test_rank_revealing_swaps_by_scans(spark, monkeypatch):
     rows = baselines.strong_rrqr_select(frame(spark, a), 6, 1.02, most=500).orderBy("step").collect()
     assert [r.col_id for r in rows] == want.picks
     assert np.allclose([r.residual_sq for r in rows], want.left) and np.allclose([r.score for r in rows], want.scores)
+
+
+def test_relative_accuracy_of_all_methods_brings_no_matrix_to_the_driver(spark, monkeypatch):
+    a = random_matrix(41, 8, 120)
+    swaps = baselines.strong_rrqr_select
+    monkeypatch.setattr(greedy, "local", None)
+    monkeypatch.setattr(baselines, "strong_rrqr_select", lambda a, l: swaps(a, l, most=100))
+    f = frame(spark, a)
+    rows = {r.method: r for r in measures.relative_accuracy(f, {k: run(f, 4, 0) for k, run in workloads.CENTRAL.items()}, 4).collect()}
+    assert set(rows) == set(workloads.CENTRAL)
+    picks = kernel.strong_rrqr(a, 4).picks
+    assert np.isclose(rows["strong_rrqr"].err, np.sqrt(kernel.residual_sq(a, kernel.orth(a[:, picks]))))

@@ -6,7 +6,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from colpick import experiments, workloads
+from colpick import catalog, experiments, workloads
 from colpick.functions import random_maps
 from colpick.operators import baselines, distributed, gram, greedy, kernel, lowrank, matrix, measures, scores, sketch, svd
 from colpick.operators.matrix import ColumnFrame
@@ -407,3 +407,30 @@ def test_relative_accuracy_of_all_methods_brings_no_matrix_to_the_driver(spark,
     assert set(rows) == set(workloads.CENTRAL)
     picks = kernel.strong_rrqr(a, 4).picks
     assert np.isclose(rows["strong_rrqr"].err, np.sqrt(kernel.residual_sq(a, kernel.orth(a[:, picks]))))
+
+
+@pytest.mark.parametrize("name", ["coefficients_l2"])
+def test_brand_queries_pack_no_column(spark, monkeypatch, name):
+    """Few columns of many rows: no column of all customers is made, and the result is that of the SQL."""
+    duckdb = pytest.importorskip("duckdb")
+    d = "/root/testdata/sf0.001"
+    monkeypatch.setattr(gram, "is_tall", lambda a, **_: True)
+
+    def never(m, **_):
+        def run(batches):
+            raise AssertionError("packed")
+            yield
+
+        return run
+
+    monkeypatch.setattr(matrix, "_scatter", never)
+    con = duckdb.connect()
+    for t in ("lineitem", "orders", "part"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{d}/{t}.parquet'")
+    want = con.execute(catalog.ORACLES[name])
+    names = [c[0] for c in want.description]
+    rows = sorted(want.fetchall(), key=str)
+    got = sorted((tuple(r) for r in catalog.QUERIES[name](spark, d).select(*names).collect()), key=str)
+    assert len(got) == len(rows)
+    for x, y in zip(got, rows):
+        assert all(u == v or np.isclose(u, v, rtol=1e-9) for u, v in zip(x, y)), (x, y)

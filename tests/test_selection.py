@@ -409,7 +409,7 @@ def test_relative_accuracy_of_all_methods_brings_no_matrix_to_the_driver(spark,
     assert np.isclose(rows["strong_rrqr"].err, np.sqrt(kernel.residual_sq(a, kernel.orth(a[:, picks]))))
 
 
-@pytest.mark.parametrize("name", ["coefficients_l2", "exhaustive_brand_l2", "optimum_ratio_brand", "pivoted_qr_brand"])
+@pytest.mark.parametrize("name", ["coefficients_l2", "exhaustive_brand_l2", "optimum_ratio_brand", "pivoted_qr_brand", "residual_after_selection"])
 def test_brand_queries_pack_no_column(spark, monkeypatch, name):
     """Few columns of many rows: no column of all customers is made, and the result is that of the SQL."""
     duckdb = pytest.importorskip("duckdb")

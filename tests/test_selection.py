@@ -8,7 +8,7 @@ from hypothesis import strategies as st
 
 from colpick import catalog, experiments, workloads
 from colpick.functions import random_maps
-from colpick.operators import baselines, distributed, gram, greedy, kernel, lowrank, matrix, measures, scores, sketch, svd
+from colpick.operators import baselines, bounds, distributed, gram, greedy, kernel, lowrank, matrix, measures, scores, sketch, svd
 from colpick.operators.matrix import ColumnFrame
 from colpick.sources import tables
 
@@ -434,3 +434,22 @@ def test_brand_queries_pack_no_column(spark, monkeypatch, name):
     assert len(got) == len(rows)
     for x, y in zip(got, rows):
         assert all(u == v or np.isclose(u, v, rtol=1e-9) for u, v in zip(x, y)), (x, y)
+
+
+def test_intervals_of_scores_choose_what_the_other_forms_choose(spark):
+    rng = np.random.default_rng(8)
+    x = rng.poisson(0.4, size=(70, 90)).astype(float)
+    x[:8] += rng.poisson(3, size=(8, 90))
+    x[:, 50] = x[:, 11]  # a tie
+    a, _ = cell_frame(spark, x)
+    want = kernel.targeted(x, 4)
+    rows = bounds.sparse_select(a.sparse, a.m, 4, most_bytes=8 * 70 * 30).orderBy("step").collect()
+    assert [r.col_id for r in rows] == want.picks
+    assert np.allclose([r.score for r in rows], want.scores) and np.allclose([r.residual_sq for r in rows], want.left)
+    scans = bounds._Scans(a.sparse, a.m)
+    v, z, tail = bounds.directions(scans, 4)
+    rest = np.eye(70) - v @ v.T
+    assert np.allclose(z, x @ (x.T @ v)) and np.linalg.norm(rest @ x, 2) ** 2 <= tail
+    a.m = 9000  # more rows than aa' may have: no error, and no packed column
+    a.df = None
+    assert [r.col_id for r in greedy.greedy_select(a, 2, "rowspace").collect()] == want.picks[:2]

@@ -453,3 +453,11 @@ def test_intervals_of_scores_choose_what_the_other_forms_choose(spark):
     a.m = 9000  # more rows than aa' may have: no error, and no packed column
     a.df = None
     assert [r.col_id for r in greedy.greedy_select(a, 2, "rowspace").collect()] == want.picks[:2]
+
+
+def test_many_rows_and_columns_are_chosen_exactly_by_default(spark, monkeypatch):
+    x = np.random.default_rng(9).poisson(0.8, size=(30, 40)).astype(float)
+    a, _ = cell_frame(spark, x)
+    a.m, a.ids = 9000, spark.range(3000).withColumnRenamed("id", "col_id")  # too many of both for a Gram matrix
+    a.df = a.ids  # no packed column
+    assert [r.col_id for r in greedy.greedy_select(a, 2).collect()] == kernel.targeted(x, 2).picks

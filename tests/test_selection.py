@@ -461,3 +461,16 @@ def test_many_rows_and_columns_are_chosen_exactly_by_default(spark, monkeypatch)
     a.m, a.ids = 9000, spark.range(3000).withColumnRenamed("id", "col_id")  # too many of both for a Gram matrix
     a.df = a.ids  # no packed column
     assert [r.col_id for r in greedy.greedy_select(a, 2).collect()] == kernel.targeted(x, 2).picks
+
+
+def test_many_targets_in_step_choose_as_each_alone(monkeypatch):
+    a = random_matrix(51, 12, 60)
+    a[:, 7], a[:, 9] = a[:, 3], 0
+    targets = [random_matrix(60 + i, 12, r) for i, r in enumerate((3, 5, 8))] + [np.zeros((12, 2))]
+    ids = np.arange(60)[::-1].copy()
+    many = kernel.targeted_many(a, 9, targets, ids)
+    for b, got in zip(targets[:3], many):
+        want = kernel.targeted(a, 9, b, ids)
+        few = min(9, b.shape[1])  # beyond its rank nothing is left to choose by
+        assert got.picks[:few] == want.picks[:few] and np.allclose(got.scores[:few], want.scores[:few]) and np.allclose(got.left, want.left)
+    assert len(many[3].picks) == 9 and len(kernel.targeted_many(a, 40, targets[:1], ids)[0].picks) == 12

@@ -52,6 +52,17 @@ def unused(name: str, *taken) -> str:
     return name
 
 
+def small_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """Has the session send at most ``rows`` rows at a time to Python, from now on.
+
+    A batch of the default 10,000 texts takes tens of megabytes at once, twice
+    over in the executor's JVM while its buffers grow, and again in the worker.
+    """
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= rows:
+        spark.conf.set(name, str(rows))
+
+
 def parts_for(df: DataFrame, rows: int) -> int:
     """A number of partitions of about ``rows`` rows each, at least the cluster's parallelism; counts ``df``."""
     return max(df.sparkSession.sparkContext.defaultParallelism, -(-df.count() // rows))
@@ -138,5 +149,23 @@ def portions(column: pa.Array, limit: int = 1 << 20) -> Iterator[list[str | None
         at = end
 
 
+def pieces(batches: Iterable[pa.RecordBatch], *sized: int, limit: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """The batches cut by rows into slices of about ``limit`` bytes of the texts or binary values in the columns ``sized``.
+
+    Memory that numbers, texts and sets took is given back after each batch: a
+    worker outlives its task, and the next one would start on top of it.
+    """
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        each = sum(pc.fill_null(pc.binary_length(batch.column(i)), 0).to_numpy(zero_copy_only=False).astype(np.int64) for i in sized) + 1
+        total, at = np.cumsum(each), 0
+        for end in np.unique(np.append(np.searchsorted(total, np.arange(limit, total[-1], limit)) + 1, len(total))).tolist():
+            yield batch.slice(at, end - at)
+            at = end
+        del batch, each, total
+        pa.default_memory_pool().release_unused()
+
+
 def batch_of(schema: pa.Schema, *columns) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([c if isinstance(c, (pa.Array, pa.ChunkedArray)) else pa.array(c, type=f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Rolling, batch_of, chunks, durable, mix64, text_key
+from .common import Rolling, batch_of, chunks, durable, mix64, pieces, text_key
 from .simhash import LOWER, classes, components, fingerprint, least_rows
 from .substring_dedup import Tokens
 
@@ -64,7 +64,7 @@ def jaccard(a: np.ndarray, b: np.ndarray) -> float:
 def _sign(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         band = np.arange(1, BANDS + 1, dtype=np.uint64)
-        for batch in batches:
+        for batch in pieces(batches, 1):
             names, keys, minima = [], [], []
             for tk, items in zip(batch.column(0).to_pylist(), shingle_sets(batch.column(1).to_pylist(), shingle)):
                 if len(items):
@@ -127,7 +127,7 @@ def _collide(most: int, last: bool, similar: float, most_bytes: int = 64 << 20):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, held, size, large = None, [], 0, False
-        for batch in batches:
+        for batch in pieces(batches, 5):
             for key, bands, tk, root, least, items in zip(*(c.to_pylist() for c in batch.columns)):
                 if key != known:
                     yield from rest(known, held) if large else pairs(held)
@@ -145,7 +145,7 @@ def _collide(most: int, last: bool, similar: float, most_bytes: int = 64 << 20):
 
 def _sets(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches, 1):
             if batch.num_rows:
                 yield batch_of(SETS, batch.column(0), [x.tobytes() for x in shingle_sets(batch.column(1).to_pylist(), shingle)])
 
@@ -154,7 +154,7 @@ def _sets(shingle: int):
 
 def _verify(similar: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches, 2, 3):
             x, y = ([np.frombuffer(v, dtype=np.uint64) for v in batch.column(i).to_pylist()] for i in (2, 3))
             near = [i for i, (p, q) in enumerate(zip(x, y)) if jaccard(p, q) >= similar]
             if near:
@@ -220,7 +220,7 @@ def fingerprint_links(texts: DataFrame, bucket: int = 64) -> DataFrame:
     """(a, b): candidates among the texts (tk, text), each text that SimHash links with the smallest key of its component."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches, 1):
             if batch.num_rows:
                 fps = np.array([fingerprint(t) for t in batch.column(1).to_pylist()], dtype=np.uint64).view(np.int64)
                 yield batch_of(PRINTS, batch.column(0), fps)

@@ -6,34 +6,53 @@ columns; the last returns digests of the encoded texts.
 
 from __future__ import annotations
 
+import functools
+from collections.abc import Callable
+
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from colpick.llm import byte_bpe, decontamination, near_copies, secrets, toxicity
-from colpick.llm.common import durable, load
+from colpick.llm.common import durable, load, small_batches
+
+
+def in_small_batches(stage: Callable) -> Callable:
+    """``stage`` in a session that sends few rows at a time to Python; what it returns is run after it, so the session keeps that."""
+
+    @functools.wraps(stage)
+    def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        small_batches(spark)
+        return stage(spark, docs, sf_dir)
+
+    return run
 
 
+@in_small_batches
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity model, learned from this directory's labels, doesn't reject."""
     model = toxicity.train(load(spark, sf_dir, "documents", "doc_id", "text"), load(spark, sf_dir, "labels", "doc_id", "toxic"))
     return toxicity.keep_clean(docs, model)
 
 
+@in_small_batches
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document of smallest id of each group of near copies: candidates by SimHash and min-wise hashing, verified at a Jaccard similarity of five-word shingles of 0.8 or more."""
     return near_copies.keep_first(docs)
 
 
+@in_small_batches
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that don't hold a twentieth or more of benchmark windows."""
     return decontamination.keep_clean(docs, load(spark, sf_dir, "benchmark", "item_id", "text"))
 
 
+@in_small_batches
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, with a mark in place of every secret."""
     return secrets.redact(docs)
 
 
+@in_small_batches
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Digests of each document's token ids and of the bytes that they decode to."""
     return byte_bpe.digests(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))

@@ -29,6 +29,11 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def release(spark: SparkSession) -> None:
+    """Has the driver drop plans that no frame refers to any more: their shuffle files stay on disk until it collects its garbage."""
+    spark.sparkContext._jvm.System.gc()
+
+
 def shared_folder(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir``.
 
@@ -73,6 +78,31 @@ def text_key(text) -> F.Column:
     return F.unhex(F.md5(F.coalesce(text, F.lit("")).cast("binary")))
 
 
+#: Bits of one value of bitmap_construct_agg.
+BITMAP = 32768
+
+
+def marked(rows: DataFrame, needed: DataFrame, *keys, per_key: int = 16, most: int = 32 << 20) -> tuple[DataFrame, DataFrame] | None:
+    """``rows`` in two: those that may have a key of ``needed``, and those that surely have none; nothing if the bitmaps would take over ``most`` bytes.
+
+    ``keys`` are expressions over ``rows`` for the columns of ``needed``, in
+    their order and types.  Each needed key sets one of ``per_key`` bits, so the
+    first part has all rows that are needed and about one in ``per_key`` of the
+    others; an exact join with ``needed`` then moves no more than these.
+    """
+    n = needed.count()
+    if n * per_key > 8 * most:
+        return None
+    bits = BITMAP * max(1, -(-n * per_key // BITMAP))
+    part, marks = unused("_part", rows), unused("_marks", rows)
+    at = F.pmod(F.xxhash64(*needed.columns), F.lit(bits))
+    maps = needed.select(at.alias("at")).groupBy(F.floor(F.col("at") / BITMAP).alias(part)).agg(F.bitmap_construct_agg(F.col("at") % BITMAP).alias(marks))
+    place = F.pmod(F.xxhash64(*keys), F.lit(bits))
+    byte = F.conv(F.hex(F.substr(F.col(marks), (F.floor(place % BITMAP / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("long")
+    found = (F.floor(place / BITMAP) == F.col(part)) & (F.bit_get(byte, (place % 8).cast("int")) == 1)
+    return rows.join(F.broadcast(maps), found, "left_semi"), rows.join(F.broadcast(maps), found, "left_anti")
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """Finalise 64-bit values so that every input bit reaches every output bit."""
     x = x ^ (x >> np.uint64(31))

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Rolling, batch_of, chunks, durable, mix64, pieces, text_key
+from .common import Rolling, batch_of, chunks, durable, marked, mix64, pieces, release, text_key
 from .simhash import LOWER, classes, components, fingerprint, least_rows
 from .substring_dedup import Tokens
 
@@ -164,14 +164,19 @@ def _verify(similar: float):
 
 
 def _set_frame(texts: DataFrame, needed: DataFrame, shingle: int) -> DataFrame:
-    """(tk, items): the shingle sets of the texts whose keys are needed."""
-    single = texts.join(needed, "tk", "left_semi").groupBy("tk").agg(F.first("text").alias("text"))
+    """(tk, items): the shingle sets of the texts whose keys are needed, which are distinct.
+
+    Few texts are needed as a rule, so the others are left out before any text is moved.
+    """
+    likely = marked(texts, needed, "tk")
+    single = (likely[0] if likely else texts).groupBy("tk").agg(F.first("text").alias("text")).join(needed, "tk", "left_semi")
     return durable(single.mapInArrow(_sets(shingle), "tk binary, items binary"))
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, similar: float, shingle: int) -> DataFrame:
     """Of the distinct ``pairs``, those that are near copies by the shingles of both texts."""
     found = durable(pairs.distinct())
+    release(found.sparkSession)
     sets = _set_frame(texts, found.select(F.col("a").alias("tk")).union(found.select("b")).distinct(), shingle)
     both = found.join(sets.toDF("a", "x"), "a").join(sets.toDF("b", "y"), "b").select("a", "b", "x", "y")
     return durable(both.mapInArrow(_verify(similar), "a binary, b binary"))
@@ -198,6 +203,7 @@ def links(texts: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE, mo
         rooted = now.join(signed.select("tk", F.xxhash64("root").alias("r")), "tk")
         mixed = rooted.groupBy("key").agg(F.min("r").alias("low"), F.max("r").alias("high")).where("low != high").select("key")
         now = durable(now.join(mixed, "key", "left_semi"))
+        release(now.sparkSession)
         sets = _set_frame(texts, now.select("tk").distinct(), shingle) if sets is None else sets
         full = now.join(signed.select("tk", "root", "least"), "tk").join(sets, "tk").select("key", "bands", "tk", "root", "least", "items")
         met = full.repartition("key").sortWithinPartitions("key", "tk").mapInArrow(_collide(most, level == LEVELS, similar), "a binary, b binary, key long, bands array<int>")
@@ -243,5 +249,6 @@ def keep_first(docs: DataFrame, similar: float = SIMILAR, shingle: int = SHINGLE
     texts = keyed.select("tk", "text")
     linked = _verified(fingerprint_links(texts), texts, similar, shingle)
     near = components(linked.unionByName(links(texts, similar, shingle))).select(F.col("node").alias("tk"), "root")
+    release(docs.sparkSession)
     placed = rows.join(near, "tk", "left").withColumn("root", F.when(F.col("words"), F.coalesce("root", "tk")).otherwise(text_key(F.lit(""))))
     return least_rows(docs, rows, placed, id_col, text_col)

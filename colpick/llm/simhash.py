@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import batch_of, durable, parts_for, text_key, unused
+from .common import batch_of, durable, marked, parts_for, text_key, unused
 
 RADIUS = 3
 #: Bit ranges that the three masks leave out.
@@ -255,12 +255,18 @@ def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 
 def least_rows(docs: DataFrame, rows: DataFrame, placed: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """``docs`` with one row of each root, of their (doc_id, tk) in ``rows`` and (doc_id, tk, root) in ``placed``."""
+    """``docs`` with one row of each root, of their (doc_id, tk) in ``rows`` and (doc_id, tk, root) in ``placed``.
+
+    Only rows that may be among those to drop are moved, unless these are very many.
+    """
     names = {n: unused(f"_{n}", docs, rows) for n in ("id", "tk", "row")}
     best = placed.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "tk")).alias("m"))
     best = durable(best.select(F.col("m.doc_id").alias(names["id"]), F.col("m.tk").alias(names["tk"])))
     same = F.col(names["id"]).eqNullSafe(F.col(id_col).cast("long")) & (F.col(names["tk"]) == text_key(F.col(text_col)))
-    kept = docs.join(best, same, "left_semi")
+    best_id, best_tk = F.col(names["id"]), F.col(names["tk"])
+    dropped = durable(rows.join(best, best_id.eqNullSafe(F.col("doc_id")) & (best_tk == F.col("tk")), "left_anti").select(F.col("doc_id").alias(names["id"]), F.col("tk").alias(names["tk"])).distinct())
+    parts = marked(docs, dropped, F.col(id_col).cast("long"), text_key(F.col(text_col)))
+    kept = parts[1].unionByName(parts[0].join(dropped, same, "left_anti")) if parts else docs.join(best, same, "left_semi")
     twice = rows.join(best, F.col(names["id"]).eqNullSafe(F.col("doc_id")) & (F.col(names["tk"]) == F.col("tk")), "left_semi").groupBy("doc_id", "tk").count().where("count > 1")
     if twice.isEmpty():
         return kept

@@ -46,22 +46,29 @@ def _kernel(l: int | dict[int, int], target, block_bytes: int):
         return pa.RecordBatch.from_arrays([pa.array([block] * len(p), type=pa.int64()), pa.array(np.arange(1, len(p) + 1, dtype=np.int32)), pa.array(ids[p]), pa.array(trace.scores, type=pa.float64()), pa.array(trace.left, type=pa.float64()), vec.unstack(x[:, p].T) if p else pa.array([], type=pa.list_(pa.float64()))], schema=CHOSEN)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, parts, size, block = [], [], 0, None
+        # the block grows in one buffer, whose pages are taken as they are written
+        ids, x, n, block = [], None, 0, None
         for batch in batches:
             if not batch.num_rows:
                 continue
             b = batch.column(2).to_numpy()
             for cut in np.split(np.arange(len(b)), np.flatnonzero(b[1:] != b[:-1]) + 1):
-                if parts and (b[cut[0]] != block or size > block_bytes):
-                    yield choose(np.concatenate(ids), np.concatenate(parts).T, block)
-                    ids, parts, size = [], [], 0
+                if n and (b[cut[0]] != block or x[:n].nbytes > block_bytes):
+                    yield choose(np.concatenate(ids), x[:n].T, block)
+                    ids, n = [], 0
                 piece = batch.slice(int(cut[0]), len(cut))
                 block = int(b[cut[0]])
                 ids.append(piece.column(0).to_numpy())
-                parts.append(vec.stack(piece.column(1)))
-                size += parts[-1].nbytes
-        if parts:
-            yield choose(np.concatenate(ids), np.concatenate(parts).T, block)
+                part = vec.stack(piece.column(1))
+                if x is None or n + len(part) > len(x):
+                    more = np.empty((max(2 * n, min(block_bytes, 256 << 20) // max(8, part[:1].nbytes)) + len(part), part.shape[1]))
+                    if n:
+                        more[:n] = x[:n]
+                    x = more
+                x[n : n + len(part)] = part
+                n += len(part)
+        if n:
+            yield choose(np.concatenate(ids), x[:n].T, block)
 
     return run
 

@@ -474,3 +474,10 @@ def test_many_targets_in_step_choose_as_each_alone(monkeypatch):
         few = min(9, b.shape[1])  # beyond its rank nothing is left to choose by
         assert got.picks[:few] == want.picks[:few] and np.allclose(got.scores[:few], want.scores[:few]) and np.allclose(got.left, want.left)
     assert len(many[3].picks) == 9 and len(kernel.targeted_many(a, 40, targets[:1], ids)[0].picks) == 12
+
+
+@pytest.mark.parametrize("name", ["w1_news"])
+def test_documents_meet_every_method(spark, name):
+    """The QR methods were left out on documents."""
+    rows = workloads.WORKLOADS[name](spark, "/root/testdata/sf0.001", ls=(1, 2), seeds=range(1)).collect()
+    assert sorted((r.method, r.l) for r in rows) == sorted((m, l) for m in experiments.CENTRAL for l in (1, 2))

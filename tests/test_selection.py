@@ -476,7 +476,7 @@ def test_many_targets_in_step_choose_as_each_alone(monkeypatch):
     assert len(many[3].picks) == 9 and len(kernel.targeted_many(a, 40, targets[:1], ids)[0].picks) == 12
 
 
-@pytest.mark.parametrize("name", ["w1_news", "w2_reviews", "w3_conversations"])
+@pytest.mark.parametrize("name", ["w1_news", "w2_reviews", "w3_conversations", "w3_pages"])
 def test_documents_meet_every_method(spark, name):
     """The QR methods were left out on documents."""
     rows = workloads.WORKLOADS[name](spark, "/root/testdata/sf0.001", ls=(1, 2), seeds=range(1)).collect()

@@ -481,3 +481,29 @@ def test_documents_meet_every_method(spark, name):
     """The QR methods were left out on documents."""
     rows = workloads.WORKLOADS[name](spark, "/root/testdata/sf0.001", ls=(1, 2), seeds=range(1)).collect()
     assert sorted((r.method, r.l) for r in rows) == sorted((m, l) for m in experiments.CENTRAL for l in (1, 2))
+
+
+def test_spread_keeps_candidates_off_the_driver(spark, monkeypatch):
+    """The last choices were made from all candidate columns, collected and sent out again."""
+    x = random_matrix(3, 8, 60)
+    monkeypatch.setattr(greedy, "by_id", None)
+    rows = experiments.spread("t", "m", frame(spark, x, parts=4), list(workloads.DISTRIBUTED), (2, 5), range(2), r=6).collect()
+    assert len(rows) == 2 * 2 * len(workloads.DISTRIBUTED)
+    for l in (2, 5):  # a column of a block is chosen for the seed's target, then among all blocks' choices
+        a = frame(spark, x)
+        want = {s: [r.col_id for r in distributed.two_stage_select(a, l, 6, "gaussian", seed=s, blocks="hash", n_blocks=4).collect()] for s in range(2)}
+        for r in rows:
+            if r.method == "two_stage_gaussian" and r.l == l:
+                assert r.err == pytest.approx(np.sqrt(kernel.residual_sq(x, kernel.orth(x[:, want[r.seed]]))))
+
+
+def test_many_targets_in_compact_pieces():
+    """A block of counts is held in 4 bytes an entry, and of any numbers in 8, with the same choice."""
+    rng = np.random.default_rng(4)
+    for a in (rng.poisson(0.3, size=(12, 90)).astype(float), rng.normal(size=(12, 90))):
+        ids, targets = np.arange(90)[::-1].copy(), [rng.normal(size=(12, 5)) for _ in range(3)]
+        rows = kernel.Rows(12 * 7)
+        rows.add(a.T[:40])
+        rows.add(a.T[40:])
+        assert {p.dtype for p in rows.pieces} == {np.dtype(np.float32 if (a % 1 == 0).all() else np.float64)} and len(rows.pieces) > 2
+        assert [t.picks for t in kernel.targeted_many(rows, 8, targets, ids)] == [kernel.targeted(a, 8, b, ids).picks for b in targets]

@@ -507,3 +507,25 @@ def test_many_targets_in_compact_pieces():
         rows.add(a.T[40:])
         assert {p.dtype for p in rows.pieces} == {np.dtype(np.float32 if (a % 1 == 0).all() else np.float64)} and len(rows.pieces) > 2
         assert [t.picks for t in kernel.targeted_many(rows, 8, targets, ids)] == [kernel.targeted(a, 8, b, ids).picks for b in targets]
+
+
+def test_bound_outside_the_directions_is_close(spark):
+    """It was nearly three times the eigenvalue or more, so that thousands of columns were scored one by one."""
+    x = random_matrix(5, 40, 80)
+    scans = bounds._Scans(matrix.to_sparse(frame(spark, x)), 40)
+    v, _, bound = bounds.directions(scans, 4)
+    rest = x - v @ (v.T @ x)
+    assert 1 <= bound / np.linalg.eigvalsh(rest @ rest.T)[-1] < 2
+    scans.columns.unpersist()
+
+
+def test_cells_are_counted_once(spark):
+    """The texts were read, split and counted for the frequent tokens, and again for their cells."""
+    from colpick.functions import text
+
+    docs = spark.createDataFrame([(i, f"a {'db'[i % 2]} c c") for i in range(9)], "id long, text string")
+    found = text.frequent(text.counts(docs, "id", docs.text), 5)
+    found = found.select("col_key", "row_key", "value")
+    rows = {tuple(r) for r in found.collect()}
+    assert rows == {(i, t, v) for i in range(9) for t, v in (("a", 1.0), ("c", 2.0), ("d", 1.0)) if t != "d" or i % 2 == 0}
+    assert "ReusedExchange" in found._jdf.queryExecution().executedPlan().toString()
